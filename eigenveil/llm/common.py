@@ -57,7 +57,7 @@ def byte_texts(column: pa.Array) -> list[bytes | None]:
     return column.cast(pa.binary()).to_pylist()
 
 
-def one_based_bucket(column: str, divisor: int):
+def id_bucket(column: str, divisor: int):
     """crc32 of the id as text, modulo ``divisor``; a null id counts as the empty text."""
     return F.crc32(F.coalesce(F.col(column).cast("string"), F.lit("")).cast("binary")) % F.lit(divisor)
 
@@ -143,3 +143,23 @@ def keep_until_dropped(df: DataFrame, path: str) -> DataFrame:
     """Delete ``path`` when nobody holds ``df`` any more."""
     weakref.finalize(df, discard, df.sparkSession, path)
     return df
+
+
+def with_columns(df: DataFrame, added: str, make, rows: int = 2_000) -> DataFrame:
+    """``df`` with the columns named in the DDL ``added``, which replace columns of these names.
+
+    ``make`` runs once in each task and returns a function from a record batch (of at most
+    ``rows`` rows) to the arrays of the new columns.
+    """
+    names = [x.split()[0] for x in added.split(", ")]
+    df = df.drop(*names)
+
+    def run(batches):
+        work = make()
+        for batch in batches:
+            for at in range(0, batch.num_rows, rows):
+                part = batch.slice(at, rows)
+                yield pa.RecordBatch.from_arrays([*part.columns, *work(part)], [*part.schema.names, *names])
+
+    kept = ", ".join(f"`{f.name.replace('`', '``')}` {f.dataType.simpleString()}" for f in df.schema.fields)
+    return df.mapInArrow(run, f"{kept}, {added}" if kept else added)
