@@ -13,6 +13,7 @@ from .near_dedup import near_duplicates
 from .packing import pack_documents
 from .pieces import encode_pieces
 from .quality import learn_and_score
+from .substring_dedup import remove_repeats
 from .token_files import token_files
 
 
@@ -26,6 +27,11 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), end_id=2).select("doc_id", "start", "n_tokens", "ids_crc32", "n_bytes")
 
 
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return remove_repeats(docs).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return learn_and_identify(table(spark, sf_dir, "documents")).select("doc_id", "held_out", "lang_pred", "score")
 
