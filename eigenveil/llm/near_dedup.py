@@ -8,15 +8,20 @@ distinct 5-word shingles (a shorter text is one shingle, a text without words ha
    MinHash sample flips the bit it is hashed to, so that samples two sets share cancel
    and the set bits of the XOR of two sketches grow with what they do not share.
 2. Documents with equal fingerprints are one class, named by its smallest doc_id.
-3. In each band, classes with one key are joined to the smallest of them.  Pairs that
+3. In each band, classes with one key are joined to one of them, the pivot.  Pairs that
    the sketches hold possible are checked on full sets; links give components.
-4. Classes that share a band key but not yet a component are then paired with each
+   The same is done with pivots of other hash orders while a key has classes of more
+   than one component, and only between components.
+4. Classes that then share a band key but not yet a component are then paired with each
    other, sketched and checked in the same way, so no link is lost to the choice of
    the smallest; classes that are already connected need no further pair.
 
 A pair at the threshold shares no band with probability (1 - 0.75**ROWS)**BANDS, about
 5e-6.  The sketches' limit is set so far out that fewer than one in 10,000 true pairs
-fails it in one of its bands' comparisons.  Null texts and texts without words have size 0 and are
+fails it in one of its bands' comparisons.  A second parity bitmap, of the full set
+instead of samples, rejects without error: two sets differ in at least as many elements
+as their bitmaps differ in bits, and may differ in at most (100 - percent) /
+(100 + percent) of their sizes' sum.  Null texts and texts without words have size 0 and are
 linked with nothing; rows with equal doc_id count as one document's rows of equal
 component; further columns are ignored.
 """
@@ -36,6 +41,8 @@ from .components import connected_components
 WIDTH = 5
 BANDS, ROWS = 32, 4
 SKETCH_WORDS = 8  # 512 bits
+PARITY_WORDS = 32  # 2048 bits
+PIVOT_ROUNDS = 2
 #: Bits in which the sketches of two sets may differ: 128 samples at similarity 0.75 leave
 #: 64 unshared ones in the mean (binomial, deviation below 10) and 60 set bits; 100 is four deviations off.
 SKETCH_LIMIT = 100
@@ -80,31 +87,37 @@ class Signatures:
         return np.packbits(odd).view(np.uint64)
 
 
+def parity(items: np.ndarray) -> np.ndarray:
+    """Bitmap in which every element of the set flips one bit."""
+    odd = (np.bincount((items % np.uint64(64 * PARITY_WORDS)).astype(np.int64), minlength=64 * PARITY_WORDS) & 1).astype(np.uint8)
+    return np.packbits(odd).view(np.uint64)
+
+
 def fingerprint(items: np.ndarray) -> tuple[int, int]:
     with np.errstate(over="ignore"):
         return int(mixed(items).sum(dtype=np.uint64).view(np.int64)), int(mixed(items + np.uint64(0x632BE59BD9B4E019)).sum(dtype=np.uint64).view(np.int64))
 
 
 def sign_documents(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """doc_id, n_shingles, f0, f1, bands array<long>, sketch array<long> (empty arrays for an empty set)."""
+    """doc_id, n_shingles, f0, f1, bands, sketch and parity (arrays of long; empty arrays for an empty set)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes, signer = WordHashes(), Signatures()
         for batch in batches:
-            columns: list[list] = [[] for _ in range(5)]
+            columns: list[list] = [[] for _ in range(6)]
             for text in byte_texts(batch.column("text")):
                 items = shingles((text or b"").lower().split(), hashes, width)
                 if len(items):
                     minima = signer.minima(items)
-                    row = (len(items), *fingerprint(items), signer.band_keys(minima).view(np.int64), signer.sketch(minima).view(np.int64))
+                    row = (len(items), *fingerprint(items), signer.band_keys(minima).view(np.int64), signer.sketch(minima).view(np.int64), parity(items).view(np.int64))
                 else:
-                    row = (0, 0, 0, [], [])
+                    row = (0, 0, 0, [], [], [])
                 for column, value in zip(columns, row):
                     column.append(value)
             lists = pa.list_(pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in columns[:3]), *(pa.array(x, lists) for x in columns[3:])], ["doc_id", "n_shingles", "f0", "f1", "bands", "sketch"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in columns[:3]), *(pa.array(x, lists) for x in columns[3:])], ["doc_id", "n_shingles", "f0", "f1", "bands", "sketch", "parity"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, f0 long, f1 long, bands array<long>, sketch array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, f0 long, f1 long, bands array<long>, sketch array<long>, parity array<long>")
 
 
 def shingle_sets(docs: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -121,14 +134,15 @@ def shingle_sets(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, items array<long>")
 
 
-def _apart(limit: int):
-    """Set bits of the XOR of two sketches are at most ``limit``, and the sizes allow the threshold."""
-    bits = sum((F.bit_count(F.col("sa")[k].bitwiseXOR(F.col("sb")[k])) for k in range(SKETCH_WORDS)), F.lit(0))
-    return bits <= limit
+def _bits(a: str, b: str, words: int):
+    return sum((F.bit_count(F.col(a)[k].bitwiseXOR(F.col(b)[k])) for k in range(words)), F.lit(0))
 
 
-def _sizes_fit(percent: int):
-    return (F.lit(100) * F.least("na", "nb") >= F.lit(percent) * F.greatest("na", "nb"))
+def _possible(percent: int, limit: int):
+    """What the sizes, the odd sketches and the full parity bitmaps leave possible."""
+    sizes = F.lit(100) * F.least("na", "nb") >= F.lit(percent) * F.greatest("na", "nb")
+    apart = F.lit(100 + percent) * _bits("pa", "pb", PARITY_WORDS) <= F.lit(100 - percent) * (F.col("na") + F.col("nb"))
+    return sizes & (_bits("sa", "sb", SKETCH_WORDS) <= limit) & apart
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -146,38 +160,38 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = WIDTH, sket
     signed = materialise(sign_documents(docs, width), "signed")
     # classes of equal sets, each named by its smallest id
     classes = materialise(
-        signed.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("f0", "f1", "n_shingles").agg(F.min_by(F.struct("doc_id", "bands", "sketch"), "doc_id").alias("r")).select("f0", "f1", "n_shingles", "r.*"),
+        signed.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("f0", "f1", "n_shingles").agg(F.min_by(F.struct("doc_id", "bands", "sketch", "parity"), "doc_id").alias("r")).select("f0", "f1", "n_shingles", "r.*"),
         "classes",
     )
-    brief = classes.select("doc_id", "n_shingles", "sketch")
+    a_side, b_side = (classes.select(F.col("doc_id").alias(x), F.col("n_shingles").alias(f"n{x}"), F.col("sketch").alias(f"s{x}"), F.col("parity").alias(f"p{x}")) for x in "ab")
     bands = classes.select("doc_id", F.posexplode("bands").alias("band", "key"))
-    # keys that more than one class has, with the smallest class
-    shared = bands.groupBy("band", "key").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1")
-    members = materialise(bands.join(shared.select("band", "key", "first"), ["band", "key"]), "members")
-
-    def possible(pairs: DataFrame) -> DataFrame:
-        a = brief.select(F.col("doc_id").alias("a"), F.col("n_shingles").alias("na"), F.col("sketch").alias("sa"))
-        b = brief.select(F.col("doc_id").alias("b"), F.col("n_shingles").alias("nb"), F.col("sketch").alias("sb"))
-        return pairs.join(b, "b").join(a, "a").where(_sizes_fit(percent) & _apart(sketch_limit)).select("a", "b")
-
-    stars = materialise(possible(members.where("first <> doc_id").select(F.col("first").alias("a"), F.col("doc_id").alias("b")).distinct()), "stars")
-    involved = members.select("doc_id").distinct()
-    sets = materialise(shingle_sets(docs.join(involved, "doc_id", "left_semi"), width).dropDuplicates(["doc_id"]), "sets")
-    links = materialise(confirmed(stars, sets, percent), "links")
-    found = materialise(connected_components(links), "found")
-
-    # classes that share a key but no component yet
-    label = F.coalesce("component", "doc_id").alias("c")
-    placed = members.join(found.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("band", "key", "doc_id", label)
-    mixed_keys = placed.groupBy("band", "key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("band", "key")
-    rest = materialise(placed.join(mixed_keys, ["band", "key"]).join(brief, "doc_id"), "rest")
-    a = rest.select("band", "key", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("n_shingles").alias("na"), F.col("sketch").alias("sa"))
-    b = rest.select("band", "key", F.col("doc_id").alias("b"), F.col("c").alias("cb"), F.col("n_shingles").alias("nb"), F.col("sketch").alias("sb"))
-    cross = a.join(b, ["band", "key"]).where((F.col("ca") < F.col("cb")) & _sizes_fit(percent) & _apart(sketch_limit))
-    pairs = cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(stars, ["a", "b"], "left_anti")
-    more = materialise(confirmed(pairs, sets, percent), "more")
-    if not more.isEmpty():
-        found = materialise(connected_components(links.union(more)), "found")
+    shared = bands.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1").select("band", "key")
+    members = materialise(bands.join(shared, ["band", "key"]).withColumn("c", F.col("doc_id")), "members")
+    sets = materialise(shingle_sets(docs.join(members.select("doc_id").distinct(), "doc_id", "left_semi"), width).dropDuplicates(["doc_id"]), "sets")
+    links: DataFrame | None = None
+    found = docs.sparkSession.createDataFrame([], "id long, component long")
+
+    def link(pairs: DataFrame) -> None:
+        """Check pairs on full sets and renew the components and what is still mixed."""
+        nonlocal links, found, members
+        new = materialise(confirmed(pairs, sets, percent), "links")
+        if not new.isEmpty():
+            links = new if links is None else links.union(new)
+            found = materialise(connected_components(links), "found")
+        placed = members.drop("c").join(found.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("band", "key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
+        mixed_keys = placed.groupBy("band", "key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("band", "key")
+        members = materialise(placed.join(mixed_keys, ["band", "key"]), "members")
+
+    for k in range(PIVOT_ROUNDS):
+        pivots = members.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "c"), F.xxhash64(F.lit(k), "doc_id") if k else F.col("doc_id")).alias("pivot"))
+        star = members.join(pivots, ["band", "key"]).where("pivot.c <> c").select(F.least("doc_id", "pivot.doc_id").alias("a"), F.greatest("doc_id", "pivot.doc_id").alias("b")).distinct()
+        link(star.join(b_side, "b").join(a_side, "a").where(_possible(percent, sketch_limit)).select("a", "b"))
+
+    # classes that share a key but no component yet, each with each
+    wide = members.join(classes.select("doc_id", "n_shingles", "sketch", "parity"), "doc_id")
+    sides = [wide.select("band", "key", F.col("doc_id").alias(x), F.col("c").alias(f"c{x}"), F.col("n_shingles").alias(f"n{x}"), F.col("sketch").alias(f"s{x}"), F.col("parity").alias(f"p{x}")) for x in "ab"]
+    cross = sides[0].join(sides[1], ["band", "key"]).where((F.col("ca") < F.col("cb")) & _possible(percent, sketch_limit))
+    link(cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
 
     # back to every row: row -> class -> component
     named = classes.select("f0", "f1", "n_shingles", F.col("doc_id").alias("class_id")).join(found.withColumnRenamed("id", "class_id"), "class_id", "left").select("f0", "f1", "n_shingles", F.coalesce("component", "class_id").alias("component"))
