@@ -47,13 +47,12 @@ class FmIndex:
     def __init__(self, text: np.ndarray, depth: int):
         self.text = text.astype(np.int64)
         n = len(text)
-        order, width = self.text, 1
-        rank = np.unique(order, return_inverse=True)[1] if n else order
+        rank, width = self.text, 1
         while width < depth + 1 and n:
             after = np.zeros(n, np.int64)
             after[: max(0, n - width)] = rank[width:] + 1
             keys = rank * (int(rank.max()) + 2) + after
-            order = np.argsort(keys, kind="stable")
+            order = np.argsort(keys)
             ordered = keys[order]
             fresh = np.concatenate([[0], np.cumsum(ordered[1:] != ordered[:-1])])
             rank = np.empty(n, np.int64)
@@ -61,7 +60,7 @@ class FmIndex:
             width *= 2
             if fresh[-1] == n - 1:
                 break
-        self.suffixes = np.argsort(rank, kind="stable")
+        self.suffixes = np.argsort(rank)
         self.alphabet = int(self.text.max()) + 1 if n else 1
         self.counts = np.concatenate([[0], np.cumsum(np.bincount(self.text, minlength=self.alphabet))])
         self.wavelet = WaveletMatrix(self.text[self.suffixes - 1], self.alphabet)

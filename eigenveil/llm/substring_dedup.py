@@ -38,7 +38,7 @@ from .fm_index import FmIndex
 
 WINDOW, RUN, HOT = 13, 6, 64
 #: Bytes of text for which one shard is planned.
-SHARD_BYTES = 32 << 20
+SHARD_BYTES = 8 << 20
 _BLOCK_WORDS = 1_000_000
 
 
@@ -217,18 +217,19 @@ def repeated_windows(blocks: list[tuple[bytes, ...]], window: int) -> tuple[np.n
     text[_flat(begin, size)] = symbols + 1
     index = FmIndex(text, window)
     owner = np.repeat(np.arange(len(size)), size + 1)
-    # one lane for each window of each distinct passage
+    # one lane for each distinct window of the passages
     windows = size - window + 1
-    lane = _flat(begin, windows)
+    lane, which = np.unique(window_hashes(text.astype(np.uint64), window)[_flat(begin, windows)], return_index=True, return_inverse=True)[1:]
+    lane = _flat(begin, windows)[lane]
     found = np.empty(len(lane), np.int64)
-    for k in range(0, len(lane), 1 << 18):
-        part = lane[k : k + (1 << 18)]
+    for k in range(0, len(lane), 1 << 17):
+        part = lane[k : k + (1 << 17)]
         matched, lo, hi = index.search(text[part[:, None] + np.arange(window)])
         earliest = index.least_in(least[owner], lo, hi)
         found[k : k + len(part)] = np.where(matched >= window, earliest, np.iinfo(np.int64).max)
     lane_of = np.cumsum(windows) - windows
     n = windows[at]
-    earliest = found[_flat(lane_of[at], n)]
+    earliest = found[which[_flat(lane_of[at], n)]]
     who, where = np.repeat(doc, n), _flat(place, n)
     hit = earliest < who
     return who[hit], where[hit]
