@@ -79,6 +79,9 @@ class NeighbourVote:
         tf = np.log1p(counts)
         tf *= self.weights
         tf /= np.maximum(np.linalg.norm(tf, axis=1, keepdims=True), 1e-12)
+        return self.turned(tf)
+
+    def turned(self, tf: np.ndarray) -> np.ndarray:
         got = tf @ self.basis
         return got / np.maximum(np.linalg.norm(got, axis=1, keepdims=True), 1e-12)
 
@@ -94,7 +97,7 @@ class NeighbourVote:
         return np.clip(np.where(counts.any(1), score, base), 0.0, 1.0)
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = 3_000, dimensions: int = 96, neighbours: int = 15, sharpness: float = 4.0) -> NeighbourVote | None:
+def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = 2_000, dimensions: int = 96, neighbours: int = 15, sharpness: float = 4.0) -> NeighbourVote | None:
     """Fit on about ``sample_docs`` labelled documents (never over 5/4 of it); None without any."""
     marked = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("quality").cast("int").alias("quality"))
     chosen = bounded_sample(marked, "doc_id", sample_docs)
@@ -119,20 +122,24 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = 3_000, dimensions
         at, values = pickle.loads(bytes(row["terms"]))
         counts[i, at] = values
     labels_ = np.array([r["quality"] for r in rows], np.float64)
-    weights = (np.log((1 + len(rows)) / (1 + (counts > 0).sum(0))) + 0.1).astype(np.float32)
-    tf = np.log1p(counts) * weights
+    held = len(rows)
+    del rows
+    weights = (np.log((1 + held) / (1 + (counts > 0).sum(0))) + 0.1).astype(np.float32)
+    # in place: the driver holds this one matrix
+    tf = np.log1p(counts, out=counts)
+    tf *= weights
     tf /= np.maximum(np.linalg.norm(tf, axis=1, keepdims=True), 1e-12)
     # leading right singular vectors by the smaller of the two Gram matrices
-    if len(rows) <= TERMS:
+    if held <= TERMS:
         values, left = np.linalg.eigh(tf @ tf.T)
-        keep = np.argsort(-values)[: min(dimensions, len(rows))]
+        keep = np.argsort(-values)[: min(dimensions, held)]
         keep = keep[values[keep] > 1e-6 * max(values[keep[0]], 1e-12)]
         basis = tf.T @ left[:, keep] / np.sqrt(values[keep])
     else:
         values, right = np.linalg.eigh(tf.T @ tf)
         basis = right[:, np.argsort(-values)[:dimensions]]
     model = NeighbourVote(weights, basis.astype(np.float32), np.empty((0, 0), np.float32), labels_, neighbours, sharpness)
-    model.vectors = model.embed(counts).astype(np.float32)
+    model.vectors = model.turned(tf).astype(np.float32)
     return model
 
 
