@@ -36,13 +36,21 @@ def mapped(df: DataFrame, column: str, out: str, width_check: int | None, make)
     return df.select(*rest, column).mapInArrow(run, schema)
 
 
-def scores(df: DataFrame, model: EigenModel, column: str = "px", out: str = "score", center: bool = True) -> DataFrame:
-    """Products with each eigenface; the model goes out once as a broadcast of nc x d numbers."""
+def scores(df: DataFrame, model: EigenModel, column: str = "px", out: str = "score", center: bool = True, digits: int | None = None) -> DataFrame:
+    """Products with each eigenface; the model goes out once as a broadcast of nc x d numbers.
+
+    ``digits`` rounds the scores, so that a task that runs again in other batches gives the same.
+    """
     sent = df.sparkSession.sparkContext.broadcast((model.mean, model.vectors))
 
     def make():
         mean, vectors = sent.value
-        return lambda x: (x - mean if center else x) @ vectors.T
+
+        def work(x: np.ndarray) -> np.ndarray:
+            got = (x - mean if center else x) @ vectors.T
+            return got if digits is None else np.round(got, digits) + 0.0
+
+        return work
 
     return mapped(df, column, out, len(model.mean), make)
 

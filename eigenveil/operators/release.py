@@ -101,7 +101,7 @@ class PrivateEigenModel(Model):
 
     def scaled(self, df: DataFrame) -> DataFrame:
         """Edge only: scores (or centred pixels) scaled to [0, 1], in column ``scaled``."""
-        made = project.centred(df, self.eigen.mean, out="score") if self.settings.domain == "pixel" else project.scores(df, self.eigen)
+        made = project.centred(df, self.eigen.mean, out="score") if self.settings.domain == "pixel" else project.scores(df, self.eigen, digits=10)
         return made.withColumn("scaled", scaling.scaled("score", self.bounds, self.settings.clip)).drop("score")
 
     def _transform(self, dataset: DataFrame) -> DataFrame:
