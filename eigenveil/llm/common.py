@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
-import weakref
 from collections.abc import Iterable
 
 import numpy as np
@@ -129,6 +129,12 @@ def batches_of(rows: Iterable[dict], schema: pa.Schema, size: int = 4096):
         yield pa.RecordBatch.from_pylist(held, schema=schema)
 
 
+def finished(spark: SparkSession) -> None:
+    """Let the driver's collector run, so that shuffle files of finished jobs are dropped before more are made."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 _PER_WORKER: dict = {}
 
 
@@ -139,12 +145,6 @@ def per_worker(key, make):
     return _PER_WORKER[key]
 
 
-def keep_until_dropped(df: DataFrame, path: str) -> DataFrame:
-    """Delete ``path`` when nobody holds ``df`` any more."""
-    weakref.finalize(df, discard, df.sparkSession, path)
-    return df
-
-
 def with_columns(df: DataFrame, added: str, make, rows: int = 2_000) -> DataFrame:
     """``df`` with the columns named in the DDL ``added``, which replace columns of these names.
 

@@ -65,33 +65,53 @@ class FmIndex:
         self.counts = np.concatenate([[0], np.cumsum(np.bincount(self.text, minlength=self.alphabet))])
         self.wavelet = WaveletMatrix(self.text[self.suffixes - 1], self.alphabet)
 
-    def search(self, patterns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Backward search of each row (read from its end): matched symbols and the interval reached.
+    def search(self, patterns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Backward search of each row (read from its end): matched symbols, interval, sole occurrence.
 
         The number of matched symbols is the matching statistic of the row's last
-        position, bounded by the row's length; the interval is that of the match.
+        position, bounded by the row's length.  Once a match occurs in one place only, it
+        is located there and compared with the text itself; its start is then the fourth
+        value (else -1) and the interval is the one at which that happened.
         """
         lanes, width = patterns.shape
-        matched = np.zeros(lanes, np.int64)
+        matched, sole = np.zeros(lanes, np.int64), np.full(lanes, -1, np.int64)
         lo, hi = np.zeros(lanes, np.int64), np.full(lanes, len(self.text), np.int64)
         alive = np.arange(lanes)
         for j in reversed(range(width)):
             c = patterns[alive, j]
             known = (c > 0) & (c < self.alphabet)
             alive, c = alive[known], c[known]
-            both = self.wavelet.rank(np.concatenate([c, c]), np.concatenate([lo[alive], hi[alive]])) + np.tile(self.counts[c], 2)
-            a, b = both[: len(c)], both[len(c) :]
+            if j == width - 1:
+                a, b = self.counts[c], self.counts[c + 1]
+            else:
+                both = self.wavelet.rank(np.concatenate([c, c]), np.concatenate([lo[alive], hi[alive]])) + np.tile(self.counts[c], 2)
+                a, b = both[: len(c)], both[len(c) :]
             found = a < b
-            alive = alive[found]
-            lo[alive], hi[alive] = a[found], b[found]
+            alive, a, b = alive[found], a[found], b[found]
+            lo[alive], hi[alive] = a, b
             matched[alive] += 1
-        return matched, lo, hi
+            single = b - a == 1
+            if single.any():
+                rows = alive[single]
+                at = self.suffixes[a[single]]
+                going = np.ones(len(rows), bool)
+                steps = np.zeros(len(rows), np.int64)
+                for k in range(1, j + 1):
+                    going = going & (at >= k) & (patterns[rows, j - k] > 0)
+                    going &= self.text[np.maximum(at - k, 0)] == patterns[rows, j - k]
+                    steps += going
+                matched[rows] += steps
+                sole[rows] = at - steps
+                alive = alive[~single]
+        return matched, lo, hi, sole
 
-    def least_in(self, values: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
-        """The least of ``values`` (one per text position) over the occurrences of each interval."""
-        if not len(lo):
-            return values[:0]
-        at, back = np.unique(lo * (len(self.text) + 1) + hi, return_inverse=True)
-        bounds = np.stack([at // (len(self.text) + 1), at % (len(self.text) + 1)], 1).ravel()
-        ordered = np.append(values[self.suffixes], values[:1])
-        return np.minimum.reduceat(ordered, bounds)[::2][back]
+    def least_in(self, values: np.ndarray, lo: np.ndarray, hi: np.ndarray, sole: np.ndarray) -> np.ndarray:
+        """The least of ``values`` (one per text position) over the occurrences that ``search`` found."""
+        out = values[np.maximum(sole, 0)]
+        many = np.flatnonzero(sole < 0)
+        if len(many):
+            n = len(self.text) + 1
+            at, back = np.unique(lo[many] * n + hi[many], return_inverse=True)
+            ordered = np.append(values[self.suffixes], values[:1])
+            out[many] = np.minimum.reduceat(ordered, np.stack([at // n, at % n], 1).ravel())[::2][back]
+        return out

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, byte_texts, discard, materialise, mixed, new_path, window_hashes, with_columns
+from .common import WordHashes, byte_texts, discard, finished, materialise, mixed, new_path, window_hashes, with_columns
 from .fm_index import FmIndex
 
 WINDOW, RUN, HOT = 13, 6, 64
@@ -106,13 +106,13 @@ def shared_minimisers(docs: DataFrame, window: int, shards: int, hot: int) -> Da
                 keys = _minimisers(words, window)[at]
                 first = np.append(True, (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1]))
                 keys, owner = keys[first], owner[first]
-                out = [(s, keys[i].tobytes(), owner[i].astype(np.uint32).tobytes(), ids[rows].tobytes()) for s, i in _by_shard(_shard_of(keys, shards))]
+                out = [(s, keys[i].tobytes(), owner[i].astype(np.uint16 if len(rows) < 65_536 else np.uint32).tobytes(), ids[rows].tobytes()) for s, i in _by_shard(_shard_of(keys, shards))]
                 yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[k] for x in out], pa.binary()) for k in (1, 2, 3))], ["shard", "keys", "owners", "ids"])
 
     def answer(table: pa.Table) -> pa.Table:
         parts = list(zip(*(table.column(x).to_pylist() for x in ("keys", "owners", "ids"))))
         keys = np.concatenate([np.frombuffer(k, np.uint64) for k, _, _ in parts])
-        docs_ = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(o, np.uint32)] for _, o, i in parts])
+        docs_ = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(o, np.uint16 if len(o) * 4 == len(k) else np.uint32)] for k, o, i in parts])
         order = np.lexsort((docs_, keys))
         keys, docs_ = keys[order], docs_[order]
         fresh = np.append(True, (keys[1:] != keys[:-1]) | (docs_[1:] != docs_[:-1]))
@@ -224,8 +224,8 @@ def repeated_windows(blocks: list[tuple[bytes, ...]], window: int) -> tuple[np.n
     found = np.empty(len(lane), np.int64)
     for k in range(0, len(lane), 1 << 17):
         part = lane[k : k + (1 << 17)]
-        matched, lo, hi = index.search(text[part[:, None] + np.arange(window)])
-        earliest = index.least_in(least[owner], lo, hi)
+        matched, lo, hi, sole = index.search(text[part[:, None] + np.arange(window)])
+        earliest = index.least_in(least[owner], lo, hi, sole)
         found[k : k + len(part)] = np.where(matched >= window, earliest, np.iinfo(np.int64).max)
     lane_of = np.cumsum(windows) - windows
     n = windows[at]
@@ -262,13 +262,13 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW, hot: int = HOT) -> Dat
     docs = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     shards = max(1, -(-size // SHARD_BYTES))
-    paths = [new_path(spark, x) for x in ("minimisers", "passages")]
-    shared_minimisers(docs, window, shards, hot).write.parquet(paths[0])
-    known = spark.read.parquet(paths[0]).groupBy("doc_id").agg(F.collect_list("cold").alias("cold"), F.collect_list("warm").alias("warm"))
-    send_passages(docs.join(known, "doc_id"), window, shards).write.parquet(paths[1])
-    discard(spark, paths[0])
-    spans = materialise(search_shards(spark.read.parquet(paths[1]), window, shards), "spans")
-    discard(spark, paths[1])
+    path = new_path(spark, "minimisers")
+    shared_minimisers(docs, window, shards, hot).write.parquet(path)
+    finished(spark)
+    known = spark.read.parquet(path).groupBy("doc_id").agg(F.collect_list("cold").alias("cold"), F.collect_list("warm").alias("warm"))
+    spans = materialise(search_shards(send_passages(docs.join(known, "doc_id"), window, shards), window, shards), "spans")
+    discard(spark, path)
+    finished(spark)
     return spans.groupBy("doc_id").agg(F.collect_list("spans").alias("spans"))
 
 
