@@ -6,8 +6,10 @@ starts in a document with a smaller doc_id, judged on the texts as they came.
 
 1. Every window is named by its minimiser, the least hash among its 6-word runs, so
    equal windows have equal minimisers in whatever document they stand.  Minimisers
-   that stand in two documents or more are found by hash shards of packed blocks.
-2. Documents are joined with their shared minimisers.  Consecutive windows with one
+   that stand in two documents or more are found by hash shards of packed blocks, and so
+   are documents whose whole word sequence an earlier document has: of these all words
+   go, and they need no search.
+2. Documents meet their shared minimisers in buckets of ids.  Consecutive windows with one
    shared minimiser form a passage, which goes to the shard of that minimiser; where a
    minimiser is held by more than ``hot`` documents, its windows go one by one to the
    shards of their own hashes, so that contexts of a frequent passage do not meet in one
@@ -33,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, byte_texts, discard, finished, materialise, mixed, new_path, window_hashes, with_columns
+from .common import WordHashes, byte_texts, finished, materialise, mixed, window_hashes
 from .fm_index import FmIndex
 
 WINDOW, RUN, HOT = 13, 6, 64
@@ -68,6 +70,16 @@ def _blocks(batch: pa.RecordBatch, hashes: WordHashes, size: int = _BLOCK_WORDS)
         yield np.array(rows), np.array(starts), np.concatenate(held)
 
 
+def _whole(starts: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """A hash of each document's word sequence, by sums of position-dependent mixes."""
+    n = np.diff(starts)
+    place = np.arange(len(words)) - np.repeat(starts[:-1], n)
+    with np.errstate(over="ignore"):
+        parts = mixed(words + mixed(place.astype(np.uint64)))
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(parts, dtype=np.uint64)])
+        return mixed(sums[starts[1:]] - sums[starts[:-1]] + mixed(n.astype(np.uint64)))
+
+
 def _windows(starts: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
     """Starts of the windows that lie within one document, and the number of its row."""
     lengths = np.diff(starts)
@@ -92,8 +104,16 @@ def _minimisers(words: np.ndarray, window: int) -> np.ndarray:
     return sliding_least(window_hashes(words, RUN), window - RUN + 1)
 
 
-def shared_minimisers(docs: DataFrame, window: int, shards: int, hot: int) -> DataFrame:
-    """doc_id with the minimisers it shares with another document, apart for cold and hot ones (packed)."""
+def _cuts(values: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Bounds of the runs of equal values."""
+    if len(values):
+        at = np.flatnonzero(np.append(True, values[1:] != values[:-1]))
+        yield from zip(at.tolist(), np.append(at[1:], len(values)).tolist())
+
+
+def shared_minimisers(docs: DataFrame, window: int, shards: int, buckets: int, hot: int) -> DataFrame:
+    """By bucket of doc_id, packed: (docs, keys, warm) for each minimiser that a document shares
+    with another one, and copies, the documents that an earlier one equals word for word."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
@@ -105,43 +125,55 @@ def shared_minimisers(docs: DataFrame, window: int, shards: int, hot: int) -> Da
                     continue
                 keys = _minimisers(words, window)[at]
                 first = np.append(True, (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1]))
-                keys, owner = keys[first], owner[first]
-                out = [(s, keys[i].tobytes(), owner[i].astype(np.uint16 if len(rows) < 65_536 else np.uint32).tobytes(), ids[rows].tobytes()) for s, i in _by_shard(_shard_of(keys, shards))]
-                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[k] for x in out], pa.binary()) for k in (1, 2, 3))], ["shard", "keys", "owners", "ids"])
-
-    def answer(table: pa.Table) -> pa.Table:
-        parts = list(zip(*(table.column(x).to_pylist() for x in ("keys", "owners", "ids"))))
-        keys = np.concatenate([np.frombuffer(k, np.uint64) for k, _, _ in parts])
-        docs_ = np.concatenate([np.frombuffer(i, np.int64)[np.frombuffer(o, np.uint16 if len(o) * 4 == len(k) else np.uint32)] for k, o, i in parts])
+                long = np.flatnonzero(np.diff(starts) >= window)
+                narrow = np.uint16 if len(rows) < 65_536 else np.uint32
+                out = []
+                for whole, k, o in ((False, keys[first], owner[first]), (True, _whole(starts, words)[long], long)):
+                    out += [(s, whole, k[i].tobytes(), o[i].astype(narrow).tobytes(), ids[rows].tobytes()) for s, i in _by_shard(_shard_of(k, shards))]
+                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out]), *(pa.array([x[k] for x in out], pa.binary()) for k in (2, 3, 4))], ["shard", "whole", "keys", "owners", "ids"])
+
+    def entries(rows: list[dict]) -> tuple[np.ndarray, np.ndarray]:
+        """Distinct (key, doc), sorted."""
+        keys = np.concatenate([np.frombuffer(r["keys"], np.uint64) for r in rows] or [np.empty(0, np.uint64)])
+        docs_ = np.concatenate([np.frombuffer(r["ids"], np.int64)[np.frombuffer(r["owners"], np.uint16 if len(r["owners"]) * 4 == len(r["keys"]) else np.uint32)] for r in rows] or [np.empty(0, np.int64)])
         order = np.lexsort((docs_, keys))
         keys, docs_ = keys[order], docs_[order]
-        fresh = np.append(True, (keys[1:] != keys[:-1]) | (docs_[1:] != docs_[:-1]))
-        keys, docs_ = keys[fresh], docs_[fresh]
-        group = np.cumsum(np.append(True, keys[1:] != keys[:-1])) - 1
-        held = np.bincount(group)[group]
+        fresh = np.append(True, (keys[1:] != keys[:-1]) | (docs_[1:] != docs_[:-1]))[: len(keys)]
+        return keys[fresh], docs_[fresh]
+
+    def answer(table: pa.Table) -> pa.Table:
+        rows = table.to_pylist()
+        keys, docs_ = entries([r for r in rows if r["whole"]])
+        copies = np.unique(docs_[1:][keys[1:] == keys[:-1]])
+        keys, docs_ = entries([r for r in rows if not r["whole"]])
+        group = np.cumsum(np.append(True, keys[1:] != keys[:-1])[: len(keys)]) - 1
+        held = np.bincount(group, minlength=1)[group]
         keep = held > 1
-        keys, docs_, is_hot = keys[keep], docs_[keep], held[keep] > hot
-        order = np.argsort(docs_, kind="stable")
-        keys, docs_, is_hot = keys[order], docs_[order], is_hot[order]
-        cuts = np.flatnonzero(np.append(True, docs_[1:] != docs_[:-1])) if len(docs_) else np.empty(0, np.int64)
-        out = [(docs_[a], keys[a:b][~is_hot[a:b]].tobytes(), keys[a:b][is_hot[a:b]].tobytes()) for a, b in zip(cuts, np.append(cuts[1:], len(docs_)))]
-        return pa.table({"doc_id": pa.array([x[0] for x in out], pa.int64()), "cold": pa.array([x[1] for x in out], pa.binary()), "warm": pa.array([x[2] for x in out], pa.binary())})
-
-    sent = docs.mapInArrow(send, "shard long, keys binary, owners binary, ids binary")
-    return sent.repartition(shards, "shard").groupBy("shard").applyInArrow(answer, "doc_id long, cold binary, warm binary")
-
-
-def _passages(words: np.ndarray, cold: np.ndarray, warm: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(start, words, routing key) of a document's passages."""
-    keys = _minimisers(words, window)
-    is_warm = np.isin(keys, warm)
-    wanted = np.isin(keys, cold)
-    begins = wanted & np.append(True, ~wanted[:-1] | (keys[1:] != keys[:-1]))
-    start = np.flatnonzero(begins)
-    ends = np.flatnonzero(wanted & np.append(~wanted[1:] | (keys[1:] != keys[:-1]), True))
-    single = np.flatnonzero(is_warm)
-    route = np.concatenate([keys[start], mixed(window_hashes(words, window)[single])])
-    return np.concatenate([start, single]), np.concatenate([ends - start + window, np.full(len(single), window)]), route
+        keys, docs_, warm = keys[keep], docs_[keep], held[keep] > hot
+        order = np.argsort(docs_ % buckets, kind="stable")
+        keys, docs_, warm = keys[order], docs_[order], warm[order]
+        copies = copies[np.argsort(copies % buckets, kind="stable")]
+        out = [((int(docs_[a] % buckets)), docs_[a:b].tobytes(), keys[a:b].tobytes(), warm[a:b].tobytes(), b"") for a, b in _cuts(docs_ % buckets)]
+        out += [(int(copies[a] % buckets), b"", b"", b"", copies[a:b].tobytes()) for a, b in _cuts(copies % buckets)]
+        names = ["docs", "keys", "warm", "copies"]
+        return pa.table({"bucket": pa.array([x[0] for x in out], pa.int64())} | {n: pa.array([x[k + 1] for x in out], pa.binary()) for k, n in enumerate(names)})
+
+    sent = docs.mapInArrow(send, "shard long, whole boolean, keys binary, owners binary, ids binary")
+    return sent.repartition(shards, "shard").groupBy("shard").applyInArrow(answer, "bucket long, docs binary, keys binary, warm binary, copies binary")
+
+
+def _joined(table: pa.Table, column: str, kind) -> np.ndarray:
+    return np.frombuffer(b"".join(x or b"" for x in table.column(column).to_pylist()), kind)
+
+
+def _passages(owner: np.ndarray, at: np.ndarray, keys: np.ndarray, cold: np.ndarray, warm: np.ndarray, rolled: np.ndarray, window: int) -> tuple[np.ndarray, ...]:
+    """(start, words, routing key, owner) of runs of cold windows with one minimiser and of single warm windows."""
+    apart = (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])
+    begins = cold & np.append(True, ~cold[:-1] | apart)[: len(cold)]
+    ends = cold & np.append(~cold[1:] | apart, True)[: len(cold)]
+    start, single = at[begins], at[warm]
+    size = np.concatenate([at[ends] - start + window, np.full(len(single), window)])
+    return np.concatenate([start, single]), size, np.concatenate([keys[begins], mixed(rolled[single])]), np.concatenate([owner[begins], owner[warm]])
 
 
 def _flat(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -150,9 +182,8 @@ def _flat(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return np.repeat(starts - (np.cumsum(sizes) - sizes), sizes) + np.arange(total)
 
 
-def _pack(words: np.ndarray, start: np.ndarray, size: np.ndarray, doc: np.ndarray, place: np.ndarray, window: int) -> tuple[bytes, ...]:
+def _pack(words: np.ndarray, rolled: np.ndarray, start: np.ndarray, size: np.ndarray, doc: np.ndarray, place: np.ndarray, window: int) -> tuple[bytes, ...]:
     """Distinct passages (a table of words and places in it) and where they stand."""
-    rolled = window_hashes(words, window)
     content = mixed(rolled[start] ^ mixed(rolled[start + size - window])) + size.astype(np.uint64)
     _, first, which = np.unique(content, return_index=True, return_inverse=True)
     flat = words[_flat(start[first], size[first])]
@@ -164,28 +195,36 @@ def _pack(words: np.ndarray, start: np.ndarray, size: np.ndarray, doc: np.ndarra
 _PACKED = ("words", "coded", "sizes", "which", "docs", "places")
 
 
-def send_passages(docs: DataFrame, window: int, shards: int) -> DataFrame:
-    """Packed passages by shard, from ``docs(doc_id, text, cold, warm)`` (arrays of packed minimisers)."""
+def _marked(docs: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return mixed(keys ^ mixed(docs.astype(np.uint64)))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = WordHashes()
-        for batch in batches:
+
+def send_passages(docs: DataFrame, known: DataFrame, window: int, shards: int) -> DataFrame:
+    """Packed passages by shard, from documents and what ``shared_minimisers`` found, by bucket."""
+
+    def run(texts: pa.Table, found: pa.Table) -> pa.Table:
+        hashes, out = WordHashes(), []
+        entry, is_warm = _marked(_joined(found, "docs", np.int64), _joined(found, "keys", np.uint64)), _joined(found, "warm", bool)
+        cold_set, warm_set, copies = np.unique(entry[~is_warm]), np.unique(entry[is_warm]), _joined(found, "copies", np.int64)
+        for batch in texts.combine_chunks().to_batches() if len(entry) else ():
             ids = np.asarray(batch.column("doc_id"))
-            cold, warm = (batch.column(x).to_pylist() for x in ("cold", "warm"))
             for rows, starts, words in _blocks(batch, hashes):
-                found = []
-                for k, i in enumerate(rows.tolist()):
-                    if starts[k + 1] - starts[k] < window:
-                        continue
-                    s, n, r = _passages(words[starts[k] : starts[k + 1]], np.frombuffer(b"".join(cold[i]), np.uint64), np.frombuffer(b"".join(warm[i]), np.uint64), window)
-                    found.append((s + starts[k], n, r, np.full(len(s), ids[i]), s))
-                if not found:
+                at, owner = _windows(starts, window)
+                if len(copies):
+                    alive = ~np.isin(ids[rows], copies)[owner]
+                    at, owner = at[alive], owner[alive]
+                if not len(at):
                     continue
-                start, size, route, doc, place = (np.concatenate(x) for x in zip(*found))
-                out = [(s, *_pack(words, start[i], size[i], doc[i], place[i], window)) for s, i in _by_shard(_shard_of(route, shards))]
-                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[k] for x in out], pa.binary()) for k in range(1, 7))], ["shard", *_PACKED])
+                keys = _minimisers(words, window)[at]
+                mark = _marked(ids[rows][owner], keys)
+                rolled = window_hashes(words, window)
+                start, size, route, own = _passages(owner, at, keys, np.isin(mark, cold_set), np.isin(mark, warm_set), rolled, window)
+                doc, place = ids[rows][own], start - starts[own]
+                out += [(s, *_pack(words, rolled, start[i], size[i], doc[i], place[i], window)) for s, i in _by_shard(_shard_of(route, shards))]
+        return pa.table({"shard": pa.array([x[0] for x in out], pa.int64())} | {n: pa.array([x[k + 1] for x in out], pa.binary()) for k, n in enumerate(_PACKED)})
 
-    return docs.mapInArrow(run, "shard long, " + ", ".join(f"{x} binary" for x in _PACKED))
+    return docs.groupBy("bucket").cogroup(known.groupBy("bucket")).applyInArrow(run, "shard long, " + ", ".join(f"{x} binary" for x in _PACKED))
 
 
 def repeated_windows(blocks: list[tuple[bytes, ...]], window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -235,76 +274,92 @@ def repeated_windows(blocks: list[tuple[bytes, ...]], window: int) -> tuple[np.n
     return who[hit], where[hit]
 
 
-def search_shards(passages: DataFrame, window: int, shards: int) -> DataFrame:
-    """doc_id and spans: packed (start, end) word intervals to remove."""
+def search_shards(passages: DataFrame, window: int, shards: int, buckets: int) -> DataFrame:
+    """By bucket of doc_id, packed: docs with the (begin, end) word intervals to remove."""
 
     def run(table: pa.Table) -> pa.Table:
         doc, at = repeated_windows(list(zip(*(table.column(x).to_pylist() for x in _PACKED))), window)
-        order = np.lexsort((at, doc))
+        order = np.lexsort((at, doc, doc % buckets))
         doc, at = doc[order], at[order]
-        new_doc = np.append(True, doc[1:] != doc[:-1]) if len(doc) else np.empty(0, bool)
-        begins = np.flatnonzero(new_doc | np.append(True, at[1:] > at[:-1] + 1)) if len(doc) else np.empty(0, np.int64)
-        ends = np.append(begins[1:], len(doc)) - 1 if len(doc) else begins
-        spans = np.stack([at[begins], at[ends] + window], 1).astype(np.uint32) if len(doc) else np.empty((0, 2), np.uint32)
-        owner = doc[begins] if len(doc) else doc
-        cuts = np.flatnonzero(np.append(True, owner[1:] != owner[:-1])) if len(owner) else np.empty(0, np.int64)
-        edges = np.append(cuts[1:], len(owner))
-        return pa.table({"doc_id": pa.array(owner[cuts] if len(owner) else [], pa.int64()), "spans": pa.array([spans[a:b].tobytes() for a, b in zip(cuts, edges)], pa.binary())})
+        fresh = np.append(True, (doc[1:] != doc[:-1]) | (at[1:] > at[:-1] + 1))[: len(doc)]
+        last = np.append(fresh[1:], True)[: len(doc)]
+        doc, begin, end = doc[fresh], at[fresh].astype(np.uint32), (at[last] + window).astype(np.uint32)
+        out = [(int(doc[a] % buckets), doc[a:b].tobytes(), begin[a:b].tobytes(), end[a:b].tobytes()) for a, b in _cuts(doc % buckets)]
+        return pa.table({"bucket": pa.array([x[0] for x in out], pa.int64())} | {n: pa.array([x[k + 1] for x in out], pa.binary()) for k, n in enumerate(("docs", "begins", "ends"))})
+
+    return passages.repartition(shards, "shard").groupBy("shard").applyInArrow(run, "bucket long, docs binary, begins binary, ends binary")
 
-    return passages.repartition(shards, "shard").groupBy("shard").applyInArrow(run, "doc_id long, spans binary")
 
+def _prime_from(n: int) -> int:
+    while any(n % k == 0 for k in range(2, int(n**0.5) + 1)):
+        n += 1
+    return n
 
-def repeated_spans(docs: DataFrame, window: int = WINDOW, hot: int = HOT) -> DataFrame:
-    """doc_id and spans (array of packed intervals) of every document with repeated windows."""
+
+def repeated_spans(docs: DataFrame, window: int = WINDOW, hot: int = HOT) -> tuple[DataFrame, int]:
+    """By bucket (doc_id modulo the number returned): docs with packed intervals; no ends: the whole text."""
     if window < RUN:
         raise ValueError(f"a window has at least {RUN} words")
     spark = docs.sparkSession
     docs = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     shards = max(1, -(-size // SHARD_BYTES))
-    path = new_path(spark, "minimisers")
-    shared_minimisers(docs, window, shards, hot).write.parquet(path)
+    buckets = _prime_from(shards + 1)
+    known = materialise(shared_minimisers(docs, window, shards, buckets, hot), "minimisers")
     finished(spark)
-    known = spark.read.parquet(path).groupBy("doc_id").agg(F.collect_list("cold").alias("cold"), F.collect_list("warm").alias("warm"))
-    spans = materialise(search_shards(send_passages(docs.join(known, "doc_id"), window, shards), window, shards), "spans")
-    discard(spark, path)
+    placed = docs.withColumn("bucket", F.pmod("doc_id", F.lit(buckets)))
+    spans = materialise(search_shards(send_passages(placed, known, window, shards), window, shards, buckets), "spans")
     finished(spark)
-    return spans.groupBy("doc_id").agg(F.collect_list("spans").alias("spans"))
+    none = F.lit(None).cast("binary")
+    copies = known.where(F.octet_length("copies") > 0).select("bucket", F.col("copies").alias("docs"), none.alias("begins"), none.alias("ends"))
+    return spans.unionByName(copies), buckets
 
 
-def covered(spans: list[bytes], words: int) -> np.ndarray:
-    mask = np.zeros(words + 1, np.int64)
-    for a, b in np.frombuffer(b"".join(spans), np.uint32).reshape(-1, 2).astype(np.int64):
-        mask[a] += 1
-        mask[b] -= 1
-    return np.cumsum(mask)[:-1] > 0
+def covered(begins: np.ndarray, ends: np.ndarray, words: int) -> np.ndarray:
+    steps = np.bincount(np.minimum(begins, words), minlength=words + 1) - np.bincount(np.minimum(ends, words), minlength=words + 1)
+    return np.cumsum(steps)[:-1] > 0
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW, with_text: bool = False, hot: int = HOT) -> DataFrame:
     """``docs`` with n_words, n_removed and kept_sha256; ``with_text`` replaces text (kept words,
     one space between) where words were removed."""
-    spans = repeated_spans(docs, window, hot).select(F.col("doc_id").alias("__id"), "spans")
-    joined = docs.drop("spans", "__id").join(spans, F.col("doc_id") == F.col("__id"), "left").drop("__id")
-    names = "n_words long, n_removed long, kept_sha256 string" + (", kept_text string" if with_text else "")
-
-    def make():
-        def work(batch: pa.RecordBatch) -> list[pa.Array]:
-            out: list[list] = [[] for _ in range(4)]
-            for text, found in zip(byte_texts(batch.column("text")), batch.column("spans").to_pylist()):
-                words = (text or b"").split()
-                kept = words
-                if found:
-                    kept = [words[i] for i in np.flatnonzero(~covered(found, len(words))).tolist()]
-                line = b" ".join(kept)
-                row = (len(words), len(words) - len(kept), hashlib.sha256(line).hexdigest(), line.decode("utf-8") if len(kept) < len(words) else None)
-                for column, value in zip(out, row):
-                    column.append(value)
-            made = [pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.string())]
-            return [*made, pa.array(out[3], pa.string())] if with_text else made
-
-        return work
-
-    done = with_columns(joined, names, make).drop("spans")
-    if with_text:
-        done = done.withColumn("text", F.coalesce("kept_text", "text")).drop("kept_text")
-    return done
+    names = ["n_words", "n_removed", "kept_sha256"]
+    docs = docs.drop(*names, "__bucket")
+    spans, buckets = repeated_spans(docs, window, hot)
+    columns = docs.columns
+
+    def cut(texts: pa.Table, found: pa.Table | None) -> pa.Table:
+        owner, begin, end = [], [], []
+        for row in found.to_pylist() if found is not None else ():
+            ids = np.frombuffer(row["docs"], np.int64)
+            owner.append(ids)
+            begin.append(np.zeros(len(ids), np.int64) if row["ends"] is None else np.frombuffer(row["begins"], np.uint32).astype(np.int64))
+            end.append(np.full(len(ids), 1 << 40) if row["ends"] is None else np.frombuffer(row["ends"], np.uint32).astype(np.int64))
+        owner, begin, end = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (owner, begin, end))
+        order = np.argsort(owner, kind="stable")
+        owner, begin, end = owner[order], begin[order], end[order]
+        out: list[list] = [[] for _ in range(4)]
+        for doc_id, text in zip(texts.column("doc_id").to_pylist(), byte_texts(texts.column("text").combine_chunks())):
+            words = (text or b"").split()
+            kept = words
+            if doc_id is not None and len(owner):
+                a, b = np.searchsorted(owner, [doc_id, doc_id + 1])
+                if b > a:
+                    kept = [words[i] for i in np.flatnonzero(~covered(begin[a:b], end[a:b], len(words))).tolist()]
+            line = b" ".join(kept)
+            for column, value in zip(out, (len(words), len(words) - len(kept), hashlib.sha256(line).hexdigest(), line.decode("utf-8") if len(kept) < len(words) else None)):
+                column.append(value)
+        made = {c: texts.column(c) for c in columns}
+        if with_text:
+            made["text"] = pa.array([t if o is None else o for t, o in zip(texts.column("text").to_pylist(), out[3])], pa.string())
+        return pa.table(made | {n: pa.array(x, t) for n, x, t in zip(names, out, (pa.int64(), pa.int64(), pa.string()))})
+
+    def alone(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield from cut(pa.Table.from_batches([batch]), None).to_batches()
+
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "n_words long, n_removed long, kept_sha256 string"])
+    placed = docs.where("doc_id IS NOT NULL").withColumn("__bucket", F.pmod(F.col("doc_id").cast("long"), F.lit(buckets)))
+    done = placed.groupBy("__bucket").cogroup(spans.groupBy("bucket")).applyInArrow(cut, schema)
+    # rows without an id take no part, and may be many: they are cut where they are
+    return done.unionByName(docs.where("doc_id IS NULL").mapInArrow(alone, schema))
