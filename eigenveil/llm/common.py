@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
 from collections.abc import Iterable
 
@@ -131,8 +132,10 @@ def batches_of(rows: Iterable[dict], schema: pa.Schema, size: int = 4096):
 
 def finished(spark: SparkSession) -> None:
     """Let the driver's collector run, so that shuffle files of finished jobs are dropped before more are made."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # what the first pass lets go of holds more
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 _PER_WORKER: dict = {}

@@ -4,7 +4,7 @@ Words are runs of characters other than ASCII white space.  A window is ``window
 consecutive words of one document; a word is removed if it lies in a window that also
 starts in a document with a smaller doc_id, judged on the texts as they came.
 
-1. Every window is named by its minimiser, the least hash among its 6-word runs, so
+1. Every window is named by its minimiser, the least hash among its 5-word runs, so
    equal windows have equal minimisers in whatever document they stand.  Minimisers
    that stand in two documents or more are found by hash shards of packed blocks, and so
    are documents whose whole word sequence an earlier document has: of these all words
@@ -38,10 +38,10 @@ from pyspark.sql import functions as F
 from .common import WordHashes, byte_texts, finished, materialise, mixed, window_hashes
 from .fm_index import FmIndex
 
-WINDOW, RUN, HOT = 13, 6, 64
+WINDOW, RUN, HOT = 13, 5, 64
 #: Bytes of text for which one shard is planned.
 SHARD_BYTES = 8 << 20
-_BLOCK_WORDS = 1_000_000
+_BLOCK_WORDS = 2_000_000
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
