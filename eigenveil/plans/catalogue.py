@@ -713,4 +713,55 @@ def win_session(spark, sf_dir):
     return streaming.visits(table(spark, sf_dir, "events")).select("user_id", F.unix_micros("start").alias("start_us"), "n")
 
 
+@query("accuracy_drop")
+def accuracy_drop(spark, sf_dir):
+    """Points of F1 lost at each budget against no noise."""
+    return measures.drop(WORKLOADS["w5_planted"](spark, sf_dir))
+
+
+@query("epochs_to_converge")
+def epochs_to_converge(spark, sf_dir):
+    return measures.epochs_to_converge(WORKLOADS["w4_training_loss"](spark, sf_dir), tol=1e-3, patience=3)
+
+
+def _members(spark, sf_dir):
+    base = cohort.split(noise.laplace(sources.planted_faces(table(spark, sf_dir, "embeddings")).select("id", "label", F.col("px").cast("array<double>").alias("pv")), "pv", 8.0, 1.0, "k1"))
+    net = classify.mlp_fit(base.where("split = 'train'"), hidden=(64,), max_iter=60)
+    return classify.predict(base, net).withColumn("member", F.col("split") == "train")
+
+
+@query("membership_inference")
+def membership_inference(spark, sf_dir):
+    """Advantage of telling training rows from others by the confidence of a model of released rows."""
+    return attack.membership(_members(spark, sf_dir))
+
+
+@query("memorisation_gap")
+def memorisation_gap(spark, sf_dir):
+    rated = _members(spark, sf_dir)
+    return attack.memorisation_gap(rated.where("member"), rated.where("NOT member"))
+
+
+@query("event_grid", "SELECT user_id, day, sum(n)::BIGINT AS n FROM (SELECT user_id, ts::DATE AS day, count(*) AS n FROM events GROUP BY 1, 2) GROUP BY 1, 2")
+def event_grid(spark, sf_dir):
+    grid = sources.event_windows(table(spark, sf_dir, "events"))
+    return grid.select("user_id", "day", F.aggregate("px", F.lit(0.0), lambda a, x: a + x).cast("long").alias("n"))
+
+
+@query("incremental_stream")
+def incremental_stream(spark, sf_dir):
+    """Covariance diagonal of a state folded batch by batch from a replayed stream."""
+    import tempfile
+    import time
+
+    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="moments-")
+    folder = f"{root}/moments-{time.time_ns()}"
+    streaming.write_captures(vectors(spark, sf_dir), f"{folder}/in", 3)
+    sink = streaming.IncrementalMoments(spark, f"{folder}/state")
+    streaming.capture(spark, f"{folder}/in").writeStream.foreachBatch(sink).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True).start().awaitTermination()
+    return moments.vector_form(spark, sink.current()[1].covariance().diagonal())
+
+
+SQL["incremental_stream"] = f"WITH {E} SELECT idx, round(var_samp(x), 9) AS value FROM e GROUP BY 1"
+
 QUERIES |= WORKLOADS
