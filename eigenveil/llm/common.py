@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import time
@@ -76,7 +77,7 @@ def bounded_sample(df: DataFrame, key: str, rows: int) -> DataFrame:
 class WordHashes(dict):
     """Memo of 64-bit word hashes; it forgets everything when it holds ``limit`` words."""
 
-    def __init__(self, limit: int = 400_000):
+    def __init__(self, limit: int = 200_000):
         super().__init__()
         self.limit = limit
 
@@ -130,6 +131,15 @@ def batches_of(rows: Iterable[dict], schema: pa.Schema, size: int = 4096):
         yield pa.RecordBatch.from_pylist(held, schema=schema)
 
 
+def trim() -> None:
+    """Give memory that a Python worker has freed back to the system, as workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def finished(spark: SparkSession) -> None:
     """Let the driver's collector run, so that shuffle files of finished jobs are dropped before more are made."""
     for _ in range(2):  # what the first pass lets go of holds more
@@ -148,7 +158,7 @@ def per_worker(key, make):
     return _PER_WORKER[key]
 
 
-def with_columns(df: DataFrame, added: str, make, rows: int = 2_000) -> DataFrame:
+def with_columns(df: DataFrame, added: str, make, rows: int = 500) -> DataFrame:
     """``df`` with the columns named in the DDL ``added``, which replace columns of these names.
 
     ``make`` runs once in each task and returns a function from a record batch (of at most
@@ -163,6 +173,8 @@ def with_columns(df: DataFrame, added: str, make, rows: int = 2_000) -> DataFram
             for at in range(0, batch.num_rows, rows):
                 part = batch.slice(at, rows)
                 yield pa.RecordBatch.from_arrays([*part.columns, *work(part)], [*part.schema.names, *names])
+        del work
+        trim()
 
     kept = ", ".join(f"`{f.name.replace('`', '``')}` {f.dataType.simpleString()}" for f in df.schema.fields)
     return df.mapInArrow(run, f"{kept}, {added}" if kept else added)

@@ -174,7 +174,7 @@ def label_positions(model: ByteGru, text: str) -> list[tuple[int, str, float]]:
 class DocumentLabeller:
     """Pools word sums to documents; a memo of word rows is bounded by ``limit`` words."""
 
-    def __init__(self, model: ByteGru, limit: int = 300_000):
+    def __init__(self, model: ByteGru, limit: int = 150_000):
         self.model, self.limit = model, limit
         self.known: dict[bytes, int] = {}
         self.rows = np.zeros((0, len(model.languages) + 1))

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, byte_texts, materialise, mixed, window_hashes
+from .common import WordHashes, byte_texts, materialise, mixed, trim, window_hashes
 from .components import connected_components
 
 WIDTH = 5
@@ -116,6 +116,8 @@ def sign_documents(docs: DataFrame, width: int = WIDTH) -> DataFrame:
                     column.append(value)
             lists = pa.list_(pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in columns[:3]), *(pa.array(x, lists) for x in columns[3:])], ["doc_id", "n_shingles", "f0", "f1", "bands", "sketch", "parity"])
+        del hashes
+        trim()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, f0 long, f1 long, bands array<long>, sketch array<long>, parity array<long>")
 

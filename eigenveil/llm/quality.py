@@ -39,7 +39,7 @@ def _shape(word: bytes) -> bytes:
 class TermCounter(dict):
     """Memo from a word to the buckets of its terms; ``counts`` gives a document's bucket counts."""
 
-    def __init__(self, limit: int = 300_000):
+    def __init__(self, limit: int = 150_000):
         super().__init__()
         self.limit = limit
 

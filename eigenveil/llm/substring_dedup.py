@@ -35,13 +35,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, byte_texts, finished, materialise, mixed, window_hashes
+from .common import WordHashes, byte_texts, finished, materialise, mixed, trim, window_hashes
 from .fm_index import FmIndex
 
 WINDOW, RUN, HOT = 13, 5, 64
 #: Bytes of text for which one shard is planned.
 SHARD_BYTES = 8 << 20
-_BLOCK_WORDS = 2_000_000
+_BLOCK_WORDS, _SENT_WORDS = 500_000, 2_000_000
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -131,6 +131,8 @@ def shared_minimisers(docs: DataFrame, window: int, shards: int, buckets: int, h
                 for whole, k, o in ((False, keys[first], owner[first]), (True, _whole(starts, words)[long], long)):
                     out += [(s, whole, k[i].tobytes(), o[i].astype(narrow).tobytes(), ids[rows].tobytes()) for s, i in _by_shard(_shard_of(k, shards))]
                 yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out]), *(pa.array([x[k] for x in out], pa.binary()) for k in (2, 3, 4))], ["shard", "whole", "keys", "owners", "ids"])
+        del hashes
+        trim()
 
     def entries(rows: list[dict]) -> tuple[np.ndarray, np.ndarray]:
         """Distinct (key, doc), sorted."""
@@ -209,7 +211,7 @@ def send_passages(docs: DataFrame, known: DataFrame, window: int, shards: int) -
         cold_set, warm_set, copies = np.unique(entry[~is_warm]), np.unique(entry[is_warm]), _joined(found, "copies", np.int64)
         for batch in texts.combine_chunks().to_batches() if len(entry) else ():
             ids = np.asarray(batch.column("doc_id"))
-            for rows, starts, words in _blocks(batch, hashes):
+            for rows, starts, words in _blocks(batch, hashes, _SENT_WORDS):
                 at, owner = _windows(starts, window)
                 if len(copies):
                     alive = ~np.isin(ids[rows], copies)[owner]
@@ -222,6 +224,8 @@ def send_passages(docs: DataFrame, known: DataFrame, window: int, shards: int) -
                 start, size, route, own = _passages(owner, at, keys, np.isin(mark, cold_set), np.isin(mark, warm_set), rolled, window)
                 doc, place = ids[rows][own], start - starts[own]
                 out += [(s, *_pack(words, rolled, start[i], size[i], doc[i], place[i], window)) for s, i in _by_shard(_shard_of(route, shards))]
+        del hashes
+        trim()
         return pa.table({"shard": pa.array([x[0] for x in out], pa.int64())} | {n: pa.array([x[k + 1] for x in out], pa.binary()) for k, n in enumerate(_PACKED)})
 
     return docs.groupBy("bucket").cogroup(known.groupBy("bucket")).applyInArrow(run, "shard long, " + ", ".join(f"{x} binary" for x in _PACKED))
@@ -279,6 +283,7 @@ def search_shards(passages: DataFrame, window: int, shards: int, buckets: int) -
 
     def run(table: pa.Table) -> pa.Table:
         doc, at = repeated_windows(list(zip(*(table.column(x).to_pylist() for x in _PACKED))), window)
+        trim()
         order = np.lexsort((at, doc, doc % buckets))
         doc, at = doc[order], at[order]
         fresh = np.append(True, (doc[1:] != doc[:-1]) | (at[1:] > at[:-1] + 1))[: len(doc)]
