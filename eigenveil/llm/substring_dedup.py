@@ -10,7 +10,8 @@ starts in a document with a smaller doc_id, judged on the texts as they came.
    are documents whose whole word sequence an earlier document has: of these all words
    go, and they need no search.
 2. Documents meet their shared minimisers in buckets of ids.  Consecutive windows with one
-   shared minimiser form a passage, which goes to the shard of that minimiser; where a
+   shared minimiser form a passage (or several, of two window lengths at most, that
+   overlap), which goes to the shard of that minimiser; where a
    minimiser is held by more than ``hot`` documents, its windows go one by one to the
    shards of their own hashes, so that contexts of a frequent passage do not meet in one
    place.  Equal passages of a block travel once, with their places.
@@ -169,10 +170,16 @@ def _joined(table: pa.Table, column: str, kind) -> np.ndarray:
 
 
 def _passages(owner: np.ndarray, at: np.ndarray, keys: np.ndarray, cold: np.ndarray, warm: np.ndarray, rolled: np.ndarray, window: int) -> tuple[np.ndarray, ...]:
-    """(start, words, routing key, owner) of runs of cold windows with one minimiser and of single warm windows."""
+    """(start, words, routing key, owner) of runs of cold windows with one minimiser and of single warm windows.
+
+    Runs are cut at ``2 * window`` words (neighbours share ``window - 1``), so that the first
+    and the last window of a passage hold all its words between them.
+    """
     apart = (keys[1:] != keys[:-1]) | (owner[1:] != owner[:-1])
     begins = cold & np.append(True, ~cold[:-1] | apart)[: len(cold)]
-    ends = cold & np.append(~cold[1:] | apart, True)[: len(cold)]
+    number = np.arange(len(cold))
+    begins |= cold & ((number - np.maximum.accumulate(np.where(begins, number, 0))) % (window + 1) == 0)
+    ends = cold & np.append(~cold[1:] | apart | begins[1:], True)[: len(cold)]
     start, single = at[begins], at[warm]
     size = np.concatenate([at[ends] - start + window, np.full(len(single), window)])
     return np.concatenate([start, single]), size, np.concatenate([keys[begins], mixed(rolled[single])]), np.concatenate([owner[begins], owner[warm]])
@@ -186,6 +193,7 @@ def _flat(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
 
 def _pack(words: np.ndarray, rolled: np.ndarray, start: np.ndarray, size: np.ndarray, doc: np.ndarray, place: np.ndarray, window: int) -> tuple[bytes, ...]:
     """Distinct passages (a table of words and places in it) and where they stand."""
+    # no passage is longer than its first and last window together, so these name all its words
     content = mixed(rolled[start] ^ mixed(rolled[start + size - window])) + size.astype(np.uint64)
     _, first, which = np.unique(content, return_index=True, return_inverse=True)
     flat = words[_flat(start[first], size[first])]

@@ -175,6 +175,22 @@ def test_substring_dedup(spark, words, hot):
     assert got == want and sum(x[1] for x in want.values()) > 100
 
 
+def test_substring_dedup_equal_ends_and_lengths(spark):
+    """Passages of one minimiser that differ only in the middle stay apart."""
+
+    def one_minimiser(word):
+        hashes = substring_dedup.WordHashes().of([b"%d" % word] * 20 + [b"x"] + [b"%d" % word] * 19)
+        return len(set(substring_dedup._minimisers(hashes, 13).tolist())) == 1
+
+    same = str(next(k for k in range(1000) if one_minimiser(k)))
+    middle = [same] * 20 + ["x"] + [same] * 19
+    texts = [[same] * 40, middle, ["a", "b", *middle[12:29], "c"], ["d", *middle[9:22], "e"]]
+    df = documents(spark, [" ".join(t) for t in texts])
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.remove_repeats(df).collect()}
+    assert got == brute_repeats(list(enumerate(map(" ".join, texts))))
+    assert [got[i][1] for i in range(4)] == [0, 39, 17, 13]
+
+
 def test_substring_dedup_edges(spark, odd_docs):
     got = substring_dedup.remove_repeats(odd_docs, with_text=True)
     assert got.count() == odd_docs.count()
