@@ -199,7 +199,7 @@ def _pack(words: np.ndarray, rolled: np.ndarray, start: np.ndarray, size: np.nda
     flat = words[_flat(start[first], size[first])]
     table, coded = np.unique(flat, return_inverse=True)
     narrow = np.uint16 if len(table) < 65_536 else np.uint32
-    return table.tobytes(), coded.astype(narrow).tobytes(), size[first].astype(np.uint16).tobytes(), which.astype(np.uint32).tobytes(), doc.tobytes(), place.astype(np.uint32).tobytes()
+    return table.tobytes(), coded.astype(narrow).tobytes(), size[first].astype(np.uint32).tobytes(), which.astype(np.uint32).tobytes(), doc.tobytes(), place.astype(np.uint32).tobytes()
 
 
 _PACKED = ("words", "coded", "sizes", "which", "docs", "places")
@@ -243,7 +243,7 @@ def repeated_windows(blocks: list[tuple[bytes, ...]], window: int) -> tuple[np.n
     """(doc, window start) of all windows that an earlier document also has, by an index of the passages."""
     flats, sizes, which, docs, places, base = [], [], [], [], [], 0
     for table, coded, size, at, doc, place in blocks:
-        size = np.frombuffer(size, np.uint16).astype(np.int64)
+        size = np.frombuffer(size, np.uint32).astype(np.int64)
         n = int(size.sum())
         flats.append(np.frombuffer(table, np.uint64)[np.frombuffer(coded, np.uint16 if len(coded) == 2 * n else np.uint32)])
         sizes.append(size)

@@ -191,6 +191,23 @@ def test_substring_dedup_equal_ends_and_lengths(spark):
     assert [got[i][1] for i in range(4)] == [0, 39, 17, 13]
 
 
+def test_substring_dedup_long_repetitive_texts(spark):
+    """Runs of one minimiser over more than 65,536 words, of one word and of a repeated line."""
+    line = "one line of six words again "
+    texts = ["same " * 70_000, "same " * 69_000 + "end", line * 11_500, "start " + line * 11_400]
+    df = documents(spark, texts)
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.remove_repeats(df).collect()}
+    assert got == brute_repeats(list(enumerate(texts))) and [got[i][1] for i in range(4)] == [0, 69_000, 0, 68_400]
+
+
+def test_passage_sizes_are_not_narrowed():
+    hashes = substring_dedup.WordHashes().of([b"same"] * 70_000)
+    rolled = substring_dedup.window_hashes(hashes, 13)
+    packed = substring_dedup._pack(hashes, rolled, np.array([0, 0]), np.array([70_000, 70_000]), np.array([1, 2]), np.array([0, 5]), 13)
+    who, where = substring_dedup.repeated_windows([packed], 13)
+    assert set(who.tolist()) == {2} and where.tolist() == list(range(5, 5 + 69_988))
+
+
 def test_substring_dedup_edges(spark, odd_docs):
     got = substring_dedup.remove_repeats(odd_docs, with_text=True)
     assert got.count() == odd_docs.count()
