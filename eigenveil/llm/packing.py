@@ -2,9 +2,9 @@
 
 Documents become pieces (only those over the limit are cut; the first piece takes the
 remainder), pieces are dealt to groups of bounded size by a hash, and each group is
-packed on its own: best fit over decreasing lengths, then a local search that empties
-the least filled bins by moves, one-for-one and two-for-one exchanges, each of which
-raises the sum of squared fills.  Null texts are empty documents (their end id alone),
+packed on its own: best fit over decreasing lengths, then a local search over all
+underfull bins that empties the least filled ones by moves, one-for-one and two-for-one
+exchanges, each of which raises the sum of squared fills, until none gains.  Null texts are empty documents (their end id alone),
 repeated rows are packed as often as they stand there, an empty table gives no rows.
 """
 
@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import zlib
 from bisect import bisect_left, insort
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -83,67 +84,124 @@ def best_fit(lengths: np.ndarray, limit: int) -> list[list[int]]:
     return bins
 
 
-def local_search(bins: list[list[int]], lengths: np.ndarray, limit: int, partners: int = 256, rounds: int = 64) -> list[list[int]]:
+def _returns(items: tuple[int, ...]) -> list[int]:
+    """The lengths that a bin can give back for one item taken: none, one item's, two items'."""
+    sizes = sorted(set(items))
+    twice = {n for n, m in zip(items, items[1:]) if n == m}
+    pairs = {a + b for k, a in enumerate(sizes) for b in sizes[k + 1 :]} | {2 * n for n in twice}
+    return sorted({0, *sizes} | pairs)
+
+
+class _Partners:
+    """Distinct compositions (sorted item lengths) of underfull bins, by what they can give back and by room."""
+
+    def __init__(self, limit: int):
+        self.limit, self.count = limit, Counter()
+        self.holders: list[list[tuple[int, tuple[int, ...]]]] = [[] for _ in range(limit + 1)]
+        #: the greatest room among the bins that can give back so much, and -1 without any
+        self.room = np.full(limit + 1, -1, np.int64)
+
+    def add(self, items: tuple[int, ...]) -> None:
+        self.count[items] += 1
+        if self.count[items] == 1:
+            entry = (self.limit - sum(items), items)
+            for back in _returns(items):
+                insort(self.holders[back], entry)
+                self.room[back] = self.holders[back][-1][0]
+
+    def remove(self, items: tuple[int, ...]) -> None:
+        self.count[items] -= 1
+        if not self.count[items]:
+            del self.count[items]
+            entry = (self.limit - sum(items), items)
+            for back in _returns(items):
+                held = self.holders[back]
+                held.pop(bisect_left(held, entry))
+                self.room[back] = held[-1][0] if held else -1
+
+    def best(self, source: tuple[int, ...]) -> tuple[int, int, tuple[int, ...]] | None:
+        """(item, length given back, partner) of the greatest gain that raises the sum of squared fills."""
+        room, found, most = self.limit - sum(source), None, 0
+        for n in sorted(set(source), reverse=True):
+            if n <= most:
+                break
+            for back in np.flatnonzero(self.room[: n - most] >= n - np.arange(n - most)).tolist():
+                # the fullest bin that takes the gain; it must end up fuller than the source was
+                gain, held = n - back, self.holders[back]
+                least, items = held[bisect_left(held, (gain,))]
+                if least < room + gain:
+                    found, most = (n, back, items), gain
+                    break
+        return found
+
+
+def _without(items: tuple[int, ...], back: int) -> tuple[list[int], list[int]]:
+    """What stays and what is given back, of ``back`` in all: nothing, one item or two."""
+    left = list(items)
+    if not back:
+        return left, []
+    if back in left:
+        left.remove(back)
+        return left, [back]
+    number = Counter(items)
+    one = next(n for n in left if (number[back - n] > 1 if back - n == n else back - n in number))
+    left.remove(one)
+    left.remove(back - one)
+    return left, [one, back - one]
+
+
+def local_search(bins: list[list[int]], lengths: np.ndarray, limit: int) -> list[list[int]]:
     """Empty underfull bins by moves and exchanges that raise the sum of squared fills.
 
-    The least filled bin gives; up to ``partners`` of the fullest underfull bins take.
-    A move puts one of its items into a partner's room; an exchange puts a longer item
-    there and takes back one shorter item, or two that are shorter together.  A bin
-    that can give nothing more is left as it is.  ``rounds`` bounds the steps per bin.
+    The least filled bins give first, and all other underfull bins can take: a move puts
+    an item into a partner's room; an exchange puts a longer item there and takes back one
+    shorter item, or two that are shorter together.  Bins with items of equal lengths are
+    tried once.  This goes on until no step gains anywhere, or until the bins are as few
+    as the total length allows.
     """
     length = lengths.tolist()
     fill = [sum(length[i] for i in b) for b in bins]
-    stuck: set[int] = set()
-
-    def step(source: int, targets: list[int]) -> bool:
-        for t in targets:
-            room = limit - fill[t]
-            best: tuple[int, int, tuple[int, ...]] | None = None
-            theirs = sorted(bins[t], key=length.__getitem__)
-            sizes = [length[i] for i in theirs]
-            for i in bins[source]:
-                n = length[i]
-                if n <= room:
-                    gain, back = n, ()
-                    best = max(best or (0, 0, ()), (gain, i, back))
-                    continue
-                at = bisect_left(sizes, n - room)
-                if at < len(sizes) and sizes[at] < n:
-                    best = max(best or (0, 0, ()), (n - sizes[at], i, (theirs[at],)))
-                for k, small in enumerate(sizes):
-                    if small >= n:
-                        break
-                    j = bisect_left(sizes, n - room - small, k + 1)
-                    if j < len(sizes) and small + sizes[j] < n:
-                        best = max(best or (0, 0, ()), (n - small - sizes[j], i, (theirs[k], theirs[j])))
-                        break
-            if best and best[0] and fill[t] + best[0] > fill[source] - best[0]:
-                gain, i, back = best
-                bins[source].remove(i)
-                bins[t].append(i)
-                for j in back:
-                    bins[t].remove(j)
-                    bins[source].append(j)
-                fill[t] += gain
-                fill[source] -= gain
-                return True
-        return False
-
-    while True:
-        under = sorted((b for b in range(len(bins)) if 0 < fill[b] < limit), key=fill.__getitem__)
-        source = next((b for b in under if b not in stuck), None)
-        if source is None or len(under) < 2:
-            break
-        # without enough room elsewhere no bin can become empty
-        if sum(limit - fill[b] for b in under if b != source) < fill[source]:
-            break
-        for _ in range(rounds):
-            targets = [b for b in reversed(under) if b != source and fill[b] < limit][:partners]
-            if not bins[source] or not step(source, targets):
-                break
-        if bins[source]:
-            stuck.add(source)
-    return [b for b in bins if b]
+    spare = sum(limit - n for n in fill)
+    if spare < limit:
+        return [b for b in bins if b]
+    under = [b for b, n in zip(bins, fill) if 0 < n < limit]
+    done = [b for b, n in zip(bins, fill) if b and not 0 < n < limit]
+    partners, full = _Partners(limit), []
+    for b in under:
+        partners.add(tuple(sorted(length[i] for i in b)))
+    gained = True
+    while gained and spare >= limit:
+        gained = False
+        for first in sorted(partners.count, key=lambda x: (sum(x), x)):
+            while first in partners.count and spare >= limit:
+                source = first
+                partners.remove(source)
+                while source and (step := partners.best(source)):
+                    item, back, target = step
+                    partners.remove(target)
+                    stays, given = _without(target, back)
+                    taken = tuple(sorted([*stays, item]))
+                    if sum(taken) < limit:
+                        partners.add(taken)
+                    else:
+                        full.append(taken)
+                    rest = list(source)
+                    rest.remove(item)
+                    source = tuple(sorted([*rest, *given]))
+                if source:
+                    partners.add(source)
+                else:
+                    spare -= limit
+                if source == first:
+                    break
+                gained = True
+    # items of one length are alike: hand them out to the compositions found
+    pool: dict[int, list[int]] = {}
+    for b in reversed(under):
+        for i in reversed(b):
+            pool.setdefault(length[i], []).append(i)
+    found = full + [x for x in sorted(partners.count, reverse=True) for _ in range(partners.count[x])]
+    return done + [[pool[n].pop() for n in reversed(x)] for x in found]
 
 
 def pack(lengths: np.ndarray, limit: int) -> list[list[int]]:

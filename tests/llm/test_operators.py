@@ -118,6 +118,22 @@ def test_local_search_empties_bins():
     assert squares(then) >= squares(first) and all(many[b].sum() <= 2048 for b in then)
 
 
+def test_local_search_leaves_no_gaining_step():
+    """Over more than 256 underfull bins: no move or exchange between any two of them gains."""
+    many = np.random.default_rng(5).integers(500, 1000, 1200)
+    first = packing.best_fit(many, 2048)
+    then = packing.local_search([list(b) for b in first], many, 2048)
+    assert sorted(i for b in then for i in b) == list(range(1200)) and all(many[b].sum() <= 2048 for b in then)
+    assert len(first) > 300 and len(then) < len(first) - 10
+    under = {tuple(sorted(many[b].tolist())) for b in then if many[b].sum() < 2048}
+    if sum(2048 - many[b].sum() for b in then) >= 2048:
+        for t in under:
+            backs = {0, *t, *(a + b for k, a in enumerate(t) for b in t[k + 1 :])}
+            for s in under - {t}:
+                for gain in (n - back for n in s for back in backs):
+                    assert not 0 < gain <= 2048 - sum(t) or sum(t) + gain <= sum(s)
+
+
 # --- passages ----------------------------------------------------------------------
 
 
