@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -40,21 +41,52 @@ def reconstruct(df: DataFrame, model: spectra.EigenModel, column: str = "pv", ou
     return project.mapped(df, column, out, None, make)
 
 
-def nearest_rate(probes: DataFrame, gallery: DataFrame, vector: str, limit: int = 5_000) -> DataFrame:
-    """Share of probes whose nearest gallery row has their own id; the gallery's size is checked."""
-    rows = gallery.select("id", vector).limit(limit + 1).collect()
-    if len(rows) > limit:
-        raise ValueError("the gallery of a matching attack is bounded; block it")
-    ids, x = np.array([r["id"] for r in rows]), np.array([r[vector] for r in rows], np.float64)
-    sent = probes.sparkSession.sparkContext.broadcast((ids, x))
+def _packed(df: DataFrame, vector: str, blocks: int, own: str, other: str, others: int) -> DataFrame:
+    """Rows dealt to ``blocks`` packed blocks, each once for every block of the other side."""
+
+    def pack(part: pa.Table) -> pa.Table:
+        part = part.combine_chunks()
+        x = np.array(part.column("v").to_pylist(), np.float64)
+        return pa.table({own: part.column(own)[:1], "ids": pa.array([np.asarray(part.column("id"), np.int64).tobytes()], pa.binary()), "x": pa.array([x.tobytes()], pa.binary())})
+
+    rows = df.select(F.col("id").cast("long").alias("id"), F.col(vector).cast("array<double>").alias("v"))
+    dealt = rows.withColumn(own, F.pmod(F.xxhash64("id", "v"), F.lit(blocks)))
+    packed = dealt.groupBy(own).applyInArrow(pack, f"{own} long, ids binary, x binary")
+    return packed.withColumn(other, F.explode(F.sequence(F.lit(0).cast("long"), F.lit(others - 1).cast("long"))))
 
-    def make():
-        names, known = sent.value
-        half = (known**2).sum(1) / 2
-        return lambda q: names[np.argmax(q @ known.T - half, 1)][:, None].astype(float)
 
-    found = project.mapped(probes.select("id", vector), vector, "match", None, make)
-    return found.agg(F.avg((F.col("match")[0].cast("long") == F.col("id")).cast("int")).alias("rate"), F.count("*").alias("n"))
+def nearest_rate(probes: DataFrame, gallery: DataFrame, vector: str, block_bytes: int = 4 << 20) -> DataFrame:
+    """Share of probes whose nearest gallery row (of ties the one with the least id) has their own id.
+
+    Packed blocks of both sides of about ``block_bytes`` meet in pairs, and each probe
+    keeps its best over all blocks; no side is collected or bounded.
+    """
+    first = gallery.select(F.size(vector).alias("n")).first()
+    if first is None:
+        return probes.agg(F.lit(None).cast("double").alias("rate"), F.count("*").alias("n"))
+    rows = max(1, block_bytes // (8 * max(1, first["n"])))
+    p, g = (max(1, -(-side.count() // rows)) for side in (probes, gallery))
+
+    def match(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        if left.num_rows and right.num_rows:
+            ids, names = (np.frombuffer(t.column("ids")[0].as_py(), np.int64) for t in (left, right))
+            q, known = (np.frombuffer(t.column("x")[0].as_py()).reshape(n, -1) for t, n in ((left, len(ids)), (right, len(names))))
+            order = np.argsort(names, kind="stable")
+            names, known = names[order], known[order]
+            half = (known**2).sum(1) / 2
+            for at in range(0, len(q), 1024):
+                score = q[at : at + 1024] @ known.T - half
+                best = score.argmax(1)
+                out.append((np.arange(at, at + len(best)), ids[at : at + 1024], names[best], score[np.arange(len(best)), best]))
+        k, who, found, score = (np.concatenate(x) for x in zip(*out)) if out else (np.empty(0, np.int64),) * 4
+        part = left.column("p")[0].as_py() if left.num_rows else 0
+        return pa.table({"p": pa.array(np.full(len(k), part), pa.int64()), "k": pa.array(k, pa.int64()), "id": pa.array(who, pa.int64()), "match": pa.array(found, pa.int64()), "score": pa.array(score, pa.float64())})
+
+    sides = _packed(probes, vector, p, "p", "g", g), _packed(gallery, vector, g, "g", "p", p)
+    met = sides[0].groupBy("p", "g").cogroup(sides[1].groupBy("p", "g")).applyInArrow(match, "p long, k long, id long, match long, score double")
+    best = met.groupBy("p", "k").agg(F.max(F.struct("score", (-F.col("match")).alias("back"), "id")).alias("b"))
+    return best.agg(F.avg((-F.col("b.back") == F.col("b.id")).cast("int")).alias("rate"), F.count("*").alias("n"))
 
 
 def link(rel_a: DataFrame, rel_b: DataFrame, column: str = "pv") -> DataFrame:

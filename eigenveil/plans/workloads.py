@@ -153,7 +153,6 @@ def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), d
     attacker = attack.fit_attacker(images, 200) if domain == "pixel" else model.eigen
     targets = cohort.split(images).where("split = 'test'")
     scaled = model.scaled(targets.withColumn("truth", F.col("px"))).persist()
-    gallery_limit = scaled.count()
     out = []
     for eps in budgets:
         if domain == "pixel":
@@ -163,7 +162,7 @@ def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), d
             noisy = scaled.withColumn("pv", F.col("scaled") if eps is None else perturb("scaled", eps, model.delta, KEY, "id"))
         guessed = attack.reconstruct(noisy, attacker, add_mean=True, domain=domain, edge=model)
         rated = measures.reconstruction(guessed.withColumn("px", F.col("truth").cast("array<double>"))).agg(F.avg("mse").alias("mse"), F.avg("psnr").alias("psnr"), F.avg("cosine").alias("cosine"))
-        found = attack.nearest_rate(guessed.select("id", F.col("guess").alias("v")), targets.select("id", F.col("px").cast("array<double>").alias("v")), "v", max(1, gallery_limit)).select(F.col("rate").alias("reid"))
+        found = attack.nearest_rate(guessed.select("id", F.col("guess").alias("v")), targets.select("id", F.col("px").cast("array<double>").alias("v")), "v").select(F.col("rate").alias("reid"))
         out.append(rated.crossJoin(found).withColumn("eps", F.lit(eps).cast("double")))
     done = sources_free(_union(out))
     scaled.unpersist()

@@ -275,3 +275,24 @@ def test_empty_and_bad_inputs(spark):
         release.PrivateEigenRelease(ReleaseParams(nc=2, eps=1.0, key="k")).fit(empty)
     with pytest.raises(Exception, match="one length"):
         moments.moments(spark.createDataFrame([([1.0],), ([1.0, 2.0],)], "px array<float>").coalesce(1))
+
+
+def test_nearest_rate_has_no_bound(spark):
+    """Over 5,000 rows in the gallery, and small blocks against one block and brute force."""
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(5_200, 4))
+    noisy = x[:700] + rng.normal(size=(700, 4)) * 0.1
+    a = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(noisy)], "id long, pv array<double>")
+    b = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, pv array<double>")
+    near = ((noisy[:, None] - x[None]) ** 2).sum(2).argmin(1)
+    for size in (4 << 20, 16_384 * 4):
+        got = attack.nearest_rate(a, b, "pv", block_bytes=size).first()
+        assert got.n == 700 and got.rate == pytest.approx((near == np.arange(700)).mean())
+    assert attack.link(b, b).first().rate == 1.0
+
+
+def test_perceptron_beyond_the_bound(spark, sf):
+    base = sources.planted_faces(sources.table(spark, sf, "embeddings")).select("id", "label", F.col("px").cast("array<double>").alias("pv"))
+    net = classify.mlp_fit(base, hidden=(32,), max_iter=30, limit=100)
+    assert len(net.losses) == 30 and net.losses[-1] < net.losses[0]
+    assert measures.accuracy(classify.predict(base, net)).first().accuracy > 0.9
