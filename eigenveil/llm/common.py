@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
 import ctypes
-import gc
+import re
+import shutil
 import tempfile
-import time
 import uuid
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +19,8 @@ from pyspark.sql import functions as F
 
 #: One temporary folder per application, used only where the session names no shared one.
 _OWN_DIRS: dict[str, str] = {}
+#: Runtime setting (Spark 4.1): shuffle files go when the query that made them ends.
+_TIDY = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,13 +28,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, else an own one."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``.
+
+    Where it is unset and all executors run in the driver's process, an own temporary
+    folder; anywhere else a ValueError, as other machines would not see that folder.
+    """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN_DIRS:
         _OWN_DIRS[app] = "file://" + tempfile.mkdtemp(prefix="shared-")
+        atexit.register(shutil.rmtree, _OWN_DIRS[app].removeprefix("file://"), ignore_errors=True)
     return _OWN_DIRS[app]
 
 
@@ -38,18 +49,32 @@ def new_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
 
 
+@contextmanager
+def tidy_shuffles(spark: SparkSession):
+    """Within it, a query's shuffle files go as soon as the query ends: what it wrote stays."""
+    before = spark.conf.get(_TIDY, "false")
+    spark.conf.set(_TIDY, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(_TIDY, before)
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back, which cuts its lineage."""
+    """Write ``df`` as Parquet in the shared folder and read it back, which cuts its lineage.
+
+    The shuffle files behind it are dropped; lost executors cost no more than the write.
+    """
     path = new_path(df.sparkSession, tag)
-    df.write.parquet(path)
+    with tidy_shuffles(df.sparkSession):
+        df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def discard(spark: SparkSession, path: str) -> None:
-    """Delete a folder in whichever store it lies."""
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+def discard(df: DataFrame) -> None:
+    """Free the files of a materialised table that nothing reads any more (an empty table takes their place)."""
+    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        df.sparkSession.createDataFrame([], df.schema).write.mode("overwrite").parquet(path)
 
 
 def byte_texts(column: pa.Array) -> list[bytes | None]:
@@ -131,6 +156,26 @@ def batches_of(rows: Iterable[dict], schema: pa.Schema, size: int = 4096):
         yield pa.RecordBatch.from_pylist(held, schema=schema)
 
 
+def sorted_groups(batches: Iterable[pa.RecordBatch], by: list[str]) -> Iterator[pa.Table]:
+    """Tables of the rows that agree in ``by``, from batches in which these stand together."""
+    held: list[pa.Table] = []
+    for batch in batches:
+        now = pa.Table.from_batches([batch])
+        if not len(now):
+            continue
+        values = [np.asarray(now.column(x)) for x in by]
+        apart = np.any([x[1:] != x[:-1] for x in values], axis=0)
+        cuts = [0, *(np.flatnonzero(apart) + 1).tolist(), len(now)]
+        for a, b in zip(cuts, cuts[1:]):
+            part = now.slice(a, b - a)
+            if held and any(held[-1].column(x)[-1].as_py() != part.column(x)[0].as_py() for x in by):
+                yield pa.concat_tables(held)
+                held = []
+            held.append(part)
+    if held:
+        yield pa.concat_tables(held)
+
+
 def trim() -> None:
     """Give memory that a Python worker has freed back to the system, as workers outlive their tasks."""
     pa.default_memory_pool().release_unused()
@@ -140,14 +185,6 @@ def trim() -> None:
         pass
 
 
-def finished(spark: SparkSession) -> None:
-    """Let the driver's collector run, so that shuffle files of finished jobs are dropped before more are made."""
-    for _ in range(2):  # what the first pass lets go of holds more
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.3)
-
-
 _PER_WORKER: dict = {}
 
 

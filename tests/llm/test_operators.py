@@ -337,6 +337,40 @@ def test_near_duplicates_edges(spark, odd_docs):
     assert near_dedup.near_duplicates(empty(spark)).count() == 0
 
 
+def test_near_duplicates_repeated_ids(spark, words):
+    """Rows of one doc_id go by the text with the most shingles, in whatever order they come."""
+    text = lambda seed, n: " ".join(random.Random(seed).choices(words, k=n))
+    rows = [(5, text(1, 90)), (5, text(2, 40)), (3, text(1, 90)), (9, text(2, 40)), (9, text(2, 40)), (None, text(1, 90)), (None, text(1, 90))]
+    for order in (rows, rows[::-1]):
+        got = near_dedup.near_duplicates(spark.createDataFrame(order, "doc_id long, text string")).collect()
+        assert sorted((r.doc_id or 0, r.n_shingles, r.component_id or 0, r.kept) for r in got) == [(0, 86, 0, True), (0, 86, 0, True), (3, 86, 3, True), (5, 36, 3, False), (5, 86, 3, False), (9, 36, 9, True), (9, 36, 9, True)]
+
+
+def test_block_pairs_of_one_hot_key(spark):
+    """2,000 classes under one key: only possible pairs leave, whatever blocks they are dealt to."""
+    rng = np.random.default_rng(6)
+    signer = near_dedup.Signatures()
+    sets = [rng.integers(0, 1 << 62, 60, dtype=np.uint64) for _ in range(2000)]
+    for i in range(0, 100, 2):
+        sets[i + 1] = np.append(sets[i][:-2], sets[i + 1][:2])
+    rows = [(0, 7, i, i, len(x), signer.sketch(signer.minima(x)).view(np.int64).tolist(), near_dedup.parity(x).view(np.int64).tolist()) for i, x in enumerate(sets)]
+    df = spark.createDataFrame(rows, "band int, key long, doc_id long, c long, n_shingles long, sketch array<long>, parity array<long>").persist()
+    members, classes = df.select("band", "key", "doc_id", "c"), df.select("doc_id", "n_shingles", "sketch", "parity")
+    for block in (256, 4096):
+        got = {(r.a, r.b) for r in near_dedup.block_pairs(members, classes, 75, near_dedup.sketch_limit(75), block).collect()}
+        assert got == {(i, i + 1) for i in range(0, 100, 2)}
+    df.unpersist()
+
+
+def test_near_duplicates_without_pivots(spark, words, monkeypatch):
+    """The blocks alone find what pivots find."""
+    monkeypatch.setattr(near_dedup, "PIVOT_ROUNDS", 0)
+    base = [random.Random(3).choice(words) for _ in range(100)]
+    texts = [" ".join([*base[:k], "new%d" % k, *base[k + 1 :]]) for k in range(0, 90, 7)] + [" ".join(base)]
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(documents(spark, texts), block=4).collect()}
+    assert got == brute_groups(list(enumerate(texts)))
+
+
 def test_odd_sketches_estimate():
     rng = np.random.default_rng(2)
     signer = near_dedup.Signatures()
@@ -345,7 +379,8 @@ def test_odd_sketches_estimate():
         n = int(2000 * share / (1 + share))
         b = np.concatenate([a[:n], rng.integers(0, 1 << 62, 1000 - n, dtype=np.uint64)])
         bits = int(np.bitwise_count(signer.sketch(signer.minima(a)) ^ signer.sketch(signer.minima(b))).sum())
-        assert (bits == 0) if share == 1 else (bits <= near_dedup.SKETCH_LIMIT) == (share >= 0.75)
+        assert (bits == 0) if share == 1 else (bits <= near_dedup.sketch_limit(75)) == (share >= 0.75)
+        assert abs(float(near_dedup.similarity(bits)) - share) < 0.2
         differ = int(np.bitwise_count(near_dedup.parity(a) ^ near_dedup.parity(b)).sum())
         assert differ <= 2 * (1000 - n)
 
