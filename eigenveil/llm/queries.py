@@ -59,6 +59,24 @@ def op8_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_vectors(table(spark, sf_dir, "embeddings"))
 
 
+#: Second rows of the planted table: every other component times this, by vec_id modulo 5 (cosines about 1, .97, .93, .91, .89).
+PLANTED_FACTORS = (1.0, 1.6, 2.2, 2.6, 3.0)
+PLANTED_FROM = 1_000_000_000
+
+
+def planted_vectors(embeddings: DataFrame) -> DataFrame:
+    """The table and, with other ids, a second row of each vector that stands at a cosine near 0.9 from it."""
+    factor = F.element_at(F.array(*map(F.lit, PLANTED_FACTORS)), (F.pmod("vec_id", F.lit(5)) + 1).cast("int"))
+    vector = F.col("embedding").cast("array<double>")
+    turned = F.transform(vector, lambda x, i: F.when(i % 2 == 0, x * factor).otherwise(x))
+    return embeddings.select("vec_id", vector.alias("embedding")).union(embeddings.select(F.col("vec_id") + PLANTED_FROM, turned))
+
+
+def near_vectors_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op8 on a table that holds links; a higher recall than the default makes the SQL exact."""
+    return near_vectors(planted_vectors(table(spark, sf_dir, "embeddings")), recall=0.9999)
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return learn_and_score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).select("doc_id", "held_out", "score", "predicted")
 
@@ -68,7 +86,8 @@ def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
+    found = {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
+    return found | {"near_vectors_planted": near_vectors_planted}
 
 
 _WORDS = r"regexp_extract_all({}, '[^\x20\x09-\x0D]+')"
@@ -104,16 +123,24 @@ nodes AS (SELECT doc_id AS id FROM documents),
 SELECT id AS doc_id, coalesce(any_value(n), 0) AS n_shingles, min(c) AS component_id, id = min(c) AS kept FROM reach LEFT JOIN n ON n.doc_id = id GROUP BY id
 """
 
-OP8_SQL = f"""
-WITH RECURSIVE v AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+NEAR_VECTORS_SQL = f"""
+WITH RECURSIVE {{given}}v AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM {{rows}} WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
 u AS (SELECT vec_id, x, sqrt(list_dot_product(x, x)) AS n FROM v),
 links AS (SELECT a.vec_id AS a, b.vec_id AS b FROM u a JOIN u b ON a.vec_id <> b.vec_id AND a.n > 0 AND b.n > 0 WHERE list_dot_product(a.x, b.x) >= 0.9 * a.n * b.n),
-nodes AS (SELECT vec_id AS id FROM embeddings),
+nodes AS (SELECT vec_id AS id FROM {{rows}}),
 d AS (SELECT a, count(*) AS n FROM links GROUP BY 1),
 {_REACH}
 SELECT id AS vec_id, coalesce(any_value(n), 0) AS n_links, min(c) AS component_id, id = min(c) AS kept FROM reach LEFT JOIN d ON d.a = id GROUP BY id
 """
 
+OP8_SQL = NEAR_VECTORS_SQL.format(given="", rows="embeddings")
+PLANTED_SQL = NEAR_VECTORS_SQL.format(
+    given=f"""planted AS (SELECT vec_id, embedding::DOUBLE[] AS embedding FROM embeddings UNION ALL
+SELECT vec_id + {PLANTED_FROM}, list_transform(embedding::DOUBLE[], lambda x, i: CASE WHEN i % 2 = 1 THEN x * {list(map(float, PLANTED_FACTORS))}[vec_id % 5 + 1] ELSE x END) FROM embeddings),
+""",
+    rows="planted",
+)
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_substring_dedup": OP2_SQL, "op4_topk": OP4_SQL, "op5_near_dedup": OP5_SQL, "op8_near_vectors": OP8_SQL}
+    return {"op2_substring_dedup": OP2_SQL, "op4_topk": OP4_SQL, "op5_near_dedup": OP5_SQL, "op8_near_vectors": OP8_SQL, "near_vectors_planted": PLANTED_SQL}
