@@ -1,11 +1,13 @@
 """Quality by nearest labelled neighbours in a latent-semantic space.
 
-A document is the counts of its terms (words, word shapes, repeated neighbours; hashed
-to ``TERMS`` buckets), damped by a logarithm, weighted by inverse document frequency
-and rotated into the leading singular directions of a bounded labelled sample.  The
-sample's vectors are broadcast (their number is a parameter, so their size is bounded);
-every document is compared with all of them by blocked cosine products, and the
-``neighbours`` most similar vote with their label, weighted by similarity.
+A document is the counts of its terms, hashed to ``TERMS`` buckets: the shapes of its
+words, the shapes of neighbouring words, neighbours that are equal, and the distinct words
+by how often they occur (in powers of two).  Counts are damped by a logarithm, weighted by
+inverse document frequency and rotated into the leading singular directions of a bounded
+labelled sample; no term has a weight set by hand.  The sample's vectors are broadcast
+(their number is a parameter, so their size is bounded); every document is compared with
+all of them by blocked cosine products, and the ``neighbours`` most similar vote with
+their label, weighted by similarity.
 
 Empty and null texts have no terms; they get the share of label 1 in the sample, as
 does everything if no document is labelled 1 or 0 (then 0.5).  Repeated rows get equal
@@ -23,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, byte_texts, id_bucket, with_columns
+from .common import bounded_sample, byte_texts, id_bucket, mixed, with_columns
 
 TERMS = 4096
 #: Character classes of a shape: lower, upper, digit, other letter or byte; other ASCII stands for itself.
@@ -31,38 +33,43 @@ _CLASSES = bytes(97 if 97 <= b <= 122 or b >= 128 else 65 if 65 <= b <= 90 else
 
 
 def _shape(word: bytes) -> bytes:
-    """The classes of a word's characters, runs made one: ``Hello,,`` is ``Aa,``."""
-    raw = np.frombuffer(word[:64].translate(_CLASSES), np.uint8)
-    return raw[np.append(True, raw[1:] != raw[:-1])].tobytes() if len(raw) else b""
+    """The classes of a word's characters, runs made one, and a coarse length: ``Hello,,`` is ``Aa,``."""
+    raw = np.frombuffer(word.translate(_CLASSES), np.uint8)
+    return raw[np.append(True, raw[1:] != raw[:-1])].tobytes() + bytes([min(len(word), 40) // 4])
 
 
 class TermCounter(dict):
-    """Memo from a word to the buckets of its terms; ``counts`` gives a document's bucket counts."""
+    """Numbers words (the memo holds ``limit`` of them); ``counts`` gives a document's bucket counts."""
+
+    #: buckets: word shapes, pairs of shapes, frequency classes, equal neighbours
+    SHAPES, PAIRS, CLASSES = TERMS // 2, TERMS // 2 - 32, 31
 
     def __init__(self, limit: int = 150_000):
         super().__init__()
         self.limit = limit
+        self.shapes = np.empty(1024, np.uint64)
 
-    def __missing__(self, word: bytes) -> tuple[int, int]:
-        if len(self) >= self.limit:
-            self.clear()
-        shape = _shape(word)
-        # half of the buckets are for words, half for shapes with a coarse length
-        value = self[word] = (xxhash.xxh3_64_intdigest(word.lower()) % (TERMS // 2), TERMS // 2 + xxhash.xxh3_64_intdigest(shape + bytes([min(len(word), 40) // 4])) % (TERMS // 2 - 16))
-        return value
+    def __missing__(self, word: bytes) -> int:
+        at = self[word] = len(self)
+        if at == len(self.shapes):
+            self.shapes = np.concatenate([self.shapes, np.empty(at, np.uint64)])
+        self.shapes[at] = xxhash.xxh3_64_intdigest(_shape(word))
+        return at
 
     def counts(self, text: bytes | None) -> np.ndarray:
         words = (text or b"").split()
         if not words:
             return np.zeros(TERMS, np.float32)
-        got = np.bincount(np.fromiter((i for w in words for i in self[w]), np.int64, 2 * len(words)), minlength=TERMS).astype(np.float32)
-        # the last 16 buckets: tenths of repeated neighbours (in steps of one fifth), of distinct words, and lines
-        same = sum(a == b for a, b in zip(words, words[1:])) / len(words)
-        distinct = len(set(words)) / len(words)
-        heavy = float(np.exp2(12)) - 1
-        got[TERMS - 1 - (min(4, int(same * 10) // 2) if same >= 0.02 else 5)] = heavy
-        got[TERMS - 7 - min(4, int(distinct * 5))] = np.sqrt(heavy)
-        got[TERMS - 16] = text.count(b"\n")
+        if len(self) >= self.limit:
+            self.clear()
+        at = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+        shape = self.shapes[at]
+        pairs = mixed(shape[:-1] * np.uint64(31) + shape[1:]) % np.uint64(self.PAIRS)
+        often = np.log2(np.unique(at, return_counts=True)[1]).astype(np.int64)
+        base = self.SHAPES + self.PAIRS
+        terms = [(shape % np.uint64(self.SHAPES)).astype(np.int64), pairs.astype(np.int64) + self.SHAPES, base + np.minimum(often, self.CLASSES - 1)]
+        got = np.bincount(np.concatenate(terms), minlength=TERMS).astype(np.float32)
+        got[TERMS - 1] = (at[1:] == at[:-1]).sum()
         return got
 
 
