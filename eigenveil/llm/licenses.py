@@ -5,8 +5,9 @@ non-ASCII characters; one automaton then finds all phrases as runs of whole word
 Where the tag phrase occurs, the identifier expressions are read from the text itself,
 parsed by shunting-yard (``with`` binds before ``and``, ``and`` before ``or``) and
 evaluated to the identifiers named and an openness between 0 and 1: the least of an
-``and``, the greatest of an ``or``.  Malformed expressions count as their identifiers
-alone.  Null and empty texts have no words and no labels; each row is scanned on its
+``and``, the greatest of an ``or``.  Malformed expressions count as the identifiers in
+them that are known; a tag line without any known identifier (prose, a broken tag) gets
+the label ``spdx:unknown`` alone.  Null and empty texts have no words and no labels; each row is scanned on its
 own, so repeated rows and further columns change nothing.
 """
 
@@ -57,6 +58,15 @@ OPENNESS = {
     "mpl": 0.7, "epl": 0.7, "lgpl": 0.6, "cc-by-sa": 0.6, "gpl": 0.3, "agpl": 0.2, "cc-by-nc": 0.1, "cc-by-nd": 0.1, "proprietary": 0.0,
 }
 
+# Identifiers that are known (public SPDX names), as families with their versions and suffixes.
+KNOWN = re.compile(
+    r"(mit(-0|-modern-variant)?|isc|0bsd|bsd-[1-4]-clause(-[a-z-]+)?|apache-[12]\.[01]|(a|l)?gpl-[1-3]\.[01](\+|-only|-or-later)?|mpl-[12]\.[01](-no-copyleft-exception)?"
+    r"|epl-[12]\.0|eupl-1\.[0-2]|cddl-1\.[01]|cc0-1\.0|cc-by(-nc)?(-nd|-sa)?-[1-4]\.[05]|cc-pddc|zlib|unlicense|wtfpl|bsl-1\.0|python-2\.0(\.1)?|psf-2\.0|postgresql"
+    r"|artistic-[12]\.0|ofl-1\.[01]|ms-(pl|rl)|ncsa|x11|openssl|ruby|php-3\.0[1]?|vim|curl|libpng(-2\.0)?|ijg|icu|unicode-(3\.0|dfs-201[56])|odbl-1\.0|pddl-1\.0|odc-by-1\.0"
+    r"|blueoak-1\.0\.0|sspl-1\.0|busl-1\.1|afl-[1-3]\.[012]|ecl-[12]\.0|upl-1\.0|w3c|hpnd|proprietary|licenseref-[a-z0-9.-]+)"
+)
+UNKNOWN = "unknown"
+
 #: Weight of evidence of one tag, one notice phrase, one base phrase; the score is 1 - the product of what they leave.
 TAG_WEIGHT, NOTICE_WEIGHT, BASE_WEIGHT = 0.9, 0.6, 0.5
 
@@ -109,17 +119,31 @@ def postfix(text: str) -> list[str]:
     return out + held[::-1]
 
 
+def _licences(order: list[str]) -> list[str]:
+    """Operands of a postfix expression that are no exceptions (the right sides of ``with``)."""
+    stack: list[list[str]] = []
+    for token in order:
+        if token in _BINDS:
+            right, left = stack.pop(), stack.pop()
+            stack.append(left if token == "with" else left + right)
+        else:
+            stack.append([token])
+    return stack[0] if stack else []
+
+
 def openness(identifier: str) -> float:
     low = identifier.lower()
     return OPENNESS[max(found, key=len)] if (found := [x for x in OPENNESS if low.startswith(x)]) else 0.5
 
 
 def evaluate(text: str) -> tuple[set[str], float]:
-    """Identifiers (lower case, exceptions left out) and openness of an expression."""
+    """Known identifiers (lower case, exceptions left out) and openness of an expression; none known: ``unknown``."""
     try:
         order = postfix(text)
     except ValueError:
-        names = {x.lower() for x in _TOKEN.findall(text) if x.lower() not in _BINDS and x not in "()"}
+        order = []
+    if not order or not all(KNOWN.fullmatch(x.lower()) for x in _licences(order)):
+        names = {x.lower() for x in _TOKEN.findall(text) if KNOWN.fullmatch(x.lower())} or ({UNKNOWN} if text.split() else set())
         return names, min(map(openness, names), default=0.0)
     stack: list[tuple[set[str], float]] = []
     for token in order:
@@ -152,10 +176,14 @@ class LicenseScanner:
         base: set[str] = set()
         more: set[str] = set()
         left, tagged = 1.0, False
+        at = number = 0  # a place in the line and the spaces before it
         for last, (width, found) in self.finder.iter(line):
             for kind, label in found:
                 if kind == "base":
-                    starts.append(line.count(" ", 0, last - width + 1))
+                    begin = last - width + 1
+                    number += line.count(" ", at, begin) if begin >= at else -line.count(" ", begin, at)
+                    at = begin
+                    starts.append(number)
                     base.add(label)
                     left *= 1 - BASE_WEIGHT
                 elif kind == "notice":
