@@ -5,10 +5,12 @@ every position with language probabilities, and a document's probabilities are t
 over all positions of its words that hold a letter.  Since its state starts anew at
 each word, a word that occurs again has the same labels, so each distinct word of a
 batch is read once and counted as often as it stands there; whole texts are covered,
-never a prefix.  Words over ``MAX_BYTES`` bytes are read in parts of that length.
+never a prefix.  Words over ``MAX_BYTES`` bytes are read in parts of at most that length
+that end between characters.
 
-It is trained in numpy by backpropagation through time on distinct words of a bounded
-sample of labelled documents, each word with the shares of the languages it was seen in.
+It is trained in numpy by backpropagation through time on the distinct words (all of
+their parts) of a bounded sample of labelled documents, each with the shares of the
+languages it was seen in.  The README states what the restart at each word saves.
 
 Null texts and texts without any letter get ``und`` and score 0.  With no labelled
 document every text is ``und``.
@@ -24,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, byte_texts, id_bucket, with_columns
+from .common import bounded_sample, byte_texts, id_bucket, materialise, with_columns
 
 MAX_BYTES = 24
 #: Symbols: the 256 bytes, the mark before and after each word.
@@ -135,12 +137,28 @@ def _lanes(words: list[bytes]) -> np.ndarray:
     return np.concatenate([edge, raw.astype(np.int64), edge])
 
 
+def _pieces(word: bytes) -> list[bytes]:
+    """Parts of at most MAX_BYTES bytes; a part ends between characters where the bytes are UTF-8."""
+    if len(word) <= MAX_BYTES:
+        return [word]
+    out, at = [], 0
+    while at < len(word):
+        end = min(at + MAX_BYTES, len(word))
+        cut = end
+        while cut < len(word) and cut > end - 4 and word[cut] & 0xC0 == 0x80:
+            cut -= 1
+        end = cut if cut > at and (cut == len(word) or word[cut] & 0xC0 != 0x80) else end
+        out.append(word[at:end])
+        at = end
+    return out
+
+
 def word_parts(words: list[bytes]) -> tuple[list[bytes], list[int]]:
-    """Words cut into parts of at most MAX_BYTES bytes, and the word that each part comes from."""
+    """Words cut into parts, and the word that each part comes from."""
     parts, owner = [], []
     for i, x in enumerate(words):
-        for at in range(0, len(x), MAX_BYTES):
-            parts.append(x[at : at + MAX_BYTES])
+        for part in _pieces(x):
+            parts.append(part)
             owner.append(i)
     return parts, owner
 
@@ -164,10 +182,10 @@ def label_positions(model: ByteGru, text: str) -> list[tuple[int, str, float]]:
     raw, out, at = text.encode(), [], 0
     for word in raw.split():
         at = raw.index(word, at)
-        for k in range(0, len(word), MAX_BYTES):
-            p = model.positions(_lanes([word[k : k + MAX_BYTES]]))[1:-1, 0]
-            out += [(at + k + j, model.languages[int(q.argmax())], float(q.max())) for j, q in enumerate(p)]
-        at += len(word)
+        for part in _pieces(word):
+            p = model.positions(_lanes([part]))[1:-1, 0]
+            out += [(at + j, model.languages[int(q.argmax())], float(q.max())) for j, q in enumerate(p)]
+            at += len(part)
     return out
 
 
@@ -217,11 +235,12 @@ def train(docs: DataFrame, sample_docs: int = 1_500, sample_words: int = 24_000,
         for batch in batches:
             seen: Counter = Counter()
             for text, lang in zip(byte_texts(batch.column("text")), batch.column("lang").to_pylist()):
-                seen.update((w[:MAX_BYTES], lang) for w in set(text.split()))
+                seen.update((part, lang) for w in set(text.split()) for part in _pieces(w))
             keys = list(seen)
             yield pa.RecordBatch.from_pydict({"word": pa.array([w for w, _ in keys], pa.binary()), "lang": pa.array([x for _, x in keys], pa.string()), "n": pa.array([seen[k] for k in keys], pa.int64())})
 
-    words = bounded_sample(labelled, "doc_id", sample_docs).mapInArrow(count, "word binary, lang string, n long").groupBy("word", "lang").agg(F.sum("n").alias("n"))
+    sample = bounded_sample(labelled, "doc_id", sample_docs)
+    words = materialise(sample.mapInArrow(count, "word binary, lang string, n long").groupBy("word", "lang").agg(F.sum("n").alias("n")), "sample-words")
     langs = sorted(x["lang"] for x in words.select("lang").distinct().collect())
     if not langs:
         return None
