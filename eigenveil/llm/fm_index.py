@@ -1,7 +1,9 @@
 """A compressed full-text index over integer sequences: wavelet matrix and backward search.
 
 Suffixes are ordered to a bounded depth, which is all that patterns up to that depth
-need: the bounds of a pattern's interval do not depend on how ties beyond it fall.
+need: the bounds of a pattern's interval do not depend on how ties beyond it fall.  The
+index keeps the wavelet matrix of the Burrows-Wheeler transform and one 32-bit value per
+suffix; neither the text nor the suffix array stays.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ class WaveletMatrix:
             words = np.zeros(len(row) // 64 + 1, np.uint64)
             words.view(np.uint8)[: len(packed)] = packed
             self.bits.append(words)
-            self.before.append(np.concatenate([[0], np.cumsum(np.bitwise_count(words), dtype=np.int64)[:-1]]))
+            self.before.append(np.concatenate([[0], np.cumsum(np.bitwise_count(words), dtype=np.int32)[:-1]]).astype(np.int32))
             self.zeros.append(int(len(row) - row.sum()))
             now = np.concatenate([now[~row], now[row]])
         self.start = self._descend(np.arange(alphabet), np.zeros(alphabet, np.int64))
@@ -41,77 +43,70 @@ class WaveletMatrix:
         return self._descend(symbols, at) - self.start[symbols]
 
 
+def suffix_order(text: np.ndarray, depth: int) -> np.ndarray:
+    """Starts of all suffixes, ordered by their first ``depth`` symbols at least (prefix doubling)."""
+    n = len(text)
+    rank, width = text.astype(np.int64), 1
+    while width < depth and n:
+        after = np.zeros(n, np.int64)
+        after[: max(0, n - width)] = rank[width:] + 1
+        keys = rank * (int(rank.max()) + 2) + after
+        order = np.argsort(keys)
+        ordered = keys[order]
+        fresh = np.cumsum(np.append(False, ordered[1:] != ordered[:-1]))
+        rank[order] = fresh
+        width *= 2
+        if fresh[-1] == n - 1:
+            break
+    return np.argsort(rank)
+
+
 class FmIndex:
-    """Index of ``text`` (integers from 0; 0 separates sequences), for patterns up to ``depth``."""
-
-    def __init__(self, text: np.ndarray, depth: int):
-        self.text = text.astype(np.int64)
-        n = len(text)
-        rank, width = self.text, 1
-        while width < depth + 1 and n:
-            after = np.zeros(n, np.int64)
-            after[: max(0, n - width)] = rank[width:] + 1
-            keys = rank * (int(rank.max()) + 2) + after
-            order = np.argsort(keys)
-            ordered = keys[order]
-            fresh = np.concatenate([[0], np.cumsum(ordered[1:] != ordered[:-1])])
-            rank = np.empty(n, np.int64)
-            rank[order] = fresh
-            width *= 2
-            if fresh[-1] == n - 1:
-                break
-        self.suffixes = np.argsort(rank)
-        self.alphabet = int(self.text.max()) + 1 if n else 1
-        self.counts = np.concatenate([[0], np.cumsum(np.bincount(self.text, minlength=self.alphabet))])
-        self.wavelet = WaveletMatrix(self.text[self.suffixes - 1], self.alphabet)
-
-    def search(self, patterns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Backward search of each row (read from its end): matched symbols, interval, sole occurrence.
-
-        The number of matched symbols is the matching statistic of the row's last
-        position, bounded by the row's length.  Once a match occurs in one place only, it
-        is located there and compared with the text itself; its start is then the fourth
-        value (else -1) and the interval is the one at which that happened.
+    """Index of ``text`` (integers from 0; 0 separates sequences) with a value at each position, for patterns up to ``depth``."""
+
+    def __init__(self, text: np.ndarray, values: np.ndarray, depth: int):
+        order = suffix_order(text, depth + 1)
+        self.size = len(text)
+        self.alphabet = int(text.max()) + 1 if len(text) else 1
+        self.counts = np.concatenate([[0], np.cumsum(np.bincount(text, minlength=self.alphabet))])
+        self.values = values[order].astype(np.int32)
+        self.wavelet = WaveletMatrix(text[order - 1], self.alphabet)
+
+    def least_in(self, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+        """The least value of each interval of suffixes; intervals must not be empty."""
+        if not len(lo):
+            return np.empty(0, np.int32)
+        n = self.size + 1
+        at, back = np.unique(lo * n + hi, return_inverse=True)
+        ordered = np.append(self.values, np.int32(0))
+        return np.minimum.reduceat(ordered, np.stack([at // n, at % n], 1).ravel())[::2][back]
+
+    def matching_statistics(self, stream: np.ndarray, ends: np.ndarray, longest: int) -> tuple[np.ndarray, np.ndarray]:
+        """For each end in ``stream``: the length of the longest match that ends there, up to ``longest``,
+        and the least value among its occurrences.
+
+        Backward search of all ends side by side, one symbol further to the left in each
+        step; an end whose match breaks off keeps the interval it had.  The symbol 0 and
+        symbols that the index lacks match nothing.
         """
-        lanes, width = patterns.shape
-        matched, sole = np.zeros(lanes, np.int64), np.full(lanes, -1, np.int64)
-        lo, hi = np.zeros(lanes, np.int64), np.full(lanes, len(self.text), np.int64)
-        alive = np.arange(lanes)
-        for j in reversed(range(width)):
-            c = patterns[alive, j]
+        matched = np.zeros(len(ends), np.int64)
+        lo, hi = np.zeros(len(ends), np.int64), np.full(len(ends), self.size, np.int64)
+        alive = np.flatnonzero(ends > 0)
+        for j in range(1, longest + 1):
+            alive = alive[ends[alive] >= j]
+            c = stream[ends[alive] - j].astype(np.int64)
             known = (c > 0) & (c < self.alphabet)
             alive, c = alive[known], c[known]
-            if j == width - 1:
+            if j == 1:
                 a, b = self.counts[c], self.counts[c + 1]
             else:
                 both = self.wavelet.rank(np.concatenate([c, c]), np.concatenate([lo[alive], hi[alive]])) + np.tile(self.counts[c], 2)
                 a, b = both[: len(c)], both[len(c) :]
             found = a < b
-            alive, a, b = alive[found], a[found], b[found]
-            lo[alive], hi[alive] = a, b
+            alive = alive[found]
+            lo[alive], hi[alive] = a[found], b[found]
             matched[alive] += 1
-            single = b - a == 1
-            if single.any():
-                rows = alive[single]
-                at = self.suffixes[a[single]]
-                going = np.ones(len(rows), bool)
-                steps = np.zeros(len(rows), np.int64)
-                for k in range(1, j + 1):
-                    going = going & (at >= k) & (patterns[rows, j - k] > 0)
-                    going &= self.text[np.maximum(at - k, 0)] == patterns[rows, j - k]
-                    steps += going
-                matched[rows] += steps
-                sole[rows] = at - steps
-                alive = alive[~single]
-        return matched, lo, hi, sole
-
-    def least_in(self, values: np.ndarray, lo: np.ndarray, hi: np.ndarray, sole: np.ndarray) -> np.ndarray:
-        """The least of ``values`` (one per text position) over the occurrences that ``search`` found."""
-        out = values[np.maximum(sole, 0)]
-        many = np.flatnonzero(sole < 0)
-        if len(many):
-            n = len(self.text) + 1
-            at, back = np.unique(lo[many] * n + hi[many], return_inverse=True)
-            ordered = np.append(values[self.suffixes], values[:1])
-            out[many] = np.minimum.reduceat(ordered, np.stack([at // n, at % n], 1).ravel())[::2][back]
-        return out
+        out = np.full(len(ends), np.iinfo(np.int32).max, np.int32)
+        some = np.flatnonzero(matched > 0)
+        out[some] = self.least_in(lo[some], hi[some])
+        return matched, out

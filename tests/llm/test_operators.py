@@ -156,27 +156,28 @@ def brute_repeats(rows, width=13):
     return out
 
 
-def test_fm_index_counts_occurrences():
+def test_fm_index_matching_statistics():
+    """Longest matches and their least values against a plain search of the text."""
     rng = np.random.default_rng(3)
     text = rng.integers(1, 5, 400)
     text[::57] = 0
-    index = FmIndex(text, 6)
-    patterns = rng.integers(1, 6, (300, 6))
-    matched, lo, hi, sole = index.search(patterns)
-    whole = [tuple(text[i : i + 6]) for i in range(395)]
-    for p, m, a, b, s in zip(patterns.tolist(), matched, lo, hi, sole):
-        longest = next(n for n in range(6, -1, -1) if n == 0 or any(tuple(text[i : i + n]) == tuple(p[6 - n :]) for i in range(401 - n)))
-        assert m == longest
-        if m == 6:
-            assert whole.count(tuple(p)) == (1 if s >= 0 else b - a)
-    values = np.arange(len(text))
-    full = matched == 6
-    least = index.least_in(values, lo[full], hi[full], sole[full])
-    assert least.tolist() == [whole.index(tuple(p)) for p in patterns[full].tolist()]
-
-
-@pytest.mark.parametrize("hot", [64, 1])
-def test_substring_dedup(spark, words, hot):
+    values = rng.permutation(400)
+    index = FmIndex(text, values, 6)
+    stream = rng.integers(0, 7, 500)
+    matched, least = index.matching_statistics(stream, np.arange(501), 6)
+    for end, m, low in zip(range(501), matched, least):
+        best = 0
+        while best < min(6, end) and 0 not in stream[end - best - 1 : end] and any((text[i : i + best + 1] == stream[end - best - 1 : end]).all() for i in range(400 - best)):
+            best += 1
+        assert m == best
+        if best:
+            assert low == min(values[i] for i in range(401 - best) if (text[i : i + best] == stream[end - best : end]).all())
+    assert not hasattr(index, "text") and index.values.dtype == np.int32
+
+
+@pytest.mark.parametrize("hot, few", [(64, 8), (1, 8), (3, 1)])
+def test_substring_dedup(spark, words, hot, few, monkeypatch):
+    monkeypatch.setattr(substring_dedup, "FEW", few)
     rng = random.Random(9)
     passage = [rng.choice(words) for _ in range(40)]
     texts = []
@@ -221,11 +222,17 @@ def test_substring_dedup_long_repetitive_texts(spark):
 def test_passage_sizes_are_not_narrowed():
     hashes = substring_dedup.WordHashes().of([b"same"] * 70_000)
     rolled = substring_dedup.window_hashes(hashes, 13)
-    packed = substring_dedup._pack(hashes, rolled, np.array([0, 0]), np.array([70_000, 70_000]), np.array([1, 2]), np.array([0, 5]), 13)
-    who, where = substring_dedup.repeated_windows([packed], 13)
+    send = lambda doc, at: substring_dedup._packed_rows(hashes, rolled, np.array([0]), np.array([70_000]), np.array([1], np.uint64), np.array([doc]), np.array([at]), 13, 1)[0][0][1:]
+    who, where = substring_dedup.repeated_windows([send(1, 0), send(2, 5)], 13)
     assert set(who.tolist()) == {2} and where.tolist() == list(range(5, 5 + 69_988))
 
 
+def test_spans_merge():
+    doc, begin, end = (np.array(x) for x in ([3, 1, 3, 3, 1, 5], [20, 5, 4, 0, 8, 1], [33, 18, 17, 13, 21, 14]))
+    got = {b: list(zip(*(np.frombuffer(x, k).tolist() for x, k in ((d, np.int64), (s, np.uint32), (e, np.uint32))))) for b, d, s, e in substring_dedup._spans(doc, begin, end, 2)}
+    assert got == {1: [(1, 5, 21), (3, 0, 17), (3, 20, 33), (5, 1, 14)]}
+
+
 def test_substring_dedup_edges(spark, odd_docs):
     got = substring_dedup.remove_repeats(odd_docs, with_text=True)
     assert got.count() == odd_docs.count()
