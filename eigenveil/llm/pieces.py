@@ -2,11 +2,15 @@
 
 The distinct marked words of a batch are sorted, which is the depth-first order of
 their trie; going from one word to the next keeps the forward states of their common
-prefix and extends only what differs.  For unigram models the state is the usual
-Viterbi score.  For byte-pair models a state is the last piece of the prefix's own
-encoding: a piece may follow it only if merging the two texts gives these two pieces
-back, and adjacent pairs that all hold make the encoding of the whole.  Both give the
-ids of the public library, which ``tests/llm`` checks.
+prefix and extends only what differs.  A state is the best score of a segmentation of
+the prefix and its last piece (Viterbi); of equal scores the longest last piece counts,
+as in the library.  The scores are those of the model file's pieces, read as a unigram
+model whatever trainer made them (``kind="unigram"``, the registered query).
+
+With ``kind="bpe"`` a state is the last piece of the prefix's own encoding by merges: a
+piece may follow it only if merging the two texts gives these two pieces back, and
+adjacent pairs that all hold make the encoding of the whole.  Both kinds give the ids of
+the public library with a model of that kind, which ``tests/llm`` checks.
 
 A null or empty text has no ids, characters outside the vocabulary become byte pieces
 (or the unknown id), texts that hold the mark U+2581 itself decode to spaces, as in
@@ -139,21 +143,27 @@ class SharedPrefixEncoder:
             states.append((found, piece, floor, 0.0) if found >= 0 else (end - 1, -1, floor, 0.0))
 
     def _extend_scores(self, word: str, done: int, states: list) -> None:
-        known, scores = self.ids.get, self.scores
+        known, scores, lengths = self.ids.get, self.scores, self.lengths.get
         for end in range(done + 1, len(word) + 1):
-            best = None
-            for start in range(max(0, end - self.longest), end):
-                piece = known(word[start:end])
-                score = states[start][3] + scores[piece] if piece is not None else states[start][3] + self.floor if start == end - 1 else None
-                if score is not None and (best is None or score > best[3]):
-                    best = (start, -1 if piece is None else piece, 0, score)
-            states.append(best)
+            # a character that no piece has costs more than the worst piece
+            start, piece, best = end - 1, -1, states[end - 1][3] + self.floor
+            for width in (3, 2, 1):  # pieces of three and more characters, of two, of one: longest first
+                for n in lengths(word[end - width : end], ()) if end >= width else ():
+                    if n > end:
+                        continue
+                    at = known(word[end - n : end])
+                    if at is None:
+                        continue
+                    score = states[end - n][3] + scores[at]
+                    if score > best:
+                        start, piece, best = end - n, at, score
+            states.append((start, piece, 0, best))
 
 
 class PieceCodec:
-    """Texts to ids and back by a SentencePiece model file."""
+    """Texts to ids and back by a SentencePiece model file; ``kind`` overrides the file's own."""
 
-    def __init__(self, model: str):
+    def __init__(self, model: str, kind: str | None = None):
         import sentencepiece
         from sentencepiece import sentencepiece_model_pb2
 
@@ -167,7 +177,7 @@ class PieceCodec:
         pieces = {self.library.id_to_piece(i): i for i in kept}
         coded = {self.library.id_to_piece(i): i for i in range(n) if self.library.is_byte(i)}
         byte_ids = [coded[f"<0x{b:02X}>"] for b in range(256)] if len(coded) == 256 else []
-        self.words = SharedPrefixEncoder(pieces, {i: self.library.get_score(i) for i in kept}, "bpe" if spec.trainer_spec.model_type == 2 else "unigram", self.library.unk_id(), byte_ids)
+        self.words = SharedPrefixEncoder(pieces, {i: self.library.get_score(i) for i in kept}, kind or ("bpe" if spec.trainer_spec.model_type == 2 else "unigram"), self.library.unk_id(), byte_ids)
         if any(MARK in x.lstrip(MARK) for x in pieces):
             raise ValueError("pieces reach over the start of a word")
         self.memo: list[dict[str, bytes]] = [{}, {}]
@@ -233,11 +243,11 @@ class PieceCodec:
         return text.replace(MARK, " ").removeprefix(" ")
 
 
-def encode_pieces(docs: DataFrame, model: str, with_ids: bool = False) -> DataFrame:
+def encode_pieces(docs: DataFrame, model: str, with_ids: bool = False, kind: str | None = None) -> DataFrame:
     """doc_id, n_pieces, ids_crc32, decoded_crc32 (of the decoded UTF-8), round_trip, and the ids if wanted."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = per_worker(("pieces", model), lambda: PieceCodec(model))
+        codec = per_worker(("pieces", model, kind), lambda: PieceCodec(model, kind))
         for batch in batches:
             for start, texts in in_chunks(batch.column("text")):
                 ids = codec.encode(texts)

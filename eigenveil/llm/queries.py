@@ -82,7 +82,8 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encode_pieces(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
+    """Viterbi over the public model's pieces and scores."""
+    return encode_pieces(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), kind="unigram")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -8,9 +8,13 @@ product of the two residual lengths (Cauchy-Schwarz) bounds the whole product.
 candidate whose bound lies below the query's k-th best score so far is not computed;
 all others are, in exact integers.
 
-Queries and candidates are packed blocks of bounded size.  Each query block is copied
-to ``GROUPS`` groups of candidate blocks, met there by an equi-join, and the best k of
-each group are merged; nothing is broadcast and no group is collected whole.
+Queries and candidates are packed blocks of bounded size.  Candidate blocks form groups
+and query blocks parts, whose numbers follow from the counts of rows; each part meets
+each group in one task, which holds ``CHUNK`` blocks of either side at most, and the best
+k of each group are merged.  Before that every query meets the block of the longest
+candidates, and its k-th best score there is the floor from which every group starts.
+One block (the longest) and the rotation go to all executors; nothing else is broadcast
+by this module.
 
 Vectors that are null, empty, of another dimension than most or that hold null or
 non-finite components take no part.  Ties go to the smaller vec_id; equal vectors are
@@ -29,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .common import materialise
 
-BLOCK, QUERY_BLOCK, GROUPS = 2048, 512, 24
+BLOCK, QUERY_BLOCK, CHUNK = 2048, 512, 32
 #: Leading rotated coordinates of the partial product.
 LEAD = 16
 
@@ -90,12 +94,14 @@ def _packed(rows: DataFrame, size: int, dimension: int, by: str) -> DataFrame:
 class _Best:
     """The k best (score, smaller id) of each query of one block."""
 
-    def __init__(self, queries: int, k: int):
+    def __init__(self, queries: int, k: int, least: np.ndarray | None = None):
+        #: scores that k candidates of each query are known to reach
+        self.least = np.full(queries, -np.iinfo(np.int64).max, np.int64) if least is None else least
         self.scores = np.full((queries, k), -np.iinfo(np.int64).max, np.int64)
         self.ids = np.full((queries, k), np.iinfo(np.int64).max, np.int64)
 
     def floor(self) -> np.ndarray:
-        return self.scores[:, -1]
+        return np.maximum(self.scores[:, -1], self.least)
 
     def add(self, q: int, scores: np.ndarray, ids: np.ndarray) -> None:
         scores, ids = np.concatenate([self.scores[q], scores]), np.concatenate([self.ids[q], ids])
@@ -145,45 +151,64 @@ def search_block(best: _Best, query_ids: np.ndarray, queries: np.ndarray, ids: n
     return done
 
 
-def top_products(rows: DataFrame, is_query, k: int = 5, scale: float = 256.0, groups: int = GROUPS, column: str = "embedding") -> DataFrame:
+def _block(row: dict) -> tuple[np.ndarray, np.ndarray]:
+    ids = np.frombuffer(row["ids"], np.int64)
+    return ids, np.frombuffer(row["vectors"], np.float64).reshape(len(ids), -1)
+
+
+def _with_floors(asked: DataFrame, seed: dict | None, rotation: np.ndarray, k: int) -> DataFrame:
+    """Adds ``floors``: each query's k-th best score among the candidates of one block."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                ids, queries = _block(row)
+                best = _Best(len(ids), k)
+                if seed is not None:
+                    search_block(best, ids, queries, *_block(seed), rotation)
+                yield pa.RecordBatch.from_pydict({"query_block": [row["query_block"]], "ids": [row["ids"]], "vectors": [row["vectors"]], "floors": [best.scores[:, -1].tobytes()]})
+
+    return asked.select("query_block", "ids", "vectors").mapInArrow(run, "query_block long, ids binary, vectors binary, floors binary")
+
+
+def top_products(rows: DataFrame, is_query, k: int = 5, scale: float = 256.0, groups: int | None = None, column: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score: each query's k greatest integer inner products.
 
     ``is_query`` is a boolean Column over ``vec_id``; a query is no candidate of its own.
+    ``groups`` (of candidates) follows from the number of rows unless it is given.
     """
+    spark = rows.sparkSession
     rows = valid_vectors(rows.where("vec_id IS NOT NULL").select(F.col("vec_id").cast("long").alias("vec_id"), column), column)
     dimension = common_dimension(rows, column)
     quantised = rows.where(F.size(column) == max(1, dimension)).select("vec_id", F.transform(column, lambda x: F.floor(x * scale).cast("double")).alias("q"))
     rotation = _rotation(second_moments(quantised, max(1, dimension), "q")) if dimension else np.eye(1)
+    sizes = quantised.agg(F.count("*").alias("n"), F.count(F.when(is_query, 1)).alias("q")).first()
+    blocks, parts = -(-sizes["n"] // BLOCK), max(1, -(-sizes["q"] // (QUERY_BLOCK * CHUNK)))
+    # at least a task for each core while there are blocks, at most CHUNK blocks in a group
+    groups = groups or max(1, -(-blocks // CHUNK), min(blocks, 2 * spark.sparkContext.defaultParallelism // parts))
     length = F.aggregate("q", F.lit(0.0), lambda a, x: a + x * x)
     ordered = quantised.withColumn("length", length).repartitionByRange(groups, F.desc("length")).sortWithinPartitions(F.desc("length"), "vec_id")
-    candidates = materialise(_packed(ordered, BLOCK, dimension, "block"), "candidates").withColumn("group", F.pmod(F.xxhash64("block"), F.lit(groups)))
+    # a group is a range of lengths, so that few of its blocks stay open
+    candidates = materialise(_packed(ordered, BLOCK, dimension, "block").withColumn("group", F.pmod(F.spark_partition_id().cast("long"), F.lit(groups))), "candidates")
     asked = materialise(_packed(quantised.where(is_query), QUERY_BLOCK, dimension, "query_block"), "asked")
-    spread = asked.select("query_block", F.col("ids").alias("query_ids"), F.col("vectors").alias("queries"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("group"))
-    # the query blocks of a group stand together, its candidate blocks in order of length
-    met = spread.join(candidates, "group").sortWithinPartitions("group", "query_block", F.desc("longest"))
-    result = "query_id long, vec_id long, score long"
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, best, who = None, None, None
-
-        def flush() -> pa.RecordBatch:
+    longest = candidates.orderBy(F.desc("longest"), "block").limit(1).select("ids", "vectors").collect()
+    floored = materialise(_with_floors(asked, longest[0].asDict() if longest else None, rotation, k), "floored").withColumn("part", F.pmod(F.xxhash64("query_block"), F.lit(parts)))
+    left = floored.withColumn("group", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
+    right = candidates.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))))
+
+    def run(asked_: pa.Table, there: pa.Table) -> pa.Table:
+        out: list[tuple[np.ndarray, ...]] = []
+        blocks_ = [_block(r) for r in sorted(there.select(["ids", "vectors", "longest"]).to_pylist(), key=lambda r: -r["longest"])]
+        for row in asked_.select(["ids", "vectors", "floors"]).to_pylist() if blocks_ else ():
+            who, queries = _block(row)
+            best = _Best(len(who), k, np.frombuffer(row["floors"], np.int64))
+            for ids, vectors in blocks_:
+                search_block(best, who, queries, ids, vectors, rotation)
             fine = best.ids != np.iinfo(np.int64).max
-            return pa.RecordBatch.from_pydict({"query_id": pa.array(np.repeat(who, k)[fine.ravel()], pa.int64()), "vec_id": pa.array(best.ids[fine], pa.int64()), "score": pa.array(best.scores[fine], pa.int64())})
+            out.append((np.repeat(who, k)[fine.ravel()], best.ids[fine], best.scores[fine]))
+        columns = [np.concatenate(x) for x in zip(*out)] if out else [np.empty(0, np.int64)] * 3
+        return pa.table({n: pa.array(x, pa.int64()) for n, x in zip(("query_id", "vec_id", "score"), columns)})
 
-        for batch in batches:
-            for i in range(batch.num_rows):
-                group, block, query_ids, queries, ids, vectors = (batch.column(x)[i].as_py() for x in ("group", "query_block", "query_ids", "queries", "ids", "vectors"))
-                if (group, block) != key:
-                    if key is not None:
-                        yield flush()
-                    key, who = (group, block), np.frombuffer(query_ids, np.int64)
-                    asked_ = np.frombuffer(queries, np.float64).reshape(len(who), -1)
-                    best = _Best(len(who), k)
-                there = np.frombuffer(ids, np.int64)
-                search_block(best, who, asked_, there, np.frombuffer(vectors, np.float64).reshape(len(there), -1), rotation)
-        if key is not None:
-            yield flush()
-
-    found = met.select("group", "query_block", "query_ids", "queries", "ids", "vectors").mapInArrow(run, result)
+    found = left.groupBy("group", "part").cogroup(right.groupBy("group", "part")).applyInArrow(run, "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

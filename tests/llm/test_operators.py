@@ -77,7 +77,7 @@ def _ids(text, end):
 
 def test_token_files_round_trip(spark, docs, odd_docs, tmp_path):
     path = "file://" + str(tmp_path / "shards")
-    got = sorted(token_files.token_files(docs, BPE, path, shard_docs=64).collect(), key=lambda r: r.doc_id)
+    got = sorted(token_files.token_files(docs, BPE, path, block_docs=64, block_bytes=20_000).collect(), key=lambda r: r.doc_id)
     start = 0
     for row, want in zip(got, sorted(docs.collect(), key=lambda r: r.doc_id)):
         ids = _ids(want.text, 2)
@@ -85,6 +85,12 @@ def test_token_files_round_trip(spark, docs, odd_docs, tmp_path):
         assert row.ids_crc32 == zlib.crc32(np.array(ids, "<u4").tobytes())
         start += len(ids)
     assert token_files.read_document(spark, path, got[7].doc_id) == [_ids(docs.where(F.col("doc_id") == got[7].doc_id).first().text, 2)]
+    index = spark.read.parquet(f"{path}/index")
+    sizes = index.select("docs", "bytes").collect()
+    assert max(r.docs for r in sizes) <= 64 and len(sizes) > 4 and index.agg(F.sum("docs")).first()[0] == docs.count()
+    assert token_files.read_document(spark, path, -5) == []
+    with pytest.raises(ValueError):
+        token_files._packed(np.array([70_000], "<u4").tobytes(), 2, True)
     odd = token_files.token_files(odd_docs, BPE).collect()
     assert len(odd) == odd_docs.count() and sum(r.n_tokens for r in odd) == max(r.start + r.n_tokens for r in odd)
     assert token_files.token_files(empty(spark), BPE).count() == 0
@@ -542,6 +548,21 @@ def test_top_products(spark):
     assert topk.top_products(df.where("vec_id < 3"), F.col("vec_id") == 0).count() == 2
 
 
+def test_top_products_many_groups(spark, monkeypatch):
+    """Many blocks, groups and parts, with ties and floors from the longest block, give what one comparison gives."""
+    monkeypatch.setattr(topk, "BLOCK", 16)
+    monkeypatch.setattr(topk, "QUERY_BLOCK", 4)
+    monkeypatch.setattr(topk, "CHUNK", 2)
+    rng = np.random.default_rng(3)
+    x = np.round(rng.normal(size=(400, 6)), 1) * rng.choice([0.1, 1, 4], (400, 1))
+    x[200:] = x[:200]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = sorted((r.query_id, r.rank, r.vec_id, r.score) for r in topk.top_products(df, F.col("vec_id") % 10 == 0).collect())
+    q = np.floor(256 * x).astype(int)
+    want = [(a, k + 1, i, -s) for a in range(0, 400, 10) for k, (s, i) in enumerate(sorted((-int(q[a] @ q[b]), b) for b in range(400) if b != a)[:5])]
+    assert got == sorted(want)
+
+
 def test_pruning_skips_products():
     rng = np.random.default_rng(1)
     x = np.floor(rng.normal(size=(2000, 16)) * np.geomspace(400, 2, 16))
@@ -627,6 +648,26 @@ def test_pieces_equal_the_library(spark, docs, odd_docs):
     assert pieces.encode_pieces(empty(spark), MODEL).count() == 0
 
 
+def test_viterbi_finds_the_best_of_the_library(docs):
+    """The registered reading: the same pieces and scores as a unigram model in the library."""
+    import sentencepiece
+    from sentencepiece import sentencepiece_model_pb2
+
+    with open(MODEL, "rb") as f:
+        spec = sentencepiece_model_pb2.ModelProto.FromString(f.read())
+    spec.trainer_spec.model_type = 1
+    library = sentencepiece.SentencePieceProcessor(model_proto=spec.SerializeToString())
+    codec = pieces.PieceCodec(MODEL, "unigram")
+    texts = ODD + [r.text for r in docs.collect()]
+    assert [codec.decode(x) for x in codec.encode(pa.array(texts))] == [library.decode(library.encode(t)) for t in texts]
+    score = lambda ids: sum(library.get_score(i) for i in ids)
+    words = sorted({w for t in texts for w in t.split()})[::7]
+    for word, got in zip(words, codec.encode(pa.array(words))):
+        # among the library's own best segmentations (its single best is not exact at such scores: 32-bit sums beside -1e9)
+        ids = np.frombuffer(got, "<u4").tolist()
+        assert score(ids) == max(map(score, library.nbest_encode_as_ids(word, 5))), word
+
+
 def test_unigram_by_brute_force():
     vocab = {x: i for i, x in enumerate(["▁", "a", "b", "ab", "▁a", "ba", "aba", "▁ab"])}
     scores = dict(enumerate([-2.0, -1.5, -1.7, -2.4, -2.2, -2.6, -3.9, -3.0]))
