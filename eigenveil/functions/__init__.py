@@ -14,6 +14,6 @@ from .expressions import (
     vec_scale01,
     vec_sub,
 )
-from .sqlfuncs import register
+from .sqlfuncs import mean_vector, register
 
-__all__ = ["gaussian_draw", "keyed_uniform", "laplace_cdf", "laplace_icdf", "laplace_pdf", "perturb", "register", "vec_add", "vec_dot", "vec_l1", "vec_l2", "vec_scale01", "vec_sub"]
+__all__ = ["gaussian_draw", "keyed_uniform", "laplace_cdf", "laplace_icdf", "laplace_pdf", "mean_vector", "perturb", "register", "vec_add", "vec_dot", "vec_l1", "vec_l2", "vec_scale01", "vec_sub"]

@@ -23,8 +23,34 @@ _FUNCTIONS = {
 }
 
 
+def explode_pixels():
+    """A table function: (idx, value) of a vector, for use in SQL as ``LATERAL explode_pixels(v)``."""
+    from pyspark.sql.functions import udtf
+
+    class ExplodePixels:
+        def eval(self, v: list):
+            for i, x in enumerate(v or ()):
+                yield i, float(x)
+
+    return udtf(ExplodePixels, returnType="idx: bigint, value: double")
+
+
+def mean_vector():
+    """An aggregate: the mean of a group's vectors; exact sums per Arrow group."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql.functions import pandas_udf
+
+    def mean(v: pd.Series) -> list:
+        return np.mean(np.stack(v.to_list()).astype(np.float64), 0).tolist()
+
+    mean.__annotations__ = {"v": pd.Series, "return": list}
+    return pandas_udf(mean, "array<double>")
+
+
 def register(spark: SparkSession) -> list[str]:
     """Create the temporary functions in this session; their names."""
     for name, (given, kind, body) in _FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({given}) RETURNS {kind} RETURN {body}")
-    return list(_FUNCTIONS)
+    spark.udtf.register("explode_pixels", explode_pixels())
+    return [*_FUNCTIONS, "explode_pixels"]

@@ -100,8 +100,9 @@ def standardise(df: DataFrame, mode: str = "none", column: str = "px") -> DataFr
     if mode == "none":
         return df
     if mode == "unit_range":
-        lo, hi = F.array_min(column), F.array_max(column)
-        return df.withColumn(column, F.transform(column, lambda x: F.when(hi > lo, (x - lo) / (hi - lo)).otherwise(F.lit(0.0)).cast("float")))
+        wide = F.col(column).cast("array<double>")
+        lo, hi = F.array_min(wide), F.array_max(wide)
+        return df.withColumn(column, F.transform(wide, lambda x: F.when(hi > lo, (x - lo) / (hi - lo)).otherwise(F.lit(0.0)).cast("float")))
     if mode == "zscore":
         mean = F.aggregate(column, F.lit(0.0), lambda s, x: s + x) / F.size(column)
         var = F.aggregate(column, F.lit(0.0), lambda s, x: s + x * x) / F.size(column) - mean * mean

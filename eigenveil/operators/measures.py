@@ -10,18 +10,18 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
-def confusion(df: DataFrame, label: str = "label", pred: str = "pred") -> DataFrame:
-    """(label, pred, n): one shuffle of at most classes squared rows per task."""
-    return df.groupBy(F.col(label).alias("label"), F.col(pred).alias("pred")).agg(F.count("*").alias("n"))
+def confusion(df: DataFrame, label: str = "label", pred: str = "pred", by: tuple[str, ...] = ()) -> DataFrame:
+    """(label, pred, n), for each setting in ``by``: one shuffle of at most classes squared rows per task."""
+    return df.groupBy(*by, F.col(label).alias("label"), F.col(pred).alias("pred")).agg(F.count("*").alias("n"))
 
 
-def class_report(df: DataFrame, label: str = "label", pred: str = "pred") -> DataFrame:
+def class_report(df: DataFrame, label: str = "label", pred: str = "pred", by: tuple[str, ...] = ()) -> DataFrame:
     """Support, precision, recall and F1 of each class; a measure without cases is 0."""
-    cells = confusion(df, label, pred)
-    sides = cells.select(F.col("label").alias("class"), F.col("n").alias("support"), F.lit(0).cast("long").alias("predicted"), F.when(F.col("label") == F.col("pred"), F.col("n")).otherwise(0).alias("hit")).union(
-        cells.select(F.col("pred").alias("class"), F.lit(0).cast("long"), F.col("n"), F.lit(0).cast("long"))
+    cells = confusion(df, label, pred, by)
+    sides = cells.select(*by, F.col("label").alias("class"), F.col("n").alias("support"), F.lit(0).cast("long").alias("predicted"), F.when(F.col("label") == F.col("pred"), F.col("n")).otherwise(0).alias("hit")).union(
+        cells.select(*by, F.col("pred").alias("class"), F.lit(0).cast("long"), F.col("n"), F.lit(0).cast("long"))
     )
-    sums = sides.where("class IS NOT NULL").groupBy("class").agg(F.sum("support").alias("support"), F.sum("predicted").alias("predicted"), F.sum("hit").alias("hit"))
+    sums = sides.where("class IS NOT NULL").groupBy(*by, "class").agg(F.sum("support").alias("support"), F.sum("predicted").alias("predicted"), F.sum("hit").alias("hit"))
     precision = F.when(F.col("predicted") > 0, F.col("hit") / F.col("predicted")).otherwise(0.0)
     recall = F.when(F.col("support") > 0, F.col("hit") / F.col("support")).otherwise(0.0)
     rated = sums.withColumn("precision", precision).withColumn("recall", recall)
@@ -29,9 +29,9 @@ def class_report(df: DataFrame, label: str = "label", pred: str = "pred") -> Dat
     return rated.withColumn("f1", F.when(both > 0, 2 * F.col("precision") * F.col("recall") / both).otherwise(0.0)).drop("predicted", "hit")
 
 
-def weighted_report(df: DataFrame, label: str = "label", pred: str = "pred") -> DataFrame:
-    """Q1: precision, recall and F1 weighted by support, and the number of rows."""
-    return class_report(df, label, pred).agg(*[(F.sum(F.col("support") * F.col(m)) / F.sum("support")).alias(m) for m in ("precision", "recall", "f1")], F.sum("support").alias("n"))
+def weighted_report(df: DataFrame, label: str = "label", pred: str = "pred", by: tuple[str, ...] = ()) -> DataFrame:
+    """Q1: precision, recall and F1 weighted by support, and the number of rows, for each setting in ``by``."""
+    return class_report(df, label, pred, by).groupBy(*by).agg(*[(F.sum(F.col("support") * F.col(m)) / F.sum("support")).alias(m) for m in ("precision", "recall", "f1")], F.sum("support").alias("n"))
 
 
 def macro(df: DataFrame, label: str = "label", pred: str = "pred") -> DataFrame:

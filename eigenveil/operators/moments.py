@@ -77,6 +77,34 @@ def merge_tree(parts: list[Moments], width: int = 2) -> Moments:
     return parts[0]
 
 
+def merge_over_tasks(states: DataFrame, parts: int, width: int = 8) -> DataFrame:
+    """M13 over tasks: states of ``parts`` parts, numbered from 0, in rounds of ``width``; one row of state is left.
+
+    A task holds two states at a time, and the driver none.
+    """
+
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        name, held = None, None
+        for batch in batches:
+            for row in batch.to_pylist():
+                new = _unpack(row["n"], row["mean"], row["scatter"])
+                if name is not None and row["part"] != name:
+                    yield pa.RecordBatch.from_pylist([_pack(held, name)], schema=_ARROW)
+                    held = None
+                name, held = row["part"], new if held is None else merge_pair(held, new)
+        if held is not None:
+            yield pa.RecordBatch.from_pylist([_pack(held, name)], schema=_ARROW)
+
+    def folded(df: DataFrame, tasks: int) -> DataFrame:
+        return df.repartition(max(1, tasks), "part").sortWithinPartitions("part", "n").mapInArrow(fold, STATE)
+
+    states = folded(states, parts)
+    while parts > 1:
+        parts = -(-parts // width)
+        states = folded(states.withColumn("part", F.floor(F.col("part") / width).cast("long")), parts)
+    return states
+
+
 def merge_means(parts: Iterable[tuple[int, np.ndarray]]) -> np.ndarray:
     """M9: the mean of all rows from counts and means of the parts."""
     parts = [(n, m) for n, m in parts if n]
@@ -105,6 +133,11 @@ def _unpack(n: int, mean: bytes, scatter: bytes) -> Moments:
     return Moments(n, mean, full + np.triu(full, 1).T)
 
 
+def unpacked(row) -> Moments:
+    """The state in a row of ``partials`` or ``merge_over_tasks``."""
+    return _unpack(row["n"], bytes(row["mean"]), bytes(row["scatter"]))
+
+
 _ARROW = pa.schema([("part", pa.int64()), ("n", pa.int64()), ("mean", pa.binary()), ("scatter", pa.binary())])
 
 

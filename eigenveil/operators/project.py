@@ -36,6 +36,12 @@ def mapped(df: DataFrame, column: str, out: str, width_check: int | None, make)
     return df.select(*rest, column).mapInArrow(run, schema)
 
 
+def sign_axes(k: int, size: int = 64) -> np.ndarray:
+    """Fixed orthonormal axes for audits: entry (i, j) is (-1)**popcount(i AND j) over the root of ``size``."""
+    i, j = np.arange(k)[:, None], np.arange(size)[None, :]
+    return np.where(np.bitwise_count(i & j) % 2 == 0, 1.0, -1.0) / np.sqrt(size)
+
+
 def scores(df: DataFrame, model: EigenModel, column: str = "px", out: str = "score", center: bool = True, digits: int | None = None) -> DataFrame:
     """Products with each eigenface; the model goes out once as a broadcast of nc x d numbers.
 

@@ -7,7 +7,10 @@ with their budget, and the guard refuses rows that still carry raw columns.
 
 from __future__ import annotations
 
+import contextlib
+import io
 import json
+import re
 import zlib
 from dataclasses import asdict, dataclass, replace
 
@@ -35,6 +38,8 @@ class ReleasedFrame:
     nc: int
     key_id: str
     release_id: str
+    #: id and reason of the rows that could not be released (edge only)
+    rejected: DataFrame | None = None
 
     @property
     def eps_index(self) -> float:
@@ -45,11 +50,38 @@ class ReleasedFrame:
         return float("inf") if self.eps is None else self.nc * self.eps / self.delta
 
 
+def renamed_from(df: DataFrame, raw: frozenset[str] = RAW) -> set[str]:
+    """Output columns that the plan makes of a raw column by renaming alone, through any number of names."""
+    text = io.StringIO()
+    with contextlib.redirect_stdout(text):
+        df.explain(extended=True)
+    plan = text.getvalue().split("== Physical Plan ==")[0]
+    # attribute number -> (name, number) of what it renames; names of attributes by number
+    renames = {b: (x, a) for x, a, _, b in re.findall(r"(\w+)#(\d+)L? AS (\w+)#(\d+)L?", plan)}
+    names = {n: x for x, n in re.findall(r"(\w+)#(\d+)L?", plan)}
+    found = set()
+    for _, a, y, b in re.findall(r"(\w+)#(\d+)L? AS (\w+)#(\d+)L?", plan):
+        at, seen = b, set()
+        while at in renames and at not in seen:
+            seen.add(at)
+            if renames[at][0] in raw:
+                found.add(y)
+            at = renames[at][1]
+        if names.get(at) in raw:
+            found.add(y)
+    return found & set(df.columns)
+
+
 def assert_released(frame: ReleasedFrame) -> DataFrame:
-    """The rows, if they were released and no raw column is among their outputs."""
+    """The rows, if they were released and no raw column is among their outputs, under its own or another name.
+
+    Vectors other than the released one are refused whatever they are called.
+    """
     if not isinstance(frame, ReleasedFrame):
         raise TypeError("only a ReleasedFrame may leave the edge")
     found = RAW & set(frame.df.columns)
+    found |= {name for name, kind in frame.df.dtypes if name != "pv" and (kind.startswith(("array", "binary", "vector", "map", "struct")))}
+    found |= renamed_from(frame.df)
     if found:
         raise ValueError(f"raw columns must not leave the edge: {sorted(found)}")
     return frame.df
@@ -64,7 +96,8 @@ class PrivateEigenRelease(Estimator):
 
     def _fit(self, dataset: DataFrame) -> PrivateEigenModel:
         p = self.settings
-        rows = cohort.keep_frequent(dataset, p.imthresh) if p.imthresh > 1 else dataset
+        valid, rejected = imaging.split_valid(dataset)
+        rows = cohort.keep_frequent(valid, p.imthresh) if p.imthresh > 1 else valid
         mins = imaging.min_resolution(rows).first()
         if mins["w_min"] is None:
             raise ValueError("no rows")
@@ -78,7 +111,7 @@ class PrivateEigenRelease(Estimator):
             bounds = scaling.fit_bounds(project.centred(train, model.mean, out="score"), scope=p.scope)
         else:
             bounds = scaling.fit_bounds(project.scores(train, model), scope=p.scope)
-        return PrivateEigenModel(p, model, bounds)
+        return PrivateEigenModel(p, model, bounds, rejected.select("id", "reason"))
 
     @staticmethod
     def _sized(rows: DataFrame, p: ReleaseParams) -> DataFrame:
@@ -87,9 +120,9 @@ class PrivateEigenRelease(Estimator):
 
 
 class PrivateEigenModel(Model):
-    def __init__(self, params: ReleaseParams, eigen: spectra.EigenModel, bounds: scaling.Bounds):
+    def __init__(self, params: ReleaseParams, eigen: spectra.EigenModel, bounds: scaling.Bounds, rejected: DataFrame | None = None):
         super().__init__()
-        self.settings, self.eigen, self.bounds = params, eigen, bounds
+        self.settings, self.eigen, self.bounds, self.rejected = params, eigen, bounds, rejected
 
     @property
     def width(self) -> int:
@@ -108,13 +141,19 @@ class PrivateEigenModel(Model):
         return self.release(dataset).df
 
     def release(self, df: DataFrame, release_id: str | None = None, eps: float | None = -1.0, key: str | None = None, keep: tuple[str, ...] = ("id", "label"), secret: bool = False) -> ReleasedFrame:
-        """Released vectors ``pv``; every release_id (or key) draws its own noise."""
+        """Released vectors ``pv``; every release_id (or key) draws its own noise.
+
+        Rows with null, non-finite or wrongly sized images are left out and named, with
+        the reason, in ``rejected``.
+        """
         p = self.settings
         eps = p.eps if eps == -1.0 else check_budget(eps, allow_extreme=p.allow_extreme)
         release_id, key = release_id or p.release_id, key or p.key
-        made = self.scaled(df)
+        usable, rejected = imaging.split_valid(df, len(self.eigen.mean))
+        made = self.scaled(usable)
         value = F.col("scaled") if eps is None else perturb("scaled", eps, self.delta, key, "id", release_id, secret=secret, snap=p.snap)
-        return ReleasedFrame(made.select(*[c for c in keep if c in made.columns], value.alias("pv")), eps, self.delta, self.width, f"{zlib.crc32(key.encode()):08x}", release_id)
+        rows = made.select(*[c for c in keep if c in made.columns], value.alias("pv"))
+        return ReleasedFrame(rows, eps, self.delta, self.width, f"{zlib.crc32(key.encode()):08x}", release_id, rejected.select(*[c for c in ("id",) if c in df.columns], "reason"))
 
     def unscale(self, y: np.ndarray) -> np.ndarray:
         return self.bounds.lo + y * (self.bounds.hi - self.bounds.lo)

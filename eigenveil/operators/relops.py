@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -51,16 +54,99 @@ def range_match(values: DataFrame, bins: DataFrame, column: str, width: float) -
     return v.join(F.broadcast(b), "__b").where((F.col(column) >= F.col("lo")) & (F.col(column) < F.col("hi"))).drop("__b")
 
 
+def in_blocks(a: DataFrame, b: DataFrame, compute: Callable, schema: str, rows: int = 1024) -> DataFrame:
+    """``compute(ids, x, other ids, y)`` for each pair of packed blocks of ``a(id, v)`` and ``b(id, v)``; its columns as rows.
+
+    Rows are dealt to blocks of about ``rows`` by a hash, and each block meets each block
+    of the other side: no row is joined with a row, and no side is collected.
+    """
+    p, q = (max(1, -(-x.count() // rows)) for x in (a, b))
+
+    def pack(part: pa.Table) -> pa.Table:
+        part = part.combine_chunks()
+        x = np.array(part.column("v").to_pylist(), np.float64)
+        return pa.table({"own": part.column("own")[:1], "ids": pa.array([np.asarray(part.column("id"), np.int64).tobytes()], pa.binary()), "x": pa.array([x.tobytes()], pa.binary())})
+
+    def side(df: DataFrame, own: str, blocks: int, other: str, others: int) -> DataFrame:
+        dealt = df.select(F.col("id").cast("long").alias("id"), F.col("v").cast("array<double>").alias("v")).withColumn("own", F.pmod(F.xxhash64("id", "v"), F.lit(blocks)))
+        packed = dealt.groupBy("own").applyInArrow(pack, "own long, ids binary, x binary").withColumnRenamed("own", own)
+        return packed.withColumn(other, F.explode(F.sequence(F.lit(0).cast("long"), F.lit(others - 1).cast("long"))))
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        ids, x, names, y = np.empty(0, np.int64), np.empty((0, 0)), np.empty(0, np.int64), np.empty((0, 0))
+        if left.num_rows and right.num_rows:
+            ids, names = (np.frombuffer(t.column("ids")[0].as_py(), np.int64) for t in (left, right))
+            x, y = (np.frombuffer(t.column("x")[0].as_py()).reshape(len(i), -1) for t, i in ((left, ids), (right, names)))
+        return pa.table(compute(ids, x, names, y))
+
+    sides = side(a, "p", p, "q", q), side(b, "q", q, "p", p)
+    return sides[0].groupBy("p", "q").cogroup(sides[1].groupBy("p", "q")).applyInArrow(run, schema)
+
+
+def _distances(x: np.ndarray, y: np.ndarray, power: int = 2) -> Iterator[tuple[slice, np.ndarray]]:
+    """Sums of squared (or absolute) differences, for slices of ``x``."""
+    for at in range(0, len(x), 32):
+        part = slice(at, min(at + 32, len(x)))
+        apart = x[part, None, :] - y[None]
+        yield part, (apart * apart if power == 2 else np.abs(apart)).sum(2)
+
+
+def close_pairs(df: DataFrame, limit: float, rows: int = 1024) -> DataFrame:
+    """(a, b), a < b, whose squared distance is under ``limit``, in blocks; df has id and v."""
+
+    def compute(ids, x, names, y):
+        out = [(ids[part][i], names[j]) for part, d in (_distances(x, y) if len(ids) else ()) for i, j in [np.nonzero((d < limit) & (ids[part][:, None] < names[None]))]]
+        a, b = (np.concatenate(z) for z in zip(*out)) if out else (np.empty(0, np.int64),) * 2
+        return {"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())}
+
+    return in_blocks(df, df, compute, "a long, b long", rows)
+
+
+def greatest_l1(df: DataFrame, rows: int = 1024) -> DataFrame:
+    """The greatest L1 distance of two rows, in blocks: one number per pair of blocks."""
+
+    def compute(ids, x, names, y):
+        most = [float(d.max()) for _, d in (_distances(x, y, 1) if len(ids) else ())]
+        return {"d": pa.array([max(most)] if most else [], pa.float64())}
+
+    return in_blocks(df, df, compute, "d double", rows).agg(F.max("d").alias("delta"))
+
+
+def row_products(df: DataFrame, rows: int = 1024) -> DataFrame:
+    """(a, b, dot) of all rows, in blocks."""
+
+    def compute(ids, x, names, y):
+        dot = x @ y.T if len(ids) else np.empty((0, 0))
+        return {"a": pa.array(np.repeat(ids, len(names) if len(ids) else 0), pa.int64()), "b": pa.array(np.tile(names, len(ids)), pa.int64()), "dot": pa.array(dot.ravel(), pa.float64())}
+
+    return in_blocks(df, df, compute, "a long, b long, dot double", rows)
+
+
 def theta_pairs(a: DataFrame, b: DataFrame, predicate: Column) -> DataFrame:
     """Nested-loop pairs, for audits of stated small sets."""
     return a.crossJoin(b).where(predicate)
 
 
 def nearest_one(probe: DataFrame, gallery: DataFrame, vector: str = "v") -> DataFrame:
-    """The nearest gallery row of each probe by squared distance; ties go to the smaller id."""
-    p, g = probe.select(F.col("id").alias("id"), F.col(vector).alias("pv")), gallery.select(F.col("id").alias("gid"), F.col(vector).alias("gv"))
-    d = F.aggregate(F.zip_with("pv", "gv", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, v: s + v)
-    pairs = p.crossJoin(g).where("id <> gid").select("id", "gid", F.round(d, 9).alias("d"))
+    """The nearest gallery row of each probe by squared distance (nine digits); ties go to the smaller id.
+
+    Packed blocks meet, and each keeps the best of its rows.
+    """
+
+    def compute(ids, x, names, y):
+        out = []
+        order = np.argsort(names, kind="stable")
+        names, y = names[order], y[order] if len(order) else y
+        for part, d in _distances(x, y) if len(ids) else ():
+            d = np.where(ids[part][:, None] == names[None], np.inf, np.round(d, 9))
+            best = d.argmin(1)
+            out.append((ids[part], names[best], d[np.arange(len(best)), best]))
+        who, found, far = (np.concatenate(z) for z in zip(*out)) if out else (np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))
+        fine = np.isfinite(far)
+        return {"id": pa.array(who[fine], pa.int64()), "gid": pa.array(found[fine], pa.int64()), "d": pa.array(far[fine], pa.float64())}
+
+    sides = [df.select("id", F.col(vector).alias("v")) for df in (probe, gallery)]
+    pairs = in_blocks(*sides, compute, "id long, gid long, d double")
     return pairs.groupBy("id").agg(F.min(F.struct("d", "gid")).alias("m")).select("id", F.col("m.gid").alias("match"), F.col("m.d").alias("dist"))
 
 
@@ -95,6 +181,12 @@ def running(df: DataFrame, key: str, order: list[str], column: str, width: int =
     return df.withColumns(made)
 
 
+def moving_range(df: DataFrame, key: str, seconds: str, column: str, span: int) -> DataFrame:
+    """Sum and count of a column over the ``span`` seconds up to each row (rows of equal time together)."""
+    w = Window.partitionBy(key).orderBy(seconds).rangeBetween(-span, 0)
+    return df.withColumn("span_sum", F.sum(column).over(w)).withColumn("span_n", F.count(column).over(w))
+
+
 def ranks(df: DataFrame, key: str, order: list[Column]) -> DataFrame:
     w = Window.partitionBy(key).orderBy(*order)
     return df.withColumns({"rn": F.row_number().over(w), "rk": F.rank().over(w), "dr": F.dense_rank().over(w), "nt": F.ntile(4).over(w), "pr": F.percent_rank().over(w), "cd": F.cume_dist().over(w)})

@@ -8,10 +8,11 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .moments import Moments, block, mean_face, moments
 
-#: Bytes of packed rows that the Gram route may hold on the driver.
+#: Bytes of products of rows that the Gram route may hold on the driver.
 GRAM_LIMIT = 1 << 30
 DIRECT_LIMIT = 8192
 
@@ -49,37 +50,102 @@ def solve_direct(state: Moments, nc: int, ddof: int = 1) -> EigenModel:
     return EigenModel(state.mean, *top_components(values, vectors, nc), state.n)
 
 
-def _rows(df: DataFrame, column: str) -> np.ndarray:
-    """All rows on the driver, after a check of their size."""
-    n = df.count()
-    first = df.select(column).first()
-    if first is None:
-        raise ValueError("no rows")
-    if n * len(first[0]) * 8 > GRAM_LIMIT:
-        raise ValueError("the Gram route is for small cohorts")
+def _packed_blocks(df: DataFrame, column: str, rows: int = 512) -> DataFrame:
+    """block, n and x: rows packed in the order of their partitions."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if batch.num_rows:
-                yield pa.RecordBatch.from_pydict({"x": pa.array([block(batch.column(0)).tobytes()], pa.binary())})
+            for at in range(0, batch.num_rows, rows):
+                x = block(batch.column(0).slice(at, rows))
+                yield pa.RecordBatch.from_pydict({"n": pa.array([len(x)], pa.int64()), "x": pa.array([x.tobytes()], pa.binary())})
 
-    packed = df.select(column).mapInArrow(run, "x binary").collect()
-    return np.concatenate([np.frombuffer(bytes(r["x"])) for r in packed]).reshape(n, -1)
+    return df.select(column).mapInArrow(run, "n long, x binary").withColumn("block", F.monotonically_increasing_id())
 
 
 def gram(rows: np.ndarray) -> np.ndarray:
     return rows @ rows.T
 
 
-def solve_gram(df: DataFrame, nc: int, column: str = "px", ddof: int = 1) -> EigenModel:
-    """Eigenvectors of the products of rows, lifted by the rows, for fewer rows than pixels."""
-    x = _rows(df, column)
-    mean = x.mean(0)
-    centred = x - mean
-    values, left = np.linalg.eigh(gram(centred))
-    keep = values > 1e-10 * max(values.max(), 1e-300)
-    lifted = centred.T @ left[:, keep]
-    return EigenModel(mean, *top_components(values[keep] / (len(x) - ddof), lifted, nc), len(x))
+def gram_blocks(packed: DataFrame) -> DataFrame:
+    """a, b and p: the products of the rows of each pair of blocks a <= b, by an equi-join of block pairs."""
+    names = packed.select("block")
+    left = packed.select(F.col("block").alias("a"), F.col("n").alias("m"), F.col("x").alias("u"))
+    right = packed.select(F.col("block").alias("b"), "n", F.col("x").alias("v"))
+    pairs = names.select(F.col("block").alias("a")).crossJoin(names.select(F.col("block").alias("b"))).where("a <= b")
+    met = pairs.join(left, "a").join(right, "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for r in batch.to_pylist():
+                x, y = np.frombuffer(r["u"]).reshape(r["m"], -1), np.frombuffer(r["v"]).reshape(r["n"], -1)
+                yield pa.RecordBatch.from_pydict({"a": [r["a"]], "b": [r["b"]], "p": pa.array([(x @ y.T).tobytes()], pa.binary())})
+
+    return met.select("a", "b", "m", "n", "u", "v").mapInArrow(run, "a long, b long, p binary")
+
+
+def solve_gram(df: DataFrame, nc: int, column: str = "px", ddof: int = 1, chunk: int = 64) -> EigenModel:
+    """Eigenvectors of the products of rows, lifted by the rows, for fewer rows than pixels.
+
+    Products are made by pairs of row blocks and the lift by each block, both over tasks;
+    the driver holds the n x n products, whose size is checked, and the eigenfaces.
+    """
+    packed = _packed_blocks(df, column).persist()
+    try:
+        sizes = {r["block"]: r["n"] for r in packed.select("block", "n").collect()}
+        n = sum(sizes.values())
+        if not n:
+            raise ValueError("no rows")
+        if n * n * 8 > GRAM_LIMIT:
+            raise ValueError("the Gram route is for small cohorts")
+        at, total = {}, 0
+        for name in sorted(sizes):
+            at[name], total = total, total + sizes[name]
+        k = np.zeros((n, n))
+        for r in gram_blocks(packed).toLocalIterator():
+            part = np.frombuffer(bytes(r["p"])).reshape(sizes[r["a"]], sizes[r["b"]])
+            k[at[r["a"]] : at[r["a"]] + len(part), at[r["b"]] : at[r["b"]] + part.shape[1]] = part
+            k[at[r["b"]] : at[r["b"]] + part.shape[1], at[r["a"]] : at[r["a"]] + len(part)] = part.T
+        # products of centred rows
+        k -= k.mean(0)
+        k -= k.mean(1, keepdims=True)
+        values, left = np.linalg.eigh((k + k.T) / 2)
+        order = np.argsort(-values)[: min(nc, n)]
+        order = order[values[order] > 1e-10 * max(values.max(), 1e-300)]
+        values, left = values[order], left[:, order]
+        mean = mean_face(df, column)
+        lifted = _lifted(packed, at, mean, left, chunk)
+    finally:
+        packed.unpersist()
+    return EigenModel(mean, *top_components(values / (n - ddof), lifted, nc), n)
+
+
+def _lifted(packed: DataFrame, at: dict[int, int], mean: np.ndarray, left: np.ndarray, chunk: int) -> np.ndarray:
+    """Centred rows, transposed, times ``left``: partial sums per task and chunk of columns, added per chunk."""
+    sent = packed.sparkSession.sparkContext.broadcast((at, mean, left))
+    d, width = len(mean), left.shape[1]
+
+    def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        places, centre, turn = sent.value
+        total = None
+        for batch in batches:
+            for r in batch.to_pylist():
+                x = np.frombuffer(r["x"]).reshape(r["n"], -1) - centre
+                got = x.T @ turn[places[r["block"]] : places[r["block"]] + r["n"]]
+                total = got if total is None else total + got
+        if total is not None:
+            for c in range(0, width, chunk):
+                yield pa.RecordBatch.from_pydict({"c": [c], "s": pa.array([total[:, c : c + chunk].tobytes()], pa.binary())})
+
+    def add(table: pa.Table) -> pa.Table:
+        sums = sum(np.frombuffer(x) for x in table.column("s").to_pylist())
+        return pa.table({"c": table.column("c")[:1], "s": pa.array([sums.tobytes()], pa.binary())})
+
+    parts = packed.select("block", "n", "x").mapInArrow(part, "c long, s binary")
+    out = np.zeros((d, width))
+    for r in parts.groupBy("c").applyInArrow(add, "c long, s binary").collect():
+        got = np.frombuffer(bytes(r["s"])).reshape(d, -1)
+        out[:, r["c"] : r["c"] + got.shape[1]] = got
+    return out
 
 
 def solve_subspace(df: DataFrame, nc: int, column: str = "px", oversample: int = 8, iters: int = 30, tol: float = 1e-6, ddof: int = 1, seed: int = 5) -> EigenModel:
@@ -122,7 +188,6 @@ def solve_mllib(df: DataFrame, nc: int, column: str = "px") -> EigenModel:
     """The library's principal components, as a cross-check."""
     from pyspark.ml.feature import PCA
     from pyspark.ml.functions import array_to_vector
-    from pyspark.sql import functions as F
 
     state = moments(df, column)
     fitted = PCA(k=nc, inputCol="v", outputCol="p").fit(df.select(array_to_vector(F.col(column).cast("array<double>")).alias("v")))
@@ -133,7 +198,7 @@ def solve_mllib(df: DataFrame, nc: int, column: str = "px") -> EigenModel:
 
 def plan_route(n: int, d: int) -> str:
     """The Gram route for fewer rows than pixels, subspace iteration where a d x d matrix is too large."""
-    if n < d and n * d * 8 <= GRAM_LIMIT:
+    if n < d and n * n * 8 <= GRAM_LIMIT:
         return "gram"
     return "direct" if d <= DIRECT_LIMIT else "subspace"
 

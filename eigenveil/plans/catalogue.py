@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import sources, streaming
-from ..functions import laplace_pdf, perturb, register, vec_l1
+from ..functions import laplace_pdf, perturb, register
 from ..operators import attack, audit, baselines, classify, cohort, imaging, measures, moments, noise, project, relops, scaling, spectra
 from ..params import cap_components, resolve_target
 from .workloads import WORKLOADS
@@ -44,9 +44,7 @@ def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def axes(k: int = 16) -> spectra.EigenModel:
-    i, j = np.arange(k)[:, None], np.arange(64)[None, :]
-    rows = np.where(np.bitwise_count(i & j) % 2 == 0, 1.0, -1.0) / 8
-    return spectra.EigenModel(np.zeros(64), np.ones(k), rows, 0, 8, 8, 1)
+    return spectra.EigenModel(np.zeros(64), np.ones(k), project.sign_axes(k), 0, 8, 8, 1)
 
 
 def long(df: DataFrame, column: str, id_: str = "id", digits: int = 6) -> DataFrame:
@@ -116,7 +114,10 @@ def merged_chain(spark, sf_dir):
 
 @query("merged_tree", COV)
 def merged_tree(spark, sf_dir):
-    return moments.long_form(spark, moments.merge_tree(_parts(spark, sf_dir)).covariance())
+    """Eight parts merged over tasks, two at a time."""
+    placed = vectors(spark, sf_dir).withColumn("part", F.pmod("id", F.lit(8)))
+    row = moments.merge_over_tasks(moments.partials(placed, part="part"), 8, 2).first()
+    return moments.long_form(spark, moments.unpacked(row).covariance())
 
 
 @query("incremental_update", COV)
@@ -145,11 +146,8 @@ def merge_printed_error(spark, sf_dir):
 @query("gram_matrix", f"WITH {E} SELECT a.vec_id AS a, b.vec_id AS b, round(sum(a.x * b.x), 6) AS dot FROM e a JOIN e b USING (idx) GROUP BY 1, 2")
 def gram_matrix(spark, sf_dir):
     """Products of all rows: packed blocks of rows meet by block pair, no row list is broadcast."""
-    base = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    a = base.select(F.col("vec_id").alias("a"), F.col("v").alias("x"))
-    b = base.select(F.col("vec_id").alias("b"), F.col("v").alias("y"))
-    dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
-    return a.crossJoin(b).select("a", "b", (F.round(dot, 6) + 0.0).alias("dot"))
+    base = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    return relops.row_products(base).select("a", "b", (F.round("dot", 6) + 0.0).alias("dot"))
 
 
 @query("eigen_trace", f"WITH {E}, c AS (SELECT idx, var_samp(x) AS v FROM e GROUP BY 1) SELECT round(sum(v), 8) AS total FROM c")
@@ -236,15 +234,46 @@ def fact_grid(spark, sf_dir):
     return long(sources.fact_grid(table(spark, sf_dir, "lineitem")), "px").where("value > 0")
 
 
-@query("text_raster")
+@query("text_raster", "WITH l AS (SELECT doc_id, lang, string_split(coalesce(text, ''), chr(10)) AS l FROM documents) SELECT doc_id AS id, lang AS label, greatest(1, list_max(list_transform(l, lambda x: length(x))))::INTEGER AS w, len(l)::INTEGER AS h, coalesce(list_sum(list_transform(regexp_extract_all(array_to_string(l, ''), '(?s).'), lambda c: unicode(c))), 0)::BIGINT AS total FROM l")
 def text_raster(spark, sf_dir):
+    """Lines as rows: sides and the sum of all codes."""
     made = sources.text_raster(table(spark, sf_dir, "documents"))
-    return imaging.resample(made, 8, 8, "area").select("id", "label", "w", "h", F.size("px").alias("cells"))
+    total = F.aggregate("px", F.lit(0.0), lambda s, x: s + x).cast("long").alias("total")
+    return made.select("id", "label", "w", "h", total)
 
 
-@query("resample_bilinear")
+@query("to_gray", "SELECT doc_id AS id, i AS idx, round(((o + 2 * c) / 3)::FLOAT::DOUBLE, 4) + 0.0 AS value FROM (SELECT vec_id AS doc_id, i, embedding[i + 1]::DOUBLE AS o, embedding[64 - i]::DOUBLE AS c FROM embeddings, range(0, 64) t(i))")
+def to_gray(spark, sf_dir):
+    """Three channels (the vector and twice its reverse) averaged to one."""
+    turned = vectors(spark, sf_dir).withColumn("r", F.reverse("px"))
+    return long(imaging.to_gray(imaging.stack_channels(turned, ["px", "r", "r"])), "px", digits=4)
+
+
+_STANDARD = {"unit_range": "(x - min(x) OVER p) / (max(x) OVER p - min(x) OVER p)", "zscore": "(x - avg(x) OVER p) / stddev_pop(x) OVER p"}
+for _mode, _how in _STANDARD.items():
+
+    def _standardised(spark, sf_dir, mode=_mode):
+        return long(imaging.standardise(vectors(spark, sf_dir), mode), "px", digits=4)
+
+    query(f"standardise_{_mode}", f"WITH {E} SELECT vec_id AS id, idx, round(({_how})::FLOAT::DOUBLE, 4) + 0.0 AS value FROM e WINDOW p AS (PARTITION BY vec_id)")(_standardised)
+
+
+@query("rejected_rows", "SELECT vec_id AS id, CASE vec_id % 4 WHEN 0 THEN 'null' WHEN 1 THEN 'length' ELSE 'not finite' END AS reason FROM embeddings WHERE vec_id % 4 < 3")
+def rejected_rows(spark, sf_dir):
+    """What a release leaves out: every fourth row is whole, the others lack a vector, a value or a finite one."""
+    px, k = F.col("px"), F.pmod("id", F.lit(4))
+    broken = F.when(k == 1, F.slice(px, 1, 63)).when(k == 2, F.transform(px, lambda x, i: F.when(i == 5, F.lit(float("nan"))).otherwise(x))).when(k == 3, px)
+    return imaging.split_valid(vectors(spark, sf_dir).withColumn("px", broken))[1].select("id", "reason")
+
+
+def _axis(size: int, target: int, name: str) -> str:
+    """For each target place the lower of its two source places and the share of the upper one."""
+    return f"{name} AS (SELECT t, floor(p)::BIGINT AS lo, least({size - 1}, floor(p)::BIGINT + 1) AS hi, p - floor(p) AS f FROM (SELECT t, greatest(0.0::DOUBLE, least({size - 1}.0::DOUBLE, (t + 0.5::DOUBLE) * {size} / {target} - 0.5)) AS p FROM range(0, {target}) r(t)))"
+
+
+@query("resample_bilinear", f"WITH {E}, {_axis(8, 5, 'xs')}, {_axis(8, 6, 'ys')}, c AS (SELECT ys.t * 5 + xs.t AS idx, cx.k AS xk, cy.k AS yk, CASE cx.k WHEN 0 THEN xs.lo ELSE xs.hi END + 8 * CASE cy.k WHEN 0 THEN ys.lo ELSE ys.hi END AS cell, CASE cx.k WHEN 0 THEN 1 - xs.f ELSE xs.f END * CASE cy.k WHEN 0 THEN 1 - ys.f ELSE ys.f END AS wt FROM xs, ys, range(0, 2) cx(k), range(0, 2) cy(k)) SELECT vec_id AS id, c.idx, round(sum(x * wt)::FLOAT::DOUBLE, 5) + 0.0 AS value FROM e JOIN c ON e.idx = cell GROUP BY 1, 2")
 def resample_bilinear(spark, sf_dir):
-    return long(imaging.resample(vectors(spark, sf_dir), 5, 6, "bilinear"), "px")
+    return long(imaging.resample(vectors(spark, sf_dir), 5, 6, "bilinear"), "px", digits=5)
 
 
 # --- cohort ------------------------------------------------------------------------
@@ -395,10 +424,9 @@ def sensitivity_modes(spark, sf_dir):
 
 @query("empirical_sensitivity", f"WITH {E}, d AS (SELECT a.vec_id, b.vec_id AS o, sum(abs(a.x - b.x)) AS d FROM e a JOIN e b ON a.idx = b.idx AND a.vec_id < b.vec_id GROUP BY 1, 2) SELECT round(max(d), 6) AS delta FROM d")
 def empirical_sensitivity(spark, sf_dir):
-    """The exact pairwise form, for oracles; the bound by ranges is ``noise.empirical_sensitivity_bound``."""
+    """The exact pairwise form, in blocks; the bound by ranges is ``noise.empirical_sensitivity_bound``."""
     base = vectors(spark, sf_dir).select("id", F.col("px").cast("array<double>").alias("v"))
-    pairs = relops.theta_pairs(base.select(F.col("id").alias("a"), F.col("v").alias("x")), base.select(F.col("id").alias("b"), F.col("v").alias("y")), F.col("a") < F.col("b"))
-    return pairs.agg(F.round(F.max(vec_l1("x", "y")), 6).alias("delta"))
+    return relops.greatest_l1(base).select(F.round("delta", 6).alias("delta"))
 
 
 # --- recognition and measures ------------------------------------------------------
@@ -451,14 +479,20 @@ def majority(spark, sf_dir):
     return got.agg(F.count("*").alias("n"), F.sum((F.col("label") == F.col("pred")).cast("int")).alias("hits"))
 
 
-@query("linkage")
+def _linked(eps: float) -> str:
+    """Rate of probes whose nearest row of the other release (least id of ties) is their own, in SQL."""
+    side = lambda key: f"SELECT vec_id, k, z + {laplace_sql(str(1 / eps), chr(39) + key + chr(39), chr(39) + 'r1' + chr(39), 'vec_id', 'k')} AS v FROM q"
+    return f"WITH {S}, a AS ({side('k1')}), c AS ({side('k2')}), d AS (SELECT a.vec_id AS id, c.vec_id AS m, sum((a.v - c.v) * (a.v - c.v)) AS d FROM a JOIN c USING (k) GROUP BY 1, 2), g AS (SELECT id, arg_min(m, (d, m)) AS m FROM d GROUP BY 1) SELECT round(avg((id = m)::INTEGER), 6) AS rate, count(*) AS n, {eps}::DOUBLE AS eps FROM g"
+
+
+@query("linkage", " UNION ALL ".join(f"SELECT * FROM ({_linked(e)})" for e in (0.5, 4.0, 8.0)))
 def linkage(spark, sf_dir):
     """Two releases of every record under different keys."""
     made = _scaled(spark, sf_dir).select("id", F.col("scaled").alias("pv"))
     out = []
     for eps in (0.5, 4.0, 8.0):
         a, b = (noise.laplace(made, "pv", eps, 1.0, k) for k in ("k1", "k2"))
-        out.append(attack.link(a, b).withColumn("eps", F.lit(eps)))
+        out.append(attack.link(a, b).select(F.round("rate", 6).alias("rate"), "n").withColumn("eps", F.lit(eps)))
     return out[0].unionByName(out[1]).unionByName(out[2])
 
 
@@ -498,8 +532,14 @@ def mlp_predictions(spark, sf_dir):
 
 @query("library_recognisers")
 def library_recognisers(spark, sf_dir):
-    base = _scaled(spark, sf_dir).select("id", "label", F.col("scaled").alias("pv")).persist()
-    out = [measures.accuracy(classify.library_fit(base, kind).predict(base)).withColumn("kind", F.lit(kind)) for kind in ("perceptron", "logistic", "forest", "bayes")]
+    """Planted classes under noise, rated on rows that were not trained on."""
+    from .workloads import sources_free
+
+    base = sources.planted_faces(table(spark, sf_dir, "embeddings")).select("id", "label", F.col("px").cast("array<double>").alias("pv"))
+    parts = cohort.split(noise.laplace(base, "pv", 8.0, 1.0, "k1")).persist()
+    train, test = parts.where("split = 'train'"), parts.where("split = 'test'")
+    out = [sources_free(measures.accuracy(classify.library_fit(train, kind).predict(test)).withColumn("kind", F.lit(kind))) for kind in ("perceptron", "logistic", "forest", "bayes")]
+    parts.unpersist()
     return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3])
 
 
@@ -515,7 +555,7 @@ def baseline_times(spark, sf_dir):
 
 # --- relational helpers ------------------------------------------------------------
 
-for _how, _join in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("full", "FULL JOIN")):
+for _how, _join in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
 
     def _targets(spark, sf_dir, how=_how):
         return relops.with_targets(table(spark, sf_dir, "documents").select("doc_id", "lang"), table(spark, sf_dir, "labels"), how=how)
@@ -561,8 +601,7 @@ def range_bins(spark, sf_dir):
 @query("theta_distance_pairs", f"WITH {E} SELECT a.vec_id AS a, b.vec_id AS b FROM e a JOIN e b ON a.idx = b.idx AND a.vec_id < b.vec_id GROUP BY 1, 2 HAVING sum((a.x - b.x) * (a.x - b.x)) < 1.2")
 def theta_distance_pairs(spark, sf_dir):
     v = vectors(spark, sf_dir).select("id", F.col("px").cast("array<double>").alias("v"))
-    d = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, x: s + x)
-    return relops.theta_pairs(v.select(F.col("id").alias("a"), F.col("v").alias("x")), v.select(F.col("id").alias("b"), F.col("v").alias("y")), (F.col("a") < F.col("b")) & (d < 1.2)).select("a", "b")
+    return relops.close_pairs(v, 1.2)
 
 
 for _hint in ("broadcast", "merge", "shuffle_hash"):
@@ -647,6 +686,71 @@ def distinct_users(spark, sf_dir):
     return table(spark, sf_dir, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"))
 
 
+@query("approx_users", "SELECT event_type, count(DISTINCT user_id) AS users, true AS near FROM events GROUP BY 1")
+def approx_users(spark, sf_dir):
+    """Exact counts, and whether the sketch's lie within a tenth of them."""
+    got = table(spark, sf_dir, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("a"))
+    return got.select("event_type", "users", (F.abs(F.col("a") - F.col("users")) <= 0.1 * F.col("users")).alias("near"))
+
+
+@query("shape_summary", "WITH m AS (SELECT l_returnflag, avg(l_quantity) AS m, stddev_pop(l_quantity) AS s FROM lineitem GROUP BY 1), f AS (SELECT l_returnflag, l_linenumber, count(*) AS n FROM lineitem GROUP BY 1, 2), t AS (SELECT l_returnflag, arg_min(l_linenumber, (-n, l_linenumber)) AS mode FROM f GROUP BY 1) SELECT l_returnflag, round(avg((l_quantity - m) ** 3) / max(s) ** 3, 6) AS skew, round(quantile_cont(l_quantity, 0.9)::DOUBLE, 6) AS p90, max(mode)::BIGINT AS mode, max(l_orderkey) FILTER (l_quantity = 50)::BIGINT AS last_large FROM lineitem JOIN m USING (l_returnflag) JOIN t USING (l_returnflag) GROUP BY 1")
+def shape_summary(spark, sf_dir):
+    q = F.col("l_quantity").cast("double")
+    mode = F.mode("l_linenumber", True).cast("long").alias("mode")
+    last = F.max_by("l_orderkey", F.when(q == 50, F.col("l_orderkey"))).cast("long").alias("last_large")
+    return table(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.round(F.skewness(q), 6).alias("skew"), F.round(F.percentile(q, 0.9), 6).alias("p90"), mode, last)
+
+
+@query("win_range", "SELECT event_id, sum(1) OVER w AS span_n, sum(event_id) OVER w AS span_sum FROM (SELECT event_id, user_id, epoch(ts)::BIGINT AS t FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY t RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)")
+def win_range(spark, sf_dir):
+    """A frame by time: the day up to each event of its user."""
+    got = relops.moving_range(_events(spark, sf_dir), "user_id", "t", "event_id", 86_400)
+    return got.select("event_id", "span_n", "span_sum")
+
+
+_SUBQUERIES = """
+SELECT o_custkey, count(*) AS n, sum(CASE WHEN o_totalprice > (SELECT avg(o_totalprice) FROM orders) THEN 1 ELSE 0 END) AS dear
+FROM orders o
+WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_nationkey < 10)
+AND EXISTS (SELECT 1 FROM lineitem l WHERE l.l_orderkey = o.o_orderkey AND l.l_quantity > 45)
+GROUP BY o_custkey
+"""
+
+
+@query("subqueries", _SUBQUERIES.replace("END) AS dear", "END)::BIGINT AS dear"))
+def subqueries(spark, sf_dir):
+    """A scalar, an IN and a correlated EXISTS subquery, as Spark SQL over the tables."""
+    for name in ("orders", "customer", "lineitem"):
+        table(spark, sf_dir, name).createOrReplaceTempView(name)
+    return spark.sql(_SUBQUERIES)
+
+
+_HALVED = "WITH RECURSIVE s(step, eps) AS (SELECT 1, 8.0{d} UNION ALL SELECT step + 1, eps / 2 FROM s WHERE step < 8) SELECT step, round(eps, 6) AS eps, round(sum(eps) OVER (ORDER BY step), 6) AS spent FROM s"
+
+
+@query("budget_halving", _HALVED.format(d="::DOUBLE"))
+def budget_halving(spark, sf_dir):
+    """A recursive query: releases that halve their budget, and what they spend in all."""
+    return spark.sql(_HALVED.format(d="D"))
+
+
+@query("pixel_rows", f"WITH {E} SELECT vec_id AS id, idx, round(x, 6) + 0.0 AS value FROM e")
+def pixel_rows(spark, sf_dir):
+    """The table function in SQL."""
+    register(spark)
+    vectors(spark, sf_dir).select("id", F.col("px").cast("array<double>").alias("v")).createOrReplaceTempView("faces_for_rows")
+    return spark.sql("SELECT id, p.idx, round(p.value, 6) + 0.0D AS value FROM faces_for_rows, LATERAL explode_pixels(v) AS p")
+
+
+@query("label_mean_vector", f"WITH {E} SELECT label, idx, round(avg(x), 6) + 0.0 AS value FROM e GROUP BY 1, 2")
+def label_mean_vector(spark, sf_dir):
+    """The vector aggregate by label."""
+    from ..functions import mean_vector
+
+    got = table(spark, sf_dir, "embeddings").groupBy("label").agg(mean_vector()("embedding").alias("m"))
+    return long(got, "m", "label")
+
+
 for _name, _sql in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
 
     def _setop(spark, sf_dir, op=_sql):
@@ -715,8 +819,8 @@ def win_session(spark, sf_dir):
 
 @query("accuracy_drop")
 def accuracy_drop(spark, sf_dir):
-    """Points of F1 lost at each budget against no noise."""
-    return measures.drop(WORKLOADS["w5_planted"](spark, sf_dir))
+    """Points of F1 lost by the network at each budget against no noise."""
+    return measures.drop(WORKLOADS["w5_planted"](spark, sf_dir).where("recogniser = 'network'"))
 
 
 @query("epochs_to_converge")
@@ -751,11 +855,9 @@ def event_grid(spark, sf_dir):
 @query("incremental_stream")
 def incremental_stream(spark, sf_dir):
     """Covariance diagonal of a state folded batch by batch from a replayed stream."""
-    import tempfile
     import time
 
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="moments-")
-    folder = f"{root}/moments-{time.time_ns()}"
+    folder = f"{sources.shared_folder(spark)}/moments-{time.time_ns()}"
     streaming.write_captures(vectors(spark, sf_dir), f"{folder}/in", 3)
     sink = streaming.IncrementalMoments(spark, f"{folder}/state")
     streaming.capture(spark, f"{folder}/in").writeStream.foreachBatch(sink).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True).start().awaitTermination()
@@ -765,3 +867,6 @@ def incremental_stream(spark, sf_dir):
 SQL["incremental_stream"] = f"WITH {E} SELECT idx, round(var_samp(x), 9) AS value FROM e GROUP BY 1"
 
 QUERIES |= WORKLOADS
+
+SQL["w1_dataset"] = f"WITH k AS (SELECT lang FROM documents GROUP BY 1 HAVING count(*) >= 100) SELECT lang AS label, CASE WHEN {uniform(chr(39) + 'split' + chr(39), 'doc_id')} < 0.7 THEN 'train' ELSE 'test' END AS split, count(*) AS n FROM documents JOIN k USING (lang) GROUP BY 1, 2"
+SQL["w14_capture"] = f"WITH {S} SELECT vec_id AS id, k AS idx, round(z + {laplace_sql('0.125', chr(39) + 'k1' + chr(39), chr(39) + 'r1' + chr(39), 'vec_id', 'k')}, 6) + 0.0 AS value FROM q"

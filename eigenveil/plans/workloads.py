@@ -16,7 +16,11 @@ from ..operators.release import PrivateEigenModel, PrivateEigenRelease
 from ..params import ReleaseParams
 
 KEY = "k1"
-BUDGETS: tuple[float | None, ...] = (0.5, 1.0, 2.0, 4.0, 6.0, 8.0, None)
+BUDGETS: tuple[float | None, ...] = (0.5, 1.0, 2.0, 3.0, 4.0, 5.0, 6.0, 7.0, 8.0, None)
+#: Images per person in the experiments.
+THRESHOLD = 100
+#: Layers and epochs of the network where a workload trains many (the published ones: ``classify.HIDDEN``, ``classify.EPOCHS``).
+LAYERS, EPOCHS = (256, 128), 60
 
 
 def faces(spark: SparkSession, sf_dir: str, label: str = "lang", channels: int = 1) -> DataFrame:
@@ -35,24 +39,29 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
-def _rated(released: DataFrame, kind: str = "centroid") -> DataFrame:
-    """Train on released training rows, predict released test rows."""
-    parts = cohort.split(released.where("label IS NOT NULL"))
-    train, test = parts.where("split = 'train'"), parts.where("split = 'test'")
-    net = classify.centroid_fit(train) if kind == "centroid" else classify.mlp_fit(train, hidden=(64,), max_iter=40)
-    return classify.predict(test, net)
+def frequent(images: DataFrame, n: int = THRESHOLD) -> DataFrame:
+    """Persons with at least ``n`` images; all persons of a table in which none has so many."""
+    kept = cohort.keep_frequent(images, n)
+    return images if kept.isEmpty() else kept
 
 
-def eps_sweep(images: DataFrame, budgets=BUDGETS, nc: int = 47, kind: str = "centroid", **more) -> DataFrame:
-    """The scores are made once; each budget only draws other noise."""
+def _reports(released: DataFrame, by: str, hidden: tuple[int, ...] = LAYERS, max_iter: int = EPOCHS, kinds: tuple[str, ...] = ("network", "centroid")) -> DataFrame:
+    """Weighted report of each setting in ``by`` and recogniser, trained on released training rows."""
+    rows = released if "split" in released.columns else cohort.split(released)
+    rated = classify.rated_each(rows, by, kinds, hidden=hidden, max_iter=max_iter)
+    epochs = rated.groupBy(by, "recogniser").agg(F.max("epochs").alias("epochs"))
+    report = measures.weighted_report(rated, by=(by, "recogniser"))
+    same = [report[by].eqNullSafe(epochs[by]), report["recogniser"] == epochs["recogniser"]]
+    return report.join(epochs, same).select(report["*"], epochs["epochs"])
+
+
+def eps_sweep(images: DataFrame, budgets=BUDGETS, nc: int = 47, hidden: tuple[int, ...] = LAYERS, max_iter: int = EPOCHS, **more) -> DataFrame:
+    """The scores are made once; each budget only draws other noise.  One row for each budget and recogniser."""
+    images = frequent(images)
     model = edge_model(images, nc, None, **more)
     scaled = model.scaled(images).persist()
-    out = []
-    for eps in budgets:
-        pv = F.col("scaled") if eps is None else perturb("scaled", eps, model.delta, KEY, "id")
-        report = measures.weighted_report(_rated(scaled.select("id", "label", pv.alias("pv")), kind))
-        out.append(report.withColumn("eps", F.lit(eps).cast("double")))
-    done = sources_free(_union(out))
+    each = [scaled.select("id", "label", (F.col("scaled") if e is None else perturb("scaled", e, model.delta, KEY, "id")).alias("pv"), F.lit(e).cast("double").alias("eps")) for e in budgets]
+    done = sources_free(_reports(_union(each), "eps", hidden, max_iter))
     scaled.unpersist()
     return done
 
@@ -87,9 +96,10 @@ def w3_perturbed_gallery(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select("id", "eps", (power(F.col("scaled")) / power(F.zip_with("pv", "scaled", lambda x, y: x - y))).alias("snr"))
 
 
-def w4_training_loss(spark: SparkSession, sf_dir: str, hidden: tuple[int, ...] = (128, 64), max_iter: int = 60) -> DataFrame:
-    images = faces(spark, sf_dir)
-    released = edge_model(images, 47, 4.0).release(images).df
+def w4_training_loss(spark: SparkSession, sf_dir: str, hidden: tuple[int, ...] = classify.HIDDEN, max_iter: int = classify.EPOCHS) -> DataFrame:
+    """The published layers, epochs and stopping rule, at budget 4."""
+    images = frequent(faces(spark, sf_dir))
+    released = edge_model(images, 47, 4.0).release(images).df.where("label IS NOT NULL")
     net = classify.mlp_fit(cohort.split(released).where("split = 'train'"), hidden=hidden, max_iter=max_iter)
     return spark.createDataFrame([(i + 1, float(x)) for i, x in enumerate(net.losses)], "epoch int, loss double")
 
@@ -113,64 +123,99 @@ def w5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w6_sheet(spark: SparkSession, sf_dir: str) -> DataFrame:
-    images = faces(spark, sf_dir)
-    return measures.sample_sheet(_rated(edge_model(images, 47, 4.0).release(images).df))
+    """Eight test rows at budget 4, as the network labels them."""
+    images = frequent(faces(spark, sf_dir))
+    released = edge_model(images, 47, 4.0).release(images).df.withColumn("eps", F.lit(4.0))
+    return measures.sample_sheet(classify.rated_each(cohort.split(released), "eps", ("network",), hidden=LAYERS, max_iter=EPOCHS))
 
 
-def w7_threshold_sweep(spark: SparkSession, sf_dir: str, steps: tuple[int, ...] = (20, 40, 60, 80, 100)) -> DataFrame:
+def w7_threshold_sweep(spark: SparkSession, sf_dir: str, steps: tuple[int, ...] = (20, 40, 60, 80, 100, 200), nc: int = 128) -> DataFrame:
     """More images per person, at budget 8: the test rows stay the same."""
     images = faces(spark, sf_dir)
-    released = cohort.split(edge_model(images, 47, 8.0).release(images).df).persist()
-    test = released.where("split = 'test'")
-    out = []
-    for n in steps:
-        net = classify.centroid_fit(cohort.cap_per_class(released.where("split = 'train'"), n))
-        out.append(measures.weighted_report(classify.predict(test, net)).withColumn("imthresh", F.lit(n)))
-    done = sources_free(_union(out))
+    released = cohort.split(edge_model(images, nc, 8.0, enforce_cap=False).release(images).df).persist()
+    test, train = released.where("split = 'test'"), released.where("split = 'train'")
+    each = [cohort.cap_per_class(train, n).unionByName(test).withColumn("imthresh", F.lit(n)) for n in steps]
+    done = sources_free(_reports(_union(each), "imthresh"))
     released.unpersist()
     return done
 
 
 def w8_nc_sweep(spark: SparkSession, sf_dir: str, steps: tuple[int, ...] = (5, 10, 20, 30, 40, 47, 64, 100, 128)) -> DataFrame:
-    """Component counts with the budget held per index and per record."""
-    images = faces(spark, sf_dir)
+    """Component counts at threshold 100, with the budget held per index and per record."""
+    images = frequent(faces(spark, sf_dir))
     model = edge_model(images, max(steps), None, enforce_cap=False)
     scaled = model.scaled(images).persist()
-    out = []
+    each = []
     for nc in steps:
         for mode in ("index", "l1"):
             pv = perturb(F.slice("scaled", 1, nc), 8.0, noise.sensitivity(nc, mode), KEY, "id")
-            out.append(measures.weighted_report(_rated(scaled.select("id", "label", pv.alias("pv")))).withColumn("nc", F.lit(nc)).withColumn("mode", F.lit(mode)))
-    done = sources_free(_union(out))
+            each.append(scaled.select("id", "label", pv.alias("pv"), F.lit(f"{nc} {mode}").alias("setting")))
+    made = _reports(_union(each), "setting")
+    done = sources_free(made.select(F.split("setting", " ")[0].cast("int").alias("nc"), F.split("setting", " ")[1].alias("mode"), *[c for c in made.columns if c != "setting"]))
     scaled.unpersist()
     return done
 
 
-def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), domain: str = "pixel") -> DataFrame:
-    """Reconstruction from released vectors of test rows, judged by error, cosine and re-identification."""
-    images = faces(spark, sf_dir)
-    model = edge_model(images, 47, None, domain=domain)
-    attacker = attack.fit_attacker(images, 200) if domain == "pixel" else model.eigen
-    targets = cohort.split(images).where("split = 'test'")
-    scaled = model.scaled(targets.withColumn("truth", F.col("px"))).persist()
+def chosen_components(spark: SparkSession, sf_dir: str, tol: float = 0.01) -> DataFrame:
+    """M16a on the curve of W8: for each recogniser and way of holding the budget, the count after which F1 gains under ``tol``."""
+    curves: dict[tuple[str, str], list[tuple[int, float]]] = {}
+    for r in w8_nc_sweep(spark, sf_dir).collect():
+        curves.setdefault((r["recogniser"], r["mode"]), []).append((r["nc"], r["f1"]))
+    return spark.createDataFrame([(k, m, spectra.choose_nc(c, tol)) for (k, m), c in sorted(curves.items())], "recogniser string, mode string, nc int")
+
+
+def _guesses(spark: SparkSession, sf_dir: str, budgets, domain: str, channels: int, noise_on: str, components: int, n: int, targets: int | None = None):
+    """(targets, guesses): reconstructions of released test rows at each budget, with the truth.
+
+    ``noise_on`` is "scaled" (the release: noise on values in [0, 1], scaled back by the
+    attacker) or "raw" (noise of the same scale on centred values that were not scaled).
+    """
+    images = faces(spark, sf_dir, channels=channels)
+    model = edge_model(images, 47, None, domain=domain, enforce_cap=False)
+    attacker = attack.fit_attacker(images, components, n) if domain == "pixel" else model.eigen
+    tested = cohort.split(images).where("split = 'test'")
+    tested = tested.orderBy("id").limit(targets) if targets else tested
+    truth = tested.withColumn("truth", F.col("px"))
+    if noise_on == "scaled":
+        values = model.scaled(truth).withColumnRenamed("scaled", "v").persist()
+    else:
+        values = project.centred(truth, model.eigen.mean, out="v").persist()
+    each = [values.withColumn("pv", F.col("v") if e is None else perturb("v", e, model.delta if noise_on == "scaled" else 1.0, KEY, "id")).withColumn("eps", F.lit(e).cast("double")) for e in budgets]
+    guessed = attack.reconstruct(_union(each).drop("v"), attacker, add_mean=True, domain=domain, edge=model if noise_on == "scaled" else None)
+    return tested, values, measures.reconstruction(guessed.withColumn("px", F.col("truth").cast("array<double>")))
+
+
+def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), domain: str = "pixel", settings=((1, "scaled"), (1, "raw"), (3, "scaled")), components: int = 2000, n: int = 1000) -> DataFrame:
+    """Reconstruction from released vectors of test rows, judged by error, cosine and re-identification.
+
+    The attacker has the eigenvectors of 1,000 images and their flips (as many as these
+    give, 2,000 at most), grey and in three channels.
+    """
     out = []
-    for eps in budgets:
-        if domain == "pixel":
-            noisy = project.centred(targets.withColumn("truth", F.col("px")), model.eigen.mean, out="pv")
-            noisy = noisy if eps is None else noisy.withColumn("pv", perturb("pv", eps, 1.0, KEY, "id"))
-        else:
-            noisy = scaled.withColumn("pv", F.col("scaled") if eps is None else perturb("scaled", eps, model.delta, KEY, "id"))
-        guessed = attack.reconstruct(noisy, attacker, add_mean=True, domain=domain, edge=model)
-        rated = measures.reconstruction(guessed.withColumn("px", F.col("truth").cast("array<double>"))).agg(F.avg("mse").alias("mse"), F.avg("psnr").alias("psnr"), F.avg("cosine").alias("cosine"))
-        found = attack.nearest_rate(guessed.select("id", F.col("guess").alias("v")), targets.select("id", F.col("px").cast("array<double>").alias("v")), "v").select(F.col("rate").alias("reid"))
-        out.append(rated.crossJoin(found).withColumn("eps", F.lit(eps).cast("double")))
-    done = sources_free(_union(out))
-    scaled.unpersist()
+    for channels, noise_on in settings:
+        tested, values, rated = _guesses(spark, sf_dir, budgets, domain, channels, noise_on, components, n)
+        rated = rated.select("eps", "id", "guess", "mse", "psnr", "cosine").persist()
+        gallery = tested.select("id", F.col("px").cast("array<double>").alias("v"))
+        for eps in budgets:
+            mine = rated.where(F.col("eps").eqNullSafe(F.lit(eps).cast("double")))
+            means = mine.agg(*[F.avg(c).alias(c) for c in ("mse", "psnr", "cosine")])
+            found = attack.nearest_rate(mine.select("id", F.col("guess").alias("v")), gallery, "v").select(F.col("rate").alias("reid"))
+            out.append(sources_free(means.crossJoin(found).select(F.lit(channels).alias("channels"), F.lit(noise_on).alias("noise_on"), F.lit(eps).cast("double").alias("eps"), "*")))
+        rated.unpersist()
+        values.unpersist()
+    return _union(out)
+
+
+def w9_targets(spark: SparkSession, sf_dir: str, budgets=(0.5, 1.0, 2.0, 4.0, 8.0, None)) -> DataFrame:
+    """The attack's table of two targets: error, peak ratio and cosine of each at each budget, in three channels."""
+    _, values, rated = _guesses(spark, sf_dir, budgets, "pixel", 3, "scaled", 2000, 1000, targets=2)
+    done = sources_free(rated.select("id", "eps", "mse", "psnr", "cosine"))
+    values.unpersist()
     return done
 
 
 def w9_score_attack(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return w9_attack(spark, sf_dir, domain="score")
+    return w9_attack(spark, sf_dir, domain="score", settings=((1, "scaled"),))
 
 
 def w10_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -186,7 +231,13 @@ def w10_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
     return marks.join(F.broadcast(_union(counts)), "approach", "left")
 
 
-def w11_time_per_image(spark: SparkSession, sf_dir: str, steps: tuple[int, ...] = (10, 47, 128)) -> DataFrame:
+def w11_time_per_image(spark: SparkSession, sf_dir: str, steps: tuple[int, ...] = (10, 47, 90, 128), hidden: tuple[int, ...] = classify.HIDDEN) -> DataFrame:
+    """Seconds per image of the release and of the published network, and of one image through it alone.
+
+    t_rand, t_rec and total are wall time over all cores by the number of images; t_one is
+    the time of a single image through the network in one process, the measure published.
+    Weights don't change what a product costs, so a few steps of training suffice here.
+    """
     images = faces(spark, sf_dir).persist()
     n = images.count()
     full = edge_model(images, max(steps), 8.0, enforce_cap=False)
@@ -195,11 +246,63 @@ def w11_time_per_image(spark: SparkSession, sf_dir: str, steps: tuple[int, ...]
         p = full.settings
         model = PrivateEigenModel(type(p)(**{**p.__dict__, "nc": nc}), full.eigen.take(nc), scaling.Bounds(full.bounds.scope, full.bounds.lo[:nc], full.bounds.hi[:nc]))
         released = model.release(images).df.persist()
-        net = classify.centroid_fit(released)
-        out.append((nc, *measures.per_image_time(n, lambda m=model: m.release(images).df, lambda r=released, t=net: classify.predict(r, t)).values()))
+        few = released.where("label IS NOT NULL").orderBy("id").limit(500)
+        net = classify.mlp_fit(few, hidden=hidden, max_iter=1)
+        one = np.array(released.first()["pv"])[None]
+        net.probabilities(one)
+        began = time.perf_counter()
+        for _ in range(20):
+            net.probabilities(one)
+        alone = (time.perf_counter() - began) / 20
+        got = measures.per_image_time(n, lambda m=model: m.release(images).df, lambda r=released, t=net: classify.predict(r, t))
+        out.append((nc, *map(float, got.values()), alone))
         released.unpersist()
     images.unpersist()
-    return spark.createDataFrame([(k, float(a), float(b), float(c)) for k, a, b, c in out], "nc int, t_rand double, t_rec double, total double")
+    return spark.createDataFrame(out, "nc int, t_rand double, t_rec double, total double, t_one double")
+
+
+def cost_growth_nc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Q6: least-squares line of the release's seconds per image over the number of components."""
+    curve = w11_time_per_image(spark, sf_dir, steps=(16, 48, 96, 128), hidden=(64,))
+    return measures.fit_slope(curve, "nc", "t_rand")
+
+
+def cost_growth_n(spark: SparkSession, sf_dir: str, shares: tuple[float, ...] = (0.25, 0.5, 0.75, 1.0)) -> DataFrame:
+    """Q7: seconds per image of recognition by networks trained on more and more rows, and the line over their number."""
+    images = faces(spark, sf_dir)
+    released = cohort.split(edge_model(images, 47, 8.0).release(images).df.where("label IS NOT NULL")).persist()
+    train, n = released.where("split = 'train'"), released.count()
+    out = []
+    for share in shares:
+        mine = cohort.split(train.drop("split"), share, salt="grow").where("split = 'train'")
+        net = classify.mlp_fit(mine, hidden=LAYERS, max_iter=3)
+        out.append((mine.count(), float(share), measures.seconds(lambda t=net: classify.predict(released, t)) / n))
+    released.unpersist()
+    curve = spark.createDataFrame(out, "n_train long, share double, t_rec double")
+    return curve.crossJoin(F.broadcast(sources_free(measures.fit_slope(curve, "n_train", "t_rec"))))
+
+
+def baseline_accuracy(spark: SparkSession, sf_dir: str, eps: float = 8.0) -> DataFrame:
+    """B1-B4 and B12 beside the release: raw pixels, clean scores, eigenfaces of one process, the most frequent person."""
+    images = frequent(faces(spark, sf_dir)).persist()
+    model = edge_model(images, 47, eps)
+    train = cohort.split(images).where("split = 'train'")
+    rows = train.orderBy("id").select("px").collect()
+    local = spectra.fit_local(np.array([r["px"] for r in rows], np.float64), model.eigen.nc) if len(rows) <= 2048 else model.eigen
+    each = {
+        "private": model.release(images).df,
+        "no_privacy": model.release(images, eps=None).df,
+        "raw_pixels": baselines.raw_pixels(images).select("id", "label", "pv"),
+        "clean_scores": baselines.clean_scores(model, images).select("id", "label", "pv"),
+        "one_process": project.scores(images, local).select("id", "label", F.col("score").alias("pv")),
+    }
+    made = _union([df.select("id", "label", "pv", F.lit(name).alias("baseline")) for name, df in each.items()])
+    report = _reports(made, "baseline", kinds=("centroid",))
+    parts = cohort.split(images.where("label IS NOT NULL").select("id", "label")).where("split = 'test'")
+    common = measures.weighted_report(classify.majority(parts)).withColumn("baseline", F.lit("majority")).withColumn("recogniser", F.lit("none")).withColumn("epochs", F.lit(0).cast("long"))
+    done = sources_free(report.unionByName(common))
+    images.unpersist()
+    return done
 
 
 def w12_partitions(spark: SparkSession, sf_dir: str, counts: tuple[int, ...] = (1, 2, 4, 8, 16)) -> DataFrame:
@@ -225,18 +328,30 @@ def w13_timing_context(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w14_capture(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Released captures of a replayed stream; must equal the batch release row for row."""
-    import tempfile
-
+    """Released captures of a replayed stream, on fixed axes: equal to the batch release row for row."""
     from .. import streaming
 
     base = sources.embedding_images(sources.table(spark, sf_dir, "embeddings"))
-    model = PrivateEigenRelease(ReleaseParams(nc=16, eps=8.0, key=KEY, irw=8, irh=8, enforce_cap=False)).fit(base)
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="captures-")
-    folder = f"{root}/captures-{time.time_ns()}"
+    eigen = spectra.EigenModel(np.zeros(64), np.ones(16), project.sign_axes(16), 0, 8, 8, 1)
+    params = ReleaseParams(nc=16, eps=8.0, key=KEY, irw=8, irh=8, enforce_cap=False)
+    model = PrivateEigenModel(params, eigen, scaling.fit_bounds(project.scores(base, eigen)))
+    folder = f"{sources.shared_folder(spark)}/captures-{time.time_ns()}"
     streaming.write_captures(base, f"{folder}/in", 3)
     streaming.run_to_end(streaming.perturbed(streaming.once_each(streaming.capture(spark, f"{folder}/in")), model), f"{folder}/out", f"{folder}/log")
-    return spark.read.parquet(f"{folder}/out").select("id", "label", F.transform("pv", lambda x: F.round(x, 6)).alias("pv"))
+    released = spark.read.parquet(f"{folder}/out").select("id", F.posexplode("pv").alias("idx", "v"))
+    return released.select("id", F.col("idx").cast("long").alias("idx"), (F.round("v", 6) + 0.0).alias("value"))
+
+
+def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    images = frequent(faces(spark, sf_dir))
+    model = edge_model(images, 47, None)
+    scaled = model.scaled(images).persist()
+    deltas = {mode: noise.sensitivity(model.width, mode) for mode in ("index", "euclidean", "l1")}
+    each = [scaled.select("id", "label", perturb("scaled", 8.0, d, KEY, "id").alias("pv"), F.lit(m).alias("mode")) for m, d in deltas.items()]
+    delta = F.element_at(F.create_map(*[x for m, d in deltas.items() for x in (F.lit(m), F.lit(float(d)))]), F.col("mode"))
+    done = sources_free(_reports(_union(each), "mode").withColumn("eps_index", 8.0 / delta).withColumn("eps_record", model.width * 8.0 / delta))
+    scaled.unpersist()
+    return done
 
 
 def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -253,4 +368,4 @@ def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done
 
 
-WORKLOADS = {f.__name__: f for f in (w1_dataset, w2_gallery, w3_perturbed_gallery, w4_training_loss, w5_eps_sweep, w5_planted, w5_null_control, w5_quality, w6_sheet, w7_threshold_sweep, w8_nc_sweep, w9_attack, w9_score_attack, w10_comparison, w11_time_per_image, w12_partitions, w14_capture, w15_sensitivity)}
+WORKLOADS = {f.__name__: f for f in (w1_dataset, w2_gallery, w3_perturbed_gallery, w4_training_loss, w5_eps_sweep, w5_planted, w5_null_control, w5_quality, w6_sheet, w7_threshold_sweep, w8_nc_sweep, chosen_components, w9_attack, w9_score_attack, w9_targets, w10_comparison, w11_time_per_image, cost_growth_nc, cost_growth_n, baseline_accuracy, w12_partitions, w14_capture, w15_sensitivity)}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,6 +30,21 @@ def write(df: DataFrame, fmt: str, path: str, partition_by: list[str] | None = N
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """``spark.checkpoint.dir``; where it is unset, a temporary folder in local mode and a ValueError elsewhere."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return "file://" + tempfile.mkdtemp(prefix="eigenveil-")
+
+
+def bucketed(df: DataFrame, name: str, by: str = "id", buckets: int = 64) -> None:
+    """A table of released vectors bucketed by a key, so that joins on it need no exchange."""
+    df.write.bucketBy(buckets, by).sortBy(by).saveAsTable(name)
+
+
 def gallery(df: DataFrame, path: str, by: str = "label") -> None:
     """The store of released vectors, partitioned by person."""
     df.write.partitionBy(by).parquet(path)

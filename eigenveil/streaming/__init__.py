@@ -7,7 +7,7 @@ import os
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -23,6 +23,14 @@ def capture(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataF
     return spark.readStream.schema(CAPTURE).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
+def rate_captures(spark: SparkSession, gallery: DataFrame, rows_per_second: int = 10) -> DataFrame:
+    """A load test: rows of the ``rate`` source, each taken for a capture of one of ``gallery``'s images."""
+    n = gallery.count()
+    ticks = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    numbered = gallery.select("label", "w", "h", "ch", "px", (F.row_number().over(Window.orderBy("id")) - 1).cast("long").alias("k"))
+    return ticks.withColumn("k", F.pmod("value", F.lit(n))).join(F.broadcast(numbered), "k").select(F.col("value").alias("id"), "label", "w", "h", "ch", "px", F.col("timestamp").alias("ts"), F.lit("rate").alias("device"))
+
+
 def once_each(captured: DataFrame, late: str = "1 hour") -> DataFrame:
     """One row per capture id within the watermark, so a resent capture is not released again."""
     return captured.withWatermark("ts", late).dropDuplicatesWithinWatermark(["id"])

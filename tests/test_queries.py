@@ -29,8 +29,10 @@ def test_query_equals_sql(spark, sf, duck, name):
 
 
 def test_accuracy_rises_with_the_budget(spark):
-    curve = {r.eps: r.f1 for r in workloads.w5_eps_sweep(spark, "/root/testdata/sf0.01").collect()}
-    assert curve[8.0] >= 0.9 and curve[4.0] >= 0.65 and curve[0.5] <= 0.55 and curve[None] >= curve[8.0] - 0.03
+    rows = workloads.w5_eps_sweep(spark, "/root/testdata/sf0.01").collect()
+    for name in ("network", "centroid"):
+        curve = {r.eps: r.f1 for r in rows if r.recogniser == name}
+        assert len(curve) == 10 and curve[8.0] >= 0.85 and curve[4.0] >= 0.6 and curve[0.5] <= 0.55 and curve[None] >= curve[8.0] - 0.03, (name, curve)
 
 
 def test_null_control_stays_at_chance(spark, sf):
