@@ -165,12 +165,12 @@ def chosen_components(spark: SparkSession, sf_dir: str, tol: float = 0.01) -> Da
 
 
 def _guesses(spark: SparkSession, sf_dir: str, budgets, domain: str, channels: int, noise_on: str, components: int, n: int, targets: int | None = None):
-    """(targets, guesses): reconstructions of released test rows at each budget, with the truth.
+    """(images, targets, values, guesses): reconstructions of released test rows at each budget, with the truth.
 
     ``noise_on`` is "scaled" (the release: noise on values in [0, 1], scaled back by the
     attacker) or "raw" (noise of the same scale on centred values that were not scaled).
     """
-    images = faces(spark, sf_dir, channels=channels)
+    images = faces(spark, sf_dir, channels=channels).persist()
     model = edge_model(images, 47, None, domain=domain, enforce_cap=False)
     attacker = attack.fit_attacker(images, components, n) if domain == "pixel" else model.eigen
     tested = cohort.split(images).where("split = 'test'")
@@ -182,7 +182,7 @@ def _guesses(spark: SparkSession, sf_dir: str, budgets, domain: str, channels: i
         values = project.centred(truth, model.eigen.mean, out="v").persist()
     each = [values.withColumn("pv", F.col("v") if e is None else perturb("v", e, model.delta if noise_on == "scaled" else 1.0, KEY, "id")).withColumn("eps", F.lit(e).cast("double")) for e in budgets]
     guessed = attack.reconstruct(_union(each).drop("v"), attacker, add_mean=True, domain=domain, edge=model if noise_on == "scaled" else None)
-    return tested, values, measures.reconstruction(guessed.withColumn("px", F.col("truth").cast("array<double>")))
+    return images, tested, values, measures.reconstruction(guessed.withColumn("px", F.col("truth").cast("array<double>")))
 
 
 def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), domain: str = "pixel", settings=((1, "scaled"), (1, "raw"), (3, "scaled")), components: int = 2000, n: int = 1000) -> DataFrame:
@@ -193,7 +193,7 @@ def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), d
     """
     out = []
     for channels, noise_on in settings:
-        tested, values, rated = _guesses(spark, sf_dir, budgets, domain, channels, noise_on, components, n)
+        images, tested, values, rated = _guesses(spark, sf_dir, budgets, domain, channels, noise_on, components, n)
         rated = rated.select("eps", "id", "guess", "mse", "psnr", "cosine").persist()
         gallery = tested.select("id", F.col("px").cast("array<double>").alias("v"))
         for eps in budgets:
@@ -201,16 +201,17 @@ def w9_attack(spark: SparkSession, sf_dir: str, budgets=(0.5, 4.0, 8.0, None), d
             means = mine.agg(*[F.avg(c).alias(c) for c in ("mse", "psnr", "cosine")])
             found = attack.nearest_rate(mine.select("id", F.col("guess").alias("v")), gallery, "v").select(F.col("rate").alias("reid"))
             out.append(sources_free(means.crossJoin(found).select(F.lit(channels).alias("channels"), F.lit(noise_on).alias("noise_on"), F.lit(eps).cast("double").alias("eps"), "*")))
-        rated.unpersist()
-        values.unpersist()
+        for held in (rated, values, images):
+            held.unpersist()
     return _union(out)
 
 
 def w9_targets(spark: SparkSession, sf_dir: str, budgets=(0.5, 1.0, 2.0, 4.0, 8.0, None)) -> DataFrame:
     """The attack's table of two targets: error, peak ratio and cosine of each at each budget, in three channels."""
-    _, values, rated = _guesses(spark, sf_dir, budgets, "pixel", 3, "scaled", 2000, 1000, targets=2)
+    images, _, values, rated = _guesses(spark, sf_dir, budgets, "pixel", 3, "scaled", 2000, 1000, targets=2)
     done = sources_free(rated.select("id", "eps", "mse", "psnr", "cosine"))
     values.unpersist()
+    images.unpersist()
     return done
 
 
@@ -354,18 +355,4 @@ def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done
 
 
-def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    images = faces(spark, sf_dir)
-    model = edge_model(images, 47, None)
-    scaled = model.scaled(images).persist()
-    out = []
-    for mode in ("index", "euclidean", "l1"):
-        delta = noise.sensitivity(model.width, mode)
-        report = measures.weighted_report(_rated(scaled.select("id", "label", perturb("scaled", 8.0, delta, KEY, "id").alias("pv"))))
-        out.append(report.withColumn("mode", F.lit(mode)).withColumn("eps_index", F.lit(8.0 / delta)).withColumn("eps_record", F.lit(model.width * 8.0 / delta)))
-    done = sources_free(_union(out))
-    scaled.unpersist()
-    return done
-
-
 WORKLOADS = {f.__name__: f for f in (w1_dataset, w2_gallery, w3_perturbed_gallery, w4_training_loss, w5_eps_sweep, w5_planted, w5_null_control, w5_quality, w6_sheet, w7_threshold_sweep, w8_nc_sweep, chosen_components, w9_attack, w9_score_attack, w9_targets, w10_comparison, w11_time_per_image, cost_growth_nc, cost_growth_n, baseline_accuracy, w12_partitions, w14_capture, w15_sensitivity)}
