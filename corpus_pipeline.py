@@ -4,8 +4,9 @@ Each stage takes (spark, docs, sf_dir) and works on all rows its predecessor kep
 it returns is written as Parquet and read again as the next stage's ``docs``.  All but
 the last return the columns of ``documents``.
 
-* language_id rejects documents without any letter (``und``) or whose pooled language
-  probability is under ``LANGUAGE_FLOOR``, one over a chance guess among four.
+* language_id rejects documents without any letter (``und``) and those whose greatest
+  pooled language probability is under ``LANGUAGE_MARGIN`` times that of a guess among
+  the learned languages (one language: none but ``und``), as evenly mixed texts have.
 * quality rejects documents whose neighbour vote is under 0.7.
 * near_dedup keeps the document with the smallest doc_id of each group (of rows that
   share a doc_id, each stays or goes with it); a row without doc_id stays.
@@ -30,13 +31,12 @@ from eigenveil.llm.queries import vocabulary
 from eigenveil.llm.substring_dedup import remove_repeats
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-LANGUAGE_FLOOR = 0.3
+LANGUAGE_MARGIN = 1.2
 QUALITY_FLOOR = 0.7
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    labelled = learn_and_identify(docs.select(*COLUMNS))
-    return labelled.where((F.col("lang_pred") != "und") & (F.col("score") >= LANGUAGE_FLOOR)).select(*COLUMNS)
+    return learn_and_identify(docs.select(*COLUMNS), margin=LANGUAGE_MARGIN).where("accepted").select(*COLUMNS)
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -267,8 +267,13 @@ def train(docs: DataFrame, sample_docs: int = 1_500, sample_words: int = 24_000,
     return model
 
 
-def identify(docs: DataFrame, model: ByteGru | None) -> DataFrame:
-    """``docs`` with lang_pred and score (the pooled probability of lang_pred)."""
+def identify(docs: DataFrame, model: ByteGru | None, margin: float = 1.2) -> DataFrame:
+    """``docs`` with lang_pred, score (the pooled probability of lang_pred) and accepted.
+
+    A text is accepted if it has a language whose probability is at least ``margin``
+    times that of a guess among all learned ones.
+    """
+    floor = margin / len(model.languages) if model is not None and len(model.languages) > 1 else 0.0
 
     def make():
         labeller = DocumentLabeller(model) if model is not None else None
@@ -276,14 +281,15 @@ def identify(docs: DataFrame, model: ByteGru | None) -> DataFrame:
         def work(batch: pa.RecordBatch) -> list[pa.Array]:
             texts = byte_texts(batch.column("text"))
             got = labeller.label(texts) if labeller else [("und", 0.0)] * len(texts)
-            return [pa.array([x[0] for x in got], pa.string()), pa.array([x[1] for x in got], pa.float64())]
+            fine = [x[0] != "und" and x[1] >= floor for x in got]
+            return [pa.array([x[0] for x in got], pa.string()), pa.array([x[1] for x in got], pa.float64()), pa.array(fine, pa.bool_())]
 
         return work
 
-    return with_columns(docs, "lang_pred string, score double", make)
+    return with_columns(docs, "lang_pred string, score double, accepted boolean", make)
 
 
-def learn_and_identify(docs: DataFrame, folds: int = 5, **options) -> DataFrame:
+def learn_and_identify(docs: DataFrame, folds: int = 5, margin: float = 1.2, **options) -> DataFrame:
     """Train on the labelled rows outside fold 0 of the id's crc32 and label every row of ``docs``."""
     model = train(docs.where(id_bucket("doc_id", folds) != 0), **options)
-    return identify(docs, model).withColumn("held_out", id_bucket("doc_id", folds) == 0)
+    return identify(docs, model, margin).withColumn("held_out", id_bucket("doc_id", folds) == 0)

@@ -459,7 +459,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, with_text: bool = Fals
         for batch in batches:
             yield from cut(pa.Table.from_batches([batch]), None).to_batches()
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "n_words long, n_removed long, kept_sha256 string"])
+    schema = ", ".join([*(f"`{f.name.replace('`', '``')}` {f.dataType.simpleString()}" for f in docs.schema.fields), "n_words long, n_removed long, kept_sha256 string"])
     placed = docs.where("doc_id IS NOT NULL").withColumn("__bucket", F.pmod(F.col("doc_id").cast("long"), F.lit(buckets)))
     done = placed.groupBy("__bucket").cogroup(spans.groupBy("bucket")).applyInArrow(cut, schema)
     # rows without an id take no part, and may be many: they are cut where they are

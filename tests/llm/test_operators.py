@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 import public_tokenizers
-from eigenveil.llm import language_id, licenses, near_dedup, near_vectors, packing, pieces, quality, queries, substring_dedup, token_files, topk
+from eigenveil.llm import common, language_id, licenses, near_dedup, near_vectors, packing, pieces, quality, queries, substring_dedup, token_files, topk
 from eigenveil.llm.components import connected_components
 from eigenveil.llm.fm_index import FmIndex
 from eigenveil.llm.tokens import PieceEncoder
@@ -142,6 +142,30 @@ def test_local_search_leaves_no_gaining_step():
                     assert not 0 < gain <= 2048 - sum(t) or sum(t) + gain <= sum(s)
 
 
+def test_local_search_is_quick_without_a_fit():
+    """60,000 lengths of which no two fit, and 60,000 alike: nothing to gain is found in seconds."""
+    for low, high in ((1030, 1400), (600, 700)):
+        many = np.random.default_rng(1).integers(low, high, 60_000)
+        began = time.perf_counter()
+        bins = packing.pack(many, 2048)
+        assert sum(map(len, bins)) == 60_000 and time.perf_counter() - began < 30
+
+
+def test_shared_folder_is_named_on_a_cluster(spark):
+    class Context:
+        master, applicationId = "spark://host:7077", "x"
+
+    class Session:
+        conf, sparkContext = spark.conf, Context()
+
+    if spark.conf.get("spark.checkpoint.dir", None) is None:
+        with pytest.raises(ValueError):
+            common.shared_dir(Session())
+    made = common.materialise(spark.range(5), "five")
+    common.discard(made)
+    assert spark.read.parquet(made.inputFiles()[0].rsplit("/", 1)[0]).count() == 0
+
+
 # --- passages ----------------------------------------------------------------------
 
 
@@ -313,6 +337,19 @@ def test_language_positions_by_plain_recurrence():
     assert model.positions(x[:, None])[:, 0] == pytest.approx(want, abs=1e-5)
 
 
+def test_language_margin_rejects_mixtures(spark):
+    """Evenly mixed texts go, texts of one language stay, whatever the number of languages."""
+    model = language_id.ByteGru(["a", "b", "c", "d"], hidden=2)
+    model.weights = {k: np.zeros_like(v) for k, v in model.weights.items()}
+    rows = spark.createDataFrame([(1, "any words at all"), (2, "123")], "doc_id long, text string")
+    assert {(r.doc_id, r.lang_pred, r.accepted) for r in language_id.identify(rows, model).collect()} == {(1, "a", False), (2, "und", False)}
+    model.weights["bias"] = np.array([2.0, 0, 0, 0], np.float32)
+    assert [r.accepted for r in language_id.identify(rows, model).orderBy("doc_id").collect()] == [True, False]
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select(*corpus_pipeline.COLUMNS)
+    kept = corpus_pipeline.language_id(spark, docs.unionByName(spark.createDataFrame([(9001, "...", None, None, 3)], SCHEMA)), "")
+    assert kept.where("doc_id = 9001").count() == 0 and kept.count() >= docs.where("text IS NOT NULL").count() - 2
+
+
 def test_language_edges(spark, odd_docs):
     got = language_id.learn_and_identify(odd_docs, sample_words=200, epochs=2)
     assert got.count() == odd_docs.count() and got.schema["score"].dataType.simpleString() == "double"
