@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import io
 import time
 from collections.abc import Callable
 
@@ -123,5 +125,8 @@ def merge_error(merged: np.ndarray, pooled: np.ndarray) -> float:
 
 def cost_counters(df: DataFrame) -> dict[str, int]:
     """Q17: scans, exchanges, broadcasts and Python stages of a plan."""
-    plan = df._jdf.queryExecution().executedPlan().toString()
+    text = io.StringIO()
+    with contextlib.redirect_stdout(text):
+        df.explain()
+    plan = text.getvalue()
     return {"scans": plan.count("Scan parquet"), "exchanges": plan.count("Exchange hashpartitioning") + plan.count("Exchange rangepartitioning") + plan.count("Exchange SinglePartition"), "broadcasts": plan.count("BroadcastExchange"), "python": plan.count("MapInArrow") + plan.count("ArrowEvalPython") + plan.count("FlatMapGroups")}

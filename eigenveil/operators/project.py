@@ -21,7 +21,8 @@ def _list(values: np.ndarray) -> pa.Array:
 def mapped(df: DataFrame, column: str, out: str, width_check: int | None, make) -> DataFrame:
     """``df`` without ``column``, with ``out``: rows of ``make()(block)``, batch by batch, no shuffle."""
     rest = [c for c in df.columns if c not in (column, out)]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*rest).schema.fields), f"`{out}` array<double>"])
+    quoted = [f"`{c.replace('`', '``')}`" for c in rest]
+    schema = ", ".join([*(f"`{f.name.replace('`', '``')}` {f.dataType.simpleString()}" for f in df.select(*quoted).schema.fields), f"`{out}` array<double>"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = make()
@@ -33,7 +34,7 @@ def mapped(df: DataFrame, column: str, out: str, width_check: int | None, make)
                 raise ValueError(f"vectors have {x.shape[1]} entries, the model has {width_check}")
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in rest), _list(work(x))], [*rest, out])
 
-    return df.select(*rest, column).mapInArrow(run, schema)
+    return df.select(*quoted, column).mapInArrow(run, schema)
 
 
 def sign_axes(k: int, size: int = 64) -> np.ndarray:

@@ -12,6 +12,7 @@ from eigenveil import sources
 from eigenveil.functions import laplace_icdf, register
 from eigenveil.operators import attack, audit, baselines, classify, cohort, imaging, measures, moments, noise, project, release, scaling, spectra
 from eigenveil.params import ReleaseParams, cap_components, check_budget, resolve_target
+from eigenveil.plans import workloads
 
 
 def grid(spark, rows, w, h, labels=None):
@@ -296,3 +297,52 @@ def test_perceptron_beyond_the_bound(spark, sf):
     net = classify.mlp_fit(base, hidden=(32,), max_iter=30, limit=100)
     assert len(net.losses) == 30 and net.losses[-1] < net.losses[0]
     assert measures.accuracy(classify.predict(base, net)).first().accuracy > 0.9
+
+
+def test_guard_reads_the_plan(spark, sf):
+    """A raw column does not leave under another name, nor does any other vector."""
+    base = sources.embedding_images(sources.table(spark, sf, "embeddings"))
+    model = release.PrivateEigenRelease(ReleaseParams(nc=4, eps=8.0, key="k", irw=8, irh=8, enforce_cap=False)).fit(base)
+    frame = model.release(base)
+    assert release.assert_released(frame).columns == ["id", "label", "pv"]
+    for leak in (model.scaled(base).select("id", F.col("scaled").alias("pv")), base.select("id", F.col("px").alias("x")).select("id", F.col("x").alias("pv")), base.select("id", F.col("px").alias("other"))):
+        with pytest.raises(ValueError):
+            release.assert_released(release.ReleasedFrame(leak, 8.0, 1.0, 4, "x", "r"))
+
+
+def test_bad_rows_are_rejected_with_reasons(spark, sf):
+    base = sources.embedding_images(sources.table(spark, sf, "embeddings"))
+    bad = base.withColumn("px", F.when(F.col("id") == 3, F.lit(None)).when(F.col("id") == 4, F.slice("px", 1, 9)).when(F.col("id") == 5, F.transform("px", lambda x: F.lit(float("nan")).cast("float"))).otherwise(F.col("px")))
+    model = release.PrivateEigenRelease(ReleaseParams(nc=4, eps=8.0, key="k", irw=8, irh=8, enforce_cap=False)).fit(bad)
+    want = {(3, "null"), (4, "length"), (5, "not finite")}
+    assert {tuple(r) for r in model.rejected.collect()} == want and np.isfinite(model.eigen.mean).all()
+    frame = model.release(bad)
+    assert {tuple(r) for r in frame.rejected.collect()} == want and frame.df.count() == base.count() - 3
+
+
+def test_merges_over_tasks_and_products_by_block(spark):
+    x = np.random.default_rng(4).normal(size=(90, 7))
+    df = spark.createDataFrame([(i, i % 11, v.tolist()) for i, v in enumerate(x)], "id long, part long, px array<double>").repartition(5)
+    row = moments.merge_over_tasks(moments.partials(df, part="part"), 11, 3).collect()
+    assert len(row) == 1 and np.allclose(moments.unpacked(row[0]).covariance(), np.cov(x.T))
+    blocks = spectra._packed_blocks(df, "px", rows=8).persist()
+    total = sum(np.square(np.frombuffer(bytes(r.p))).sum() * (1 if r.a == r.b else 2) for r in spectra.gram_blocks(blocks).collect())
+    assert total == pytest.approx(np.square(x @ x.T).sum())
+    blocks.unpersist()
+
+
+def test_sweeps_train_side_by_side(spark):
+    """The same models as one after the other, each setting by itself."""
+    rng = np.random.default_rng(5)
+    rows = [(i, f"p{i % 3}", "train" if i % 4 else "test", s, (rng.normal(size=6) * s + i % 3).tolist()) for i in range(120) for s in (0.1, 3.0)]
+    df = spark.createDataFrame(rows, "id long, label string, split string, s double, pv array<double>")
+    one = classify.rated_each(df, "s", hidden=(16,), max_iter=120, batch=10)
+    far = classify.rated_each(df, "s", limit=10, hidden=(8,), max_iter=2)
+    assert one.count() == 2 * 2 * 30 == far.count()
+    rates = {(r.s, r.recogniser): r.f1 for r in measures.weighted_report(one, by=("s", "recogniser")).collect()}
+    assert rates[0.1, "network"] > 0.95 and rates[0.1, "centroid"] > 0.95 and rates[3.0, "centroid"] < 0.9
+
+
+def test_attack_fails_at_a_small_budget_on_scaled_pixels(spark):
+    got = {r.eps: r for r in workloads.w9_attack(spark, "/root/testdata/sf0.001", budgets=(0.5, None), settings=((1, "scaled"),)).collect()}
+    assert got[None].cosine > 0.9 and got[0.5].cosine < 0.3 and got[0.5].reid < got[None].reid
