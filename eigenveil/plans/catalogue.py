@@ -17,7 +17,8 @@ from pyspark.sql import functions as F
 from .. import sources, streaming
 from ..functions import laplace_pdf, perturb, register
 from ..operators import attack, audit, baselines, classify, cohort, imaging, measures, moments, noise, project, relops, scaling, spectra
-from ..params import cap_components, resolve_target
+from ..operators.release import PrivateEigenModel
+from ..params import ReleaseParams, cap_components, resolve_target
 from .workloads import WORKLOADS
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -331,16 +332,23 @@ def release_fixed_axes(spark, sf_dir):
 
 @query("reconstruct_fixed_axes", f"WITH {S}, y AS (SELECT vec_id, k, lo + (z + {_REL}) * (hi - lo) AS c FROM q JOIN b USING (k)) SELECT vec_id AS id, j AS idx, round(sum(c * a), 6) + 0.0 AS value FROM y JOIN w USING (k) GROUP BY 1, 2")
 def reconstruct_fixed_axes(spark, sf_dir):
+    """The attacker holds the axes and the edge's bounds; released values are scores."""
     made = project.scores(vectors(spark, sf_dir).select("id", "px"), axes())
-    bounds = scaling.fit_bounds(made)
+    edge = PrivateEigenModel(ReleaseParams(nc=16, eps=4.0, key="k1", irw=8, irh=8, enforce_cap=False), axes(), scaling.fit_bounds(made))
+    noisy = noise.laplace(made.select("id", scaling.scaled("score", edge.bounds).alias("pv")), "pv", 4.0, 1.0, "k1")
+    return long(attack.reconstruct(noisy, axes(), domain="score", edge=edge), "guess")
 
-    class Edge:
-        pass
 
-    edge = Edge()
-    edge.bounds = bounds
-    noisy = noise.laplace(made.select("id", scaling.scaled("score", bounds).alias("pv")), "pv", 4.0, 1.0, "k1")
-    return long(attack.reconstruct(noisy, axes(), domain="score", edge=edge), "guess")
+_PIXEL = f"{E}, {W}, b AS (SELECT idx, min(x) AS lo, max(x) AS hi FROM e GROUP BY 1), y AS (SELECT vec_id, idx, lo + ((x - lo) / (hi - lo) + {laplace_sql('0.25', chr(39) + 'k1' + chr(39), chr(39) + 'r1' + chr(39), 'vec_id', 'idx')}) * (hi - lo) AS v FROM e JOIN b USING (idx)), c AS (SELECT vec_id, k, sum(v * a) AS c FROM y JOIN w ON j = idx GROUP BY 1, 2)"
+
+
+@query("reconstruct_pixel_axes", f"WITH {_PIXEL} SELECT vec_id AS id, j AS idx, round(sum(c * a), 6) + 0.0 AS value FROM c JOIN w USING (k) GROUP BY 1, 2")
+def reconstruct_pixel_axes(spark, sf_dir):
+    """The same in the pixel domain: noise on scaled pixels, scaled back, projected on the attacker's axes."""
+    made = vectors(spark, sf_dir).select("id", F.col("px").cast("array<double>").alias("score"))
+    edge = PrivateEigenModel(ReleaseParams(nc=16, eps=4.0, key="k1", irw=8, irh=8, domain="pixel", enforce_cap=False), axes(), scaling.fit_bounds(made))
+    noisy = noise.laplace(made.select("id", scaling.scaled("score", edge.bounds).alias("pv")), "pv", 4.0, 1.0, "k1")
+    return long(attack.reconstruct(noisy, axes(), domain="pixel", edge=edge), "guess")
 
 
 def _scaling(scope: str, lo: str, hi: str):
