@@ -521,12 +521,15 @@ def global_dp_mean(spark, sf_dir):
     return got.select("label", F.col("idx").cast("long").alias("idx"), "n", (F.round("value", 6) + 0.0).alias("value"))
 
 
-@query("encrypted_match")
+_SPLIT = uniform("'split'", "vec_id")
+
+
+@query("encrypted_match", f"WITH {E}, {W}, s AS (SELECT vec_id, k, sum(round_even(x * 64, 0)::BIGINT * (a * 64)::BIGINT)::BIGINT AS z FROM e JOIN w ON j = idx WHERE k < 4 GROUP BY 1, 2), g AS (SELECT vec_id FROM embeddings WHERE {_SPLIT} < 0.7 ORDER BY vec_id LIMIT 798), d AS (SELECT p.vec_id AS id, o.vec_id AS m, sum((p.z - o.z) * (p.z - o.z)) AS d FROM s p JOIN s o USING (k) JOIN g ON g.vec_id = o.vec_id WHERE p.vec_id IN (SELECT vec_id FROM embeddings WHERE {_SPLIT} >= 0.7) GROUP BY 1, 2) SELECT id, arg_min(m, (d, m)) AS match, variant FROM d, (VALUES ('interactive'), ('packed')) v(variant) GROUP BY id, variant")
 def encrypted_match(spark, sf_dir):
-    base = vectors(spark, sf_dir)
-    model = spectra.fit(base, 3)
-    few = base.orderBy("id").limit(4)
-    parts = [baselines.encrypted_match(few, few, model, v).withColumn("variant", F.lit(v)) for v in ("interactive", "packed")]
+    """Every test row against a gallery of the published size (training rows), on four fixed axes."""
+    base = cohort.split(vectors(spark, sf_dir))
+    gallery, probes = base.where("split = 'train'").orderBy("id").limit(798), base.where("split = 'test'")
+    parts = [baselines.encrypted_match(probes, gallery, axes(4), v).select("id", "match", F.lit(v).alias("variant")) for v in ("interactive", "packed")]
     return parts[0].unionByName(parts[1])
 
 

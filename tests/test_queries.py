@@ -6,7 +6,7 @@ import pytest
 from eigenveil.plans import catalogue, workloads
 from verify import rows_of
 
-HEAVY = {"gram_matrix", "subspace_equal"}
+HEAVY = {"gram_matrix", "subspace_equal", "encrypted_match"}
 
 
 @pytest.fixture(scope="module")
