@@ -7,6 +7,7 @@ what holds for any right solution: trace, squared norm, residual, projectors.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -117,7 +118,7 @@ def merged_chain(spark, sf_dir):
 def merged_tree(spark, sf_dir):
     """Eight parts merged over tasks, two at a time."""
     placed = vectors(spark, sf_dir).withColumn("part", F.pmod("id", F.lit(8)))
-    row = moments.merge_over_tasks(moments.partials(placed, part="part"), 8, 2).first()
+    row = moments.merge_over_tasks(moments.partials(placed, part="part"), 8, 2).collect()[0]
     return moments.long_form(spark, moments.unpacked(row).covariance())
 
 
@@ -564,6 +565,87 @@ def baseline_times(spark, sf_dir):
     return measures.baseline_times(spark)
 
 
+# --- the release through its model, and measures on what it gives --------------------
+
+
+def _edge(spark, sf_dir, domain: str = "score") -> PrivateEigenModel:
+    """A model on the fixed axes, with the bounds of the table: what it releases can be said in SQL."""
+    base = vectors(spark, sf_dir)
+    made = base.select("id", F.col("px").cast("array<double>").alias("score")) if domain == "pixel" else project.scores(base.select("id", "px"), axes())
+    params = ReleaseParams(nc=16, eps=4.0, key="k1", irw=8, irh=8, domain=domain, enforce_cap=False)
+    return PrivateEigenModel(params, axes(), scaling.fit_bounds(made))
+
+
+def _noise(key: str, release: str, index: str, eps: float = 4.0) -> str:
+    return laplace_sql(str(1 / eps), f"'{key}'", f"'{release}'", "vec_id", index)
+
+
+@query("release_reissued", f"WITH {S} SELECT vec_id AS id, k AS idx, round(z + {_noise('k1', 'r2', 'k')}, 6) + 0.0 AS value FROM q")
+def release_reissued(spark, sf_dir):
+    """A second release of every record, with noise of its own."""
+    return long(_edge(spark, sf_dir).release(vectors(spark, sf_dir), release_id="r2").df, "pv")
+
+
+@query("release_pixel", f"WITH {E}, b AS (SELECT idx, min(x) AS lo, max(x) AS hi FROM e GROUP BY 1) SELECT vec_id AS id, idx, round((x - lo) / (hi - lo) + {_noise('k1', 'r1', 'idx')}, 6) + 0.0 AS value FROM e JOIN b USING (idx)")
+def release_pixel(spark, sf_dir):
+    """Scaled pixels under noise."""
+    return long(_edge(spark, sf_dir, "pixel").release(vectors(spark, sf_dir)).df, "pv")
+
+
+_RELEASED = f"{S}, r AS (SELECT vec_id, k, z + {_noise('k1', 'r1', 'k')} AS v FROM q)"
+
+
+@query("exported_model", f"WITH {_RELEASED}, l AS (SELECT vec_id, label FROM embeddings) SELECT label::VARCHAR AS label, k AS idx, round(avg(v), 6) + 0.0 AS value FROM r JOIN l USING (vec_id) GROUP BY 1, 2")
+def exported_model(spark, sf_dir):
+    """A recogniser of released rows, written as JSON and read back."""
+    from ..operators.release import export
+
+    net = classify.centroid_fit(_edge(spark, sf_dir).release(vectors(spark, sf_dir)).df)
+    path = f"{sources.shared_folder(spark)}/model-{uuid.uuid4().hex}"
+    export({"classes": net.classes, "centres": net.centres}, path, spark)
+    made = spark.read.text(path).select(F.from_json("value", "classes array<string>, centres array<array<double>>").alias("m"))
+    each = made.select(F.explode(F.arrays_zip("m.classes", "m.centres")).alias("c")).select(F.col("c.classes").alias("label"), F.col("c.centres").alias("v"))
+    return long(each, "v", "label")
+
+
+_GUESSED = f"{_PIXEL}, g AS (SELECT vec_id, j AS idx, sum(c * a) AS g FROM c JOIN w USING (k) GROUP BY 1, 2)"
+
+
+@query("reconstruction_quality", f"WITH {_GUESSED} SELECT vec_id AS id, round(avg((x - g) * (x - g)), 6) AS mse, round(sum(x * g) / sqrt(sum(x * x) * sum(g * g)), 6) AS cosine, round(10 * log10(max(x) * max(x) / avg((x - g) * (x - g))), 4) AS psnr FROM e JOIN g USING (vec_id, idx) GROUP BY 1")
+def reconstruction_quality(spark, sf_dir):
+    """Q9 of the pixel-domain attack on fixed axes."""
+    base = vectors(spark, sf_dir).withColumn("truth", F.col("px").cast("array<double>"))
+    edge = _edge(spark, sf_dir, "pixel")
+    noisy = edge.release(base, keep=("id", "truth")).df
+    rated = measures.reconstruction(attack.reconstruct(noisy, axes(), domain="pixel", edge=edge), "truth")
+    return rated.select("id", F.round("mse", 6).alias("mse"), F.round("cosine", 6).alias("cosine"), F.round("psnr", 4).alias("psnr"))
+
+
+@query("sensitivity_bound", f"WITH {E}, r AS (SELECT max(x) - min(x) AS r FROM e GROUP BY idx) SELECT round(sum(r), 6) AS l1, round(sqrt(sum(r * r)), 6) AS l2 FROM r")
+def sensitivity_bound(spark, sf_dir):
+    """M20a at scale: no pair of records lies further apart."""
+    base = vectors(spark, sf_dir).select("id", F.col("px").cast("array<double>").alias("score"))
+    return one(spark, l1=round(noise.empirical_sensitivity_bound(base), 6), l2=round(noise.empirical_sensitivity_bound(base, norm=2), 6))
+
+
+_MEMBERS = f"t AS (SELECT vec_id, round(embedding[1]::DOUBLE, 3) AS s, {_SPLIT} < 0.7 AS member FROM embeddings)"
+
+
+@query("membership_scores", f"WITH {_MEMBERS}, c AS (SELECT s, sum(member::INTEGER) AS i, sum((NOT member)::INTEGER) AS o FROM t GROUP BY 1), r AS (SELECT sum(i) OVER w / sum(i) OVER () - sum(o) OVER w / sum(o) OVER () AS d FROM c WINDOW w AS (ORDER BY s DESC)) SELECT round(greatest(0, max(d)), 9) AS advantage FROM r")
+def membership_scores(spark, sf_dir):
+    """Q14 on scores with ties: the first component for confidence, the training share for members."""
+    base = cohort.split(vectors(spark, sf_dir)).select((F.round(F.col("px")[0].cast("double"), 3)).alias("confidence"), (F.col("split") == "train").alias("member"))
+    return attack.membership(base).select(F.round("advantage", 9).alias("advantage"))
+
+
+@query("memorisation_scores", f"WITH {_MEMBERS}, a AS (SELECT avg(s) FILTER (member) - avg(s) FILTER (NOT member) AS confidence_gap, avg((label = vec_id % 10)::INTEGER) FILTER (member) - avg((label = vec_id % 10)::INTEGER) FILTER (NOT member) AS accuracy_gap FROM t JOIN embeddings USING (vec_id)) SELECT round(accuracy_gap, 9) AS accuracy_gap, round(confidence_gap, 9) AS confidence_gap FROM a")
+def memorisation_scores(spark, sf_dir):
+    """Q14a on the same scores, the last digit of the id as the prediction."""
+    base = cohort.split(vectors(spark, sf_dir)).select("split", "label", (F.col("id") % 10).cast("string").alias("pred"), F.round(F.col("px")[0].cast("double"), 3).alias("confidence"))
+    got = attack.memorisation_gap(base.where("split = 'train'"), base.where("split = 'test'"))
+    return got.select(*[(F.round(c, 9) + 0.0).alias(c) for c in ("accuracy_gap", "confidence_gap")])
+
+
 # --- relational helpers ------------------------------------------------------------
 
 for _how, _join in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):

@@ -122,6 +122,11 @@ def w5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return eps_sweep(faces(spark, sf_dir, "quality"))
 
 
+def w5_source_control(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The source of a text as its person: no usable signal, so a second null control."""
+    return eps_sweep(faces(spark, sf_dir, "source"), budgets=(0.5, 8.0, None))
+
+
 def w6_sheet(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight test rows at budget 4, as the network labels them."""
     images = frequent(faces(spark, sf_dir))
@@ -322,17 +327,20 @@ def baseline_accuracy(spark: SparkSession, sf_dir: str, eps: float = 8.0) -> Dat
 
 
 def w12_partitions(spark: SparkSession, sf_dir: str, counts: tuple[int, ...] = (1, 2, 4, 8, 16)) -> DataFrame:
-    """Merged against pooled covariance for several numbers of parts of uneven sizes."""
-    base = sources.embedding_images(sources.table(spark, sf_dir, "embeddings"))
-    pooled = moments.covariance_two_round(base)
+    """Merged against pooled covariance for several numbers of parts of uneven sizes, one of them of one row."""
     out = []
-    for parts in counts:
-        began = time.perf_counter()
-        # part 0 takes half of the rows
-        placed = base.withColumn("part", F.greatest(F.lit(0), F.pmod("id", F.lit(2 * parts)) - parts))
-        chain = moments.merge_chain(moments.by_part(placed, "part"))
-        out.append((parts, moments_error(chain.covariance(), pooled), time.perf_counter() - began))
-    return spark.createDataFrame(out, "parts int, max_abs_err double, sec double")
+    fixtures = {"vectors": sources.embedding_images(sources.table(spark, sf_dir, "embeddings")), "fact_grid": sources.fact_grid(sources.table(spark, sf_dir, "lineitem")).select("id", "px")}
+    for name, base in fixtures.items():
+        pooled = moments.covariance_two_round(base)
+        least = base.agg(F.min("id")).first()[0]
+        for parts in counts if name == "vectors" else counts[:2]:
+            began = time.perf_counter()
+            # part 0 takes half of the rows, the last part the first row alone
+            half = F.greatest(F.lit(0), F.pmod("id", F.lit(2 * parts)) - parts)
+            placed = base.withColumn("part", F.when(F.col("id") == least, parts).otherwise(half))
+            row = moments.merge_over_tasks(moments.partials(placed, part="part"), parts + 1).collect()[0]
+            out.append((name, parts + 1, moments_error(moments.unpacked(row).covariance(), pooled), time.perf_counter() - began))
+    return spark.createDataFrame(out, "fixture string, parts int, max_abs_err double, sec double")
 
 
 def moments_error(a: np.ndarray, b: np.ndarray) -> float:
@@ -370,4 +378,4 @@ def w15_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done
 
 
-WORKLOADS = {f.__name__: f for f in (w1_dataset, w2_gallery, w3_perturbed_gallery, w4_training_loss, w5_eps_sweep, w5_planted, w5_null_control, w5_quality, w6_sheet, w7_threshold_sweep, w8_nc_sweep, chosen_components, w9_attack, w9_score_attack, w9_targets, w10_comparison, w11_time_per_image, cost_growth_nc, cost_growth_n, baseline_accuracy, w12_partitions, w14_capture, w15_sensitivity)}
+WORKLOADS = {f.__name__: f for f in (w1_dataset, w2_gallery, w3_perturbed_gallery, w4_training_loss, w5_eps_sweep, w5_planted, w5_null_control, w5_quality, w5_source_control, w6_sheet, w7_threshold_sweep, w8_nc_sweep, chosen_components, w9_attack, w9_score_attack, w9_targets, w10_comparison, w11_time_per_image, cost_growth_nc, cost_growth_n, baseline_accuracy, w12_partitions, w14_capture, w15_sensitivity)}
