@@ -104,9 +104,11 @@ def standardise(df: DataFrame, mode: str = "none", column: str = "px") -> DataFr
         lo, hi = F.array_min(wide), F.array_max(wide)
         return df.withColumn(column, F.transform(wide, lambda x: F.when(hi > lo, (x - lo) / (hi - lo)).otherwise(F.lit(0.0)).cast("float")))
     if mode == "zscore":
-        mean = F.aggregate(column, F.lit(0.0), lambda s, x: s + x) / F.size(column)
-        var = F.aggregate(column, F.lit(0.0), lambda s, x: s + x * x) / F.size(column) - mean * mean
-        return df.withColumn("__mean", mean).withColumn("__var", var).withColumn(column, F.transform(column, lambda x: F.when(F.col("__var") > 0, (x - F.col("__mean")) / F.sqrt("__var")).otherwise(F.lit(0.0)).cast("float"))).drop("__mean", "__var")
+        wide = F.col(column).cast("array<double>")
+        mean = F.aggregate(wide, F.lit(0.0), lambda s, x: s + x) / F.size(column)
+        var = F.aggregate(wide, F.lit(0.0), lambda s, x: s + (x - F.col("__mean")) * (x - F.col("__mean"))) / F.size(column)
+        scaled = F.transform(wide, lambda x: F.when(F.col("__var") > 0, (x - F.col("__mean")) / F.sqrt("__var")).otherwise(F.lit(0.0)).cast("float"))
+        return df.withColumn("__mean", mean).withColumn("__var", var).withColumn(column, scaled).drop("__mean", "__var")
     raise ValueError(f"unknown mode {mode}")
 
 
