@@ -33,7 +33,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, new_path, per_worker, tidy_shuffles
+from .common import bounded_sample, new_path, per_worker, tidy_shuffles, trim
 from .tokens import encoder, in_chunks
 
 MAGIC = b"ZIDS\x02\x00\x00\x00"
@@ -120,6 +120,8 @@ def write_shards(docs: DataFrame, path: str, vocabulary: str, *, end_id: int | N
                 ids = batch.column("doc_id").slice(start, len(got))
                 shard = np.searchsorted(edges, np.asarray(ids.fill_null(_LOWEST)), "left")
                 yield pa.RecordBatch.from_pydict({"shard": pa.array(shard, pa.int32()), "doc_id": ids, "n_tokens": pa.array([n for _, n in got], pa.int64()), "frame": pa.array([pack(x) for x, _ in got], pa.binary())})
+                del got
+        trim()
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard, number, ids, tokens, held, size = None, 0, [], [], [], 0
@@ -127,22 +129,23 @@ def write_shards(docs: DataFrame, path: str, vocabulary: str, *, end_id: int | N
         def block() -> pa.RecordBatch:
             ends = np.cumsum([len(x) for x in held], dtype="<u8")
             header = struct.pack(HEADER, MAGIC, mark, shard, number, len(held), sum(tokens), int(ends[-1]), ids[0], ids[-1])
-            body = header + np.array(ids, "<i8").tobytes() + ends.tobytes() + np.array(tokens, "<u8").tobytes() + b"".join(held)
+            body = b"".join([header, np.array(ids, "<i8").tobytes(), ends.tobytes(), np.array(tokens, "<u8").tobytes(), *held])
+            held.clear()  # one copy of a block at a time
             return pa.RecordBatch.from_pydict({"block": pa.array([body], pa.binary())})
 
-        for batch in batches:
-            for row in zip(*(batch.column(x).to_pylist() for x in ("shard", "doc_id", "n_tokens", "frame"))):
-                if held and (row[0] != shard or len(held) >= block_docs or size >= block_bytes):
-                    yield block()
-                    number = number + 1 if row[0] == shard else 0
-                    ids, tokens, held, size = [], [], [], 0
-                shard = row[0]
-                ids.append(_LOWEST if row[1] is None else row[1])
-                tokens.append(row[2])
-                held.append(row[3])
-                size += len(row[3])
+        for row in (row for batch in batches for at in range(0, batch.num_rows, 1000) for row in zip(*(batch.column(x).slice(at, 1000).to_pylist() for x in ("shard", "doc_id", "n_tokens", "frame")))):
+            if held and (row[0] != shard or len(held) >= block_docs or size >= block_bytes):
+                yield block()
+                number = number + 1 if row[0] == shard else 0
+                ids, tokens, held, size = [], [], [], 0
+            shard = row[0]
+            ids.append(_LOWEST if row[1] is None else row[1])
+            tokens.append(row[2])
+            held.append(row[3])
+            size += len(row[3])
         if held:
             yield block()
+        trim()
 
     encoded = docs.mapInArrow(frames, "shard int, doc_id long, n_tokens long, frame binary")
     ordered = encoded.repartitionById(len(edges) + 1, F.col("shard")).sortWithinPartitions("shard", "doc_id", F.xxhash64("frame"))
@@ -193,8 +196,9 @@ def read_shards(spark: SparkSession, path: str) -> DataFrame:
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = per_worker(("unzstd", mark), lambda: _decompressor(raw)).decompress
         for batch in batches:
-            for content in batch.column("content").to_pylist():
-                if not content:
+            for content in batch.column("content"):
+                content = content.as_buffer()  # the batch's own memory
+                if not content or not content.size:
                     continue
                 seen, shard, number, ids, ends, tokens, body = _open(memoryview(content))
                 if seen != mark:
@@ -210,6 +214,7 @@ def read_shards(spark: SparkSession, path: str) -> DataFrame:
                 columns = [same(shard), same(number), pa.array(ids, pa.int64(), mask=ids == _LOWEST), pa.array(np.arange(len(ids)), pa.int64()), pa.array((np.cumsum(tokens) - tokens).astype(np.int64))]
                 columns += [pa.array(tokens.astype(np.int64)), pa.array(ends.astype(np.int64) - starts), pa.array(crc, pa.int64())]
                 yield pa.RecordBatch.from_arrays(columns, [x.split()[0] for x in _SHARDS.split(", ")])
+        trim()
 
     docs = spark.read.format("binaryFile").load(f"{path}/shards").select("content").mapInArrow(rows, _SHARDS)
     placed = docs.join(_starts(spark.read.parquet(f"{path}/index")), ["shard", "block"])
